@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, langid, packing, token_counts, toxicity
+from . import chat, exact_dedup, langid, mixing, packing, quality, token_counts, toxicity
 
 
 def queries() -> dict:
     return {
+        "op1_distribution_divergence": quality.op1_distribution_divergence,
         "op2_token_counts": token_counts.op2_token_counts,
         "op3_exact_dedup": exact_dedup.op3_exact_dedup,
+        "op4_chat_formatting": chat.op4_chat_formatting,
+        "op5_mixing": mixing.op5_mixing,
         "op6_packing": packing.op6_packing,
         "op8_language_id": langid.op8_language_id,
         "op10_toxicity": toxicity.op10_toxicity,
@@ -16,4 +19,8 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_exact_dedup": exact_dedup.ORACLE}
+    return {
+        "op1_distribution_divergence": quality.oracle(),
+        "op3_exact_dedup": exact_dedup.ORACLE,
+        "op5_mixing": mixing.oracle(),
+    }
