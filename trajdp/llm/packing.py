@@ -9,7 +9,10 @@ nothing is shuffled and memory is bounded by a block.
 
 from __future__ import annotations
 
+import json
+import re
 import zlib
+from array import array
 from collections.abc import Iterable, Iterator
 from functools import lru_cache
 from itertools import chain
@@ -22,9 +25,13 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
 from .text import documents
+from .token_counts import byte_letters
 
 #: Fixed value: the pattern that splits text before byte-level merges.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+#: The same for texts without unusual characters: letters there are word characters other than digits and "_".
+FAST = r"'s|'t|'re|'ve|'m|'ll|'d| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+"
+UNUSUAL = "[^\t\n\r -~\u00a1\u00ab\u00bb\u00bf-\u00d6\u00d8-\u00f6\u00f8-\u024f\u2013\u2014\u2018-\u201e\u20ac]"
 END = np.array([1], "<u4").tobytes()
 BLOCK = 1 << 16  # leftovers packed at once
 
@@ -84,35 +91,48 @@ def best_fit_decreasing(lengths: np.ndarray, capacity: int) -> tuple[np.ndarray,
 
 
 class PieceEncoder:
-    """Token ids of texts as bytes, from a bounded table of pre-tokens."""
+    """Token ids of texts as bytes, from a bounded table of pre-tokens.
 
-    def __init__(self, path: str, keep: int = 300_000):
-        from tokenizers import Tokenizer
+    The file's vocabulary is byte-level and numbered in the order of its merges,
+    so ids serve as ranks for a merger of single pieces. Texts of the usual
+    letters are split by the faster of two engines, which splits them alike.
+    """
 
-        self.tokenizer = Tokenizer.from_file(path)
-        self.special = {t.content: np.array([i], "<u4").tobytes() for i, t in self.tokenizer.get_added_tokens_decoder().items()}
-        self.cut = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
-        self.split = regex.compile(PATTERN)
+    def __init__(self, path: str, keep: int = 300_000):
+        import tiktoken
+
+        with open(path, encoding="utf-8") as f:
+            spec = json.load(f)
+        byte = {c: b for b, c in byte_letters().items()}
+        special = {t["content"]: t["id"] for t in spec["added_tokens"]}
+        ranks = {bytes(map(byte.__getitem__, t)): i for t, i in spec["model"]["vocab"].items() if t not in special}
+        self.merge = tiktoken.Encoding("pieces", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={})._encode_single_piece
+        self.special = {t: np.array([i], "<u4").tobytes() for t, i in special.items()}
+        self.cut = re.compile("(" + "|".join(map(re.escape, special)) + ")") if special else None
+        self.exact, self.fast, self.unusual = regex.compile(PATTERN), re.compile(FAST), re.compile(UNUSUAL)
         self.seen: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
         self.keep = keep
 
     def encode(self, texts: list[str]) -> list[bytes]:
         split = [self.pieces(t) for t in texts]
-        if len(self.seen) > self.keep:
-            self.seen.clear()
-        new = list({p for pieces in split for p in pieces}.difference(self.seen))
-        for i in range(0, len(new), 20_000):
-            part = new[i : i + 20_000]
-            for piece, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False)):
-                self.seen[piece] = np.array(e.ids, "<u4").tobytes()
-        get = self.seen.__getitem__
+        if len(self.seen) > self.keep:  # what was met since the last time stays once more
+            self.older, self.seen = self.seen, {}
+        older, seen = self.older, self.seen
+        for piece in set().union(*split).difference(seen):
+            found = older.get(piece) or self.special.get(piece)
+            seen[piece] = array("I", self.merge(piece)).tobytes() if found is None else found
+        get = seen.__getitem__
         return [b"".join(map(get, pieces)) for pieces in split]
 
+    def split(self, text: str) -> list[str]:
+        return (self.exact if self.unusual.search(text) else self.fast).findall(text)
+
     def pieces(self, text: str) -> list[str]:
         if self.cut is None or "<|" not in text:
-            return self.split.findall(text)
+            return self.split(text)
         parts = self.cut.split(text)
-        return list(chain.from_iterable([p] if p in self.special else self.split.findall(p) for p in parts))
+        return list(chain.from_iterable([p] if p in self.special else self.split(p) for p in parts))
 
 
 @lru_cache(maxsize=2)
