@@ -22,7 +22,8 @@ BITS = 6  # set in a 64-bit block by each hash
 def block_pattern(h: Column, h2: Column, blocks: int) -> tuple[Column, Column]:
     """Block number and bit pattern of a hash: a Bloom filter whose bits of a key share one block."""
     block = F.pmod(h, F.lit(blocks))
-    bits = [F.expr("shiftleft(1L, cast(pmod(shiftright(h2, {}), 64) as int))".format(6 * i)) for i in range(BITS)]
+    one = F.lit(1).cast("long")
+    bits = [F.call_function("shiftleft", one, F.pmod(F.shiftright(h2, 6 * i), F.lit(64)).cast("int")) for i in range(BITS)]
     pattern = bits[0]
     for b in bits[1:]:
         pattern = pattern.bitwiseOR(b)
@@ -60,13 +61,15 @@ def exact_duplicates(docs: DataFrame, max_blocks: int = 1 << 20, rows_per_block:
     groups = tested.where("maybe").groupBy("text_sha256").agg(
         F.max("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size")
     ).where("group_size > 1")
-    again = (
-        tested.where("maybe").select("doc_id", "text_sha256")
-        .join(groups, "text_sha256", "left")
-        .select(
-            "doc_id", F.coalesce("keep_id", "doc_id").alias("keep_id"),
-            F.coalesce("group_size", F.lit(1).cast("long")).alias("group_size"), "text_sha256",
-        )
+    # no more groups than 4 for each partition can be as large as this: their rows are matched where they are
+    large = max(1000, rows // (4 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    maybe = tested.where("maybe").select("doc_id", "text_sha256")
+    hot = maybe.join(F.broadcast(groups.where(F.col("group_size") >= large)), "text_sha256", "left")
+    met = hot.where("group_size is not null")
+    rest = hot.where("group_size is null").select("doc_id", "text_sha256").join(groups.where(F.col("group_size") < large), "text_sha256", "left")
+    again = met.unionByName(rest).select(
+        "doc_id", F.coalesce("keep_id", "doc_id").alias("keep_id"),
+        F.coalesce("group_size", F.lit(1).cast("long")).alias("group_size"), "text_sha256",
     )
     single = tested.where("not maybe").select(
         "doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), "text_sha256"

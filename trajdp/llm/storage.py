@@ -6,6 +6,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -24,3 +25,12 @@ def written(df: DataFrame, label: str, codec: str = "zstd") -> DataFrame:
     path = f"{shared_folder(spark).rstrip('/')}/trajdp/{label}-{uuid.uuid4().hex}"
     df.write.option("compression", codec).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def by_size(rows: DataFrame, groups: DataFrame, on: list[str], size: str) -> DataFrame:
+    """Inner join of rows to their groups. No more groups than 4 for each partition hold so many rows that
+    they are large; these are broadcast, and their rows stay where they are."""
+    large = max(1000, rows.count() // (4 * int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    hot = rows.join(F.broadcast(groups.where(F.col(size) >= large)), on)
+    cold = rows.join(F.broadcast(groups.where(F.col(size) >= large).select(*on)), on, "left_anti").join(groups.where(F.col(size) < large), on)
+    return hot.unionByName(cold)
