@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chat, exact_dedup, langid, mixing, packing, quality, token_counts, toxicity
+from . import chat, exact_dedup, jaccard_join, langid, line_dedup, mixing, packing, quality, token_counts, toxicity
 
 
 def queries() -> dict:
@@ -13,7 +13,9 @@ def queries() -> dict:
         "op4_chat_formatting": chat.op4_chat_formatting,
         "op5_mixing": mixing.op5_mixing,
         "op6_packing": packing.op6_packing,
+        "op7_jaccard_join": jaccard_join.op7_jaccard_join,
         "op8_language_id": langid.op8_language_id,
+        "op9_line_dedup": line_dedup.op9_line_dedup,
         "op10_toxicity": toxicity.op10_toxicity,
     }
 
@@ -23,4 +25,5 @@ def oracle_sql() -> dict[str, str]:
         "op1_distribution_divergence": quality.oracle(),
         "op3_exact_dedup": exact_dedup.ORACLE,
         "op5_mixing": mixing.oracle(),
+        "op9_line_dedup": line_dedup.oracle(),
     }
