@@ -5,8 +5,15 @@ from __future__ import annotations
 from . import chat, exact_dedup, jaccard_join, langid, line_dedup, mixing, packing, quality, token_counts, toxicity
 
 
+def pipeline(spark, sf_dir: str):
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
     return {
+        "pipeline": pipeline,
         "op1_distribution_divergence": quality.op1_distribution_divergence,
         "op2_token_counts": token_counts.op2_token_counts,
         "op3_exact_dedup": exact_dedup.op3_exact_dedup,
