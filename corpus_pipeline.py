@@ -15,7 +15,7 @@ MIX = mixing.MixParams(rate=0.9)
 def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that are not predicted toxic. Learned from labelled documents outside the held-out fold."""
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
-    model = toxicity.fit_toxicity(toxicity.training_rows(docs, labels))
+    model = toxicity.fit_toxicity(docs, labels)
     return toxicity.toxicity_scores(docs, model, docs.columns).where("tox_predicted = 0").select(*docs.columns)
 
 

@@ -138,8 +138,8 @@ def document_frequencies(rows: DataFrame, p: LanguageParams) -> tuple[np.ndarray
     return df, int(got.loc[~inside, "df"].sum())
 
 
-def labelled_sample(rows: DataFrame, label: str, per_label: int) -> DataFrame:
-    """About ``per_label`` rows of each label, the same ones in every run: those with the least hash of doc_id.
+def labelled_sample(rows: DataFrame, label: str, per_label: int | dict) -> DataFrame:
+    """About ``per_label`` rows of each label (or as many as it has for the label), the same ones in every run: those with the least hash of doc_id.
 
     A first pass over the thin columns counts the labels, so that a threshold on
     the hash thins the rows before any text moves. Adds the hash as ``h``.
@@ -149,7 +149,8 @@ def labelled_sample(rows: DataFrame, label: str, per_label: int) -> DataFrame:
     counts = {r[label]: r["n"] for r in rows.groupBy(label).agg(F.count(F.lit(1)).alias("n")).collect()}
     chosen = F.lit(False)
     for k, n in counts.items():
-        chosen = chosen | (F.col(label).eqNullSafe(F.lit(k)) & (h < int(min(1.0, per_label / n) * whole)))
+        most = per_label[k] if isinstance(per_label, dict) else per_label
+        chosen = chosen | (F.col(label).eqNullSafe(F.lit(k)) & (h < int(min(1.0, most / n) * whole)))
     return rows.withColumn("h", h).where(chosen)
 
 

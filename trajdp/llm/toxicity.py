@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .langid import labelled_sample
+from .storage import written
 from .text import documents
 
 WORDS = regex.compile(r"[^\W\d_]+")
@@ -34,14 +35,15 @@ ADDRESSING = frozenset("you your you're u du dich dein ihr tu te ton toi vous t
 
 @dataclass(frozen=True)
 class ToxicityParams:
-    """per_label: about how many labelled rows of each label the fit uses."""
+    """toxic_rows, clean_rows: about how many labelled rows of each label the fit uses."""
 
-    per_label: int = 4000
+    toxic_rows: int = 1500
+    clean_rows: int = 5000
     least_letters: int = 4
     fuzzy_letters: int = 5
     least_share: float = 0.01
-    least_rows: int = 3
-    least_lift: float = 15.0
+    least_rows: int = 5
+    least_lift: float = 40.0
     most_terms: int = 2000
     window: int = 6
     ridge: float = 1e-2
@@ -246,9 +248,9 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float, steps: int = 50) -> np.
     return w
 
 
-def fit_toxicity(rows: DataFrame, p: ToxicityParams = ToxicityParams()) -> ToxicityModel:
-    """Learn from ``rows`` (doc_id, text, toxic 0/1; no nulls), a bounded sample of each label."""
-    sample = labelled_sample(rows, "toxic", p.per_label).select("doc_id", "text", "toxic", "h")
+def fit_toxicity(docs: DataFrame, labels: DataFrame, p: ToxicityParams = ToxicityParams()) -> ToxicityModel:
+    """Learn from a bounded sample of each label, outside the held-out fold."""
+    sample = training_sample(docs, labels, p)
     n = {r["toxic"]: r["n"] for r in sample.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     if not n.get(0) or not n.get(1):
         return ToxicityModel([], np.r_[-3.0, np.zeros(len(FEATURES))], p)
@@ -260,7 +262,7 @@ def fit_toxicity(rows: DataFrame, p: ToxicityParams = ToxicityParams()) -> Toxic
             x = np.array([scanner.features(t) for t in batch["text"]]).reshape(len(batch), len(FEATURES))
             yield pd.DataFrame(x, columns=list(FEATURES)).assign(toxic=batch["toxic"].to_numpy(), doc_id=batch["doc_id"].to_numpy())
 
-    kind = dict(rows.dtypes)["doc_id"]
+    kind = dict(sample.dtypes)["doc_id"]
     got = sample.mapInPandas(scan, ", ".join(f"{f} double" for f in FEATURES) + f", toxic int, doc_id {kind}").toPandas().sort_values("doc_id")
     return ToxicityModel(terms, logistic(got[list(FEATURES)].to_numpy(), got["toxic"].to_numpy(float), p.ridge), p)
 
@@ -284,10 +286,15 @@ def toxicity_scores(docs: DataFrame, model: ToxicityModel, keep: list[str] | Non
     return docs.select(*inputs).mapInPandas(score, schema)
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, folds: int = 5, held: int = 0) -> DataFrame:
-    """doc_id, text, toxic of the labelled rows outside the held-out fold; of several labels of a document the largest."""
+def training_sample(docs: DataFrame, labels: DataFrame, p: ToxicityParams, folds: int = 5, held: int = 0) -> DataFrame:
+    """doc_id, text, toxic of a bounded number of labelled rows of each label outside the held-out fold.
+
+    Of several labels of a document the largest counts. The labels alone are
+    sampled; they are then so few that the texts need not be shuffled.
+    """
     marks = labels.where("toxic is not null and doc_id is not null").groupBy("doc_id").agg((F.max("toxic") > 0).cast("int").alias("toxic"))
-    return docs.where(~held_out(folds, held) & F.col("text").isNotNull()).select("doc_id", "text").join(marks, "doc_id")
+    few = labelled_sample(marks.where(~held_out(folds, held)), "toxic", {0: p.clean_rows, 1: p.toxic_rows}).select("doc_id", "toxic")
+    return written(docs.where(F.col("text").isNotNull()).select("doc_id", "text").join(F.broadcast(few), "doc_id"), "toxicity-sample")
 
 
 def held_out(folds: int = 5, held: int = 0):
@@ -303,7 +310,7 @@ def scored(docs: DataFrame, labels: DataFrame, params: ToxicityParams = Toxicity
     texts without a match; without labels of both kinds every text does.
     Whole texts are scored, repeated rows each. Null doc_ids are held out.
     """
-    model = fit_toxicity(training_rows(docs, labels), params)
+    model = fit_toxicity(docs, labels, params)
     rows = docs.select("doc_id", held_out().alias("held_out"), "text")
     return toxicity_scores(rows, model, ["doc_id", "held_out"]).select(
         "doc_id", "held_out", F.col("tox_score").alias("score"), F.col("tox_predicted").alias("predicted")
