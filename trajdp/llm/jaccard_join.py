@@ -2,14 +2,17 @@
 
 Copies of a set are one point of the metric space. Points whose sets share none
 of their rarest shingles are farther apart than the limit, which cuts the space
-into regions, one for each such shingle. A small region is joined directly. A
-larger one gets a pivot: points within the limit of it are linked to it, hence
-to each other; what lies outside forms a smaller region, into which the
-triangle inequality replicates only those points of the pivot's ball that an
-outer point can reach. Regions are joined in this way again until none is left.
-
-How common shingles are is told by a sketch of bounded size; any order of them
-gives exact results, a good one small regions.
+into regions, one for each such shingle. A large region gets a pivot: points within
+the limit of it are linked to it, hence to each other; what lies outside forms a
+smaller region, into which the triangle inequality replicates only those points
+of the pivot's ball that an outer point can reach. Regions are joined in this way
+again until they are small enough to be joined directly, in blocks.
+
+Points carry the parities of their shingles in 1024 classes. Parities that
+differ are a lower bound of the sets' difference, so pairs beyond the limit are
+seldom compared; all others are, by their whole texts. How common shingles are
+is told by a sketch of bounded size; any order of them gives exact results, a
+good one small regions.
 """
 
 from __future__ import annotations
@@ -20,7 +23,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .exact_dedup import block_pattern
@@ -36,11 +39,14 @@ LETTER = np.random.default_rng(20).integers(1, 1 << 63, 256, dtype=np.uint64)
 
 @dataclass(frozen=True)
 class JoinParams:
-    """Linked: percent * union <= 100 * intersection. leaf: points of a region that are joined directly."""
+    """Linked: percent * union <= 100 * intersection. leaf: points of a region that are joined directly at first;
+    with each round of pivots it is ``more`` times as many."""
 
     span: int = 5
     percent: int = 80
-    leaf: int = 16
+    leaf: int = 64
+    more: int = 8
+    block: int = 4096
     sketch_bits: int = 18
     most_blocks: int = 1 << 20
     slice_bytes: int = 2_000_000
@@ -133,8 +139,10 @@ def shingle_sketch(docs: DataFrame, p: JoinParams) -> np.ndarray:
 
 
 def points(docs: DataFrame, sketch: np.ndarray, p: JoinParams) -> DataFrame:
-    """doc_id, n, fp1, fp2, common, rare: size and fingerprint of each set, its rarest shingles and how common they are."""
+    """doc_id, n, fp1, fp2, common, rare, odd: size and fingerprint of each set, its rarest shingles and how common
+    they are, and the parities of its classes."""
     shared = docs.sparkSession.sparkContext.broadcast(sketch)
+    names = ["n", "fp1", "fp2", "common", "rare", "odd"]
 
     def shingled(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingler, sketch = Shingler(p.span), shared.value
@@ -146,11 +154,12 @@ def points(docs: DataFrame, sketch: np.ndarray, p: JoinParams) -> DataFrame:
                 keep = n - (p.percent * n + 99) // 100 + 1 if n else 0
                 at = np.lexsort((h, often))[:keep]
                 m = mixed(h + ODD)
-                out.append((n, int(m.sum().view(np.int64)) if n else 0, int(np.bitwise_xor.reduce(mixed(m)).view(np.int64)) if n else 0, float(often[at].mean()) if n else 0.0, h[at].view(np.int64)))
-            yield pd.DataFrame(out, columns=["n", "fp1", "fp2", "common", "rare"]).assign(doc_id=rows["doc_id"].to_numpy())[["doc_id", "n", "fp1", "fp2", "common", "rare"]]
+                parity = np.packbits((np.bincount((m & U(1023)).astype(np.int64), minlength=1024) & 1).astype(np.uint8)).view(np.int64)
+                out.append((n, int(m.sum().view(np.int64)) if n else 0, int(np.bitwise_xor.reduce(mixed(m)).view(np.int64)) if n else 0, float(often[at].mean()) if n else 0.0, h[at].view(np.int64), parity))
+            yield pd.DataFrame(out, columns=names).assign(doc_id=rows["doc_id"].to_numpy())[["doc_id", *names]]
 
     kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", "text").mapInPandas(shingled, f"doc_id {kind}, n long, fp1 long, fp2 long, common double, rare array<long>")
+    return docs.select("doc_id", "text").mapInPandas(shingled, f"doc_id {kind}, n long, fp1 long, fp2 long, common double, rare array<long>, odd array<long>")
 
 
 def measured_pairs(pairs: DataFrame, docs: DataFrame, p: JoinParams) -> DataFrame:
@@ -190,42 +199,98 @@ def measured_pairs(pairs: DataFrame, docs: DataFrame, p: JoinParams) -> DataFram
         return written(two.select("a", "b", "text_a", "text_b").mapInPandas(measure, f"a {kind}, b {kind}, both long, either long"), "join-pairs")
 
 
-def linked_points(rows: DataFrame, docs: DataFrame, p: JoinParams) -> DataFrame | None:
-    """a, b: links that connect all points within the limit of each other. rows: region, id, n, common."""
-    links, leaf = None, p.leaf
+def differing(a: str, b: str) -> Column:
+    """In how many classes the parities differ: at most the size of the sets' symmetric difference."""
+    return F.aggregate(F.zip_with(a, b, lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda n, x: n + x)
+
+
+def within(parity: Column, total: Column, p: JoinParams) -> Column:
+    """Whether so large a difference of two sets with ``total`` elements is within the limit."""
+    return parity * (100 + p.percent) <= total * (100 - p.percent)
+
+
+def block_pairs(members: DataFrame, p: JoinParams) -> DataFrame:
+    """a, b: pairs of each region's members that sizes and parities let pass, block by block.
+
+    A region larger than a block is cut into blocks by a hash; each task gets
+    two of them at most, whatever the region's size.
+    """
+    kind = dict(members.dtypes)["id"]
+    count = F.ceil(F.col("size") / p.block).cast("int")
+    own = F.pmod(F.xxhash64(F.lit(6), "id"), F.col("k")).cast("int")
+    rows = members.withColumn("k", count).withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
+    rows = rows.select("region", "id", "n", "inner", "odd", "own", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"))
+
+    def compare(rows: pd.DataFrame) -> pd.DataFrame:
+        ids, n, inner, own = rows["id"].to_numpy(), rows["n"].to_numpy(np.int64), rows["inner"].to_numpy(bool), rows["own"].to_numpy()
+        odd = np.stack(rows["odd"].to_numpy()).view(np.uint64)
+        across = rows["lo"].iloc[0] != rows["hi"].iloc[0]
+        out = []
+        for i in range(0, len(ids), 64):
+            part = slice(i, i + 64)
+            fits = (ids[part, None] < ids[None]) & ~(inner[part, None] & inner[None])
+            if across:
+                fits = (ids[part, None] != ids[None]) & ~(inner[part, None] & inner[None]) & (own[part, None] < own[None])
+            total = n[part, None] + n[None]
+            fits &= np.minimum(n[part, None], n[None]) * 100 >= np.maximum(n[part, None], n[None]) * p.percent
+            x, y = np.nonzero(fits)
+            for j in range(0, len(x), 100_000):
+                u, v = x[j : j + 100_000], y[j : j + 100_000]
+                far = np.bitwise_count(odd[u + i] ^ odd[v]).sum(axis=1, dtype=np.int64)
+                near = far * (100 + p.percent) <= total[u, v] * (100 - p.percent)
+                out.append((ids[u[near] + i], ids[v[near]]))
+        a, b = (np.concatenate(z) for z in zip(*out))
+        return pd.DataFrame({"a": np.minimum(a, b), "b": np.maximum(a, b)})
+
+    return rows.groupBy("region", "lo", "hi").applyInPandas(compare, f"a {kind}, b {kind}")
+
+
+def linked_points(rows: DataFrame, odd: DataFrame, docs: DataFrame, p: JoinParams) -> DataFrame | None:
+    """a, b: links that connect all points within the limit of each other.
+
+    rows: region, id, n, common of each point in each region; odd: id, n, odd.
+    """
+    links, leaf, few = None, p.leaf, 16
     regions = written(rows.withColumn("inner", F.lit(False)), "join-regions")
     near = lambda x, y: F.least(x, y) * 100 >= F.greatest(x, y) * p.percent  # noqa: E731  else the sizes alone keep them apart
+    side = lambda k: odd.select(F.col("id").alias(k), F.col("n").alias(f"{k}_n"), F.col("odd").alias(f"{k}_odd"))
     while True:
         size = regions.groupBy("region").agg(
-            F.count(F.lit(1)).alias("size"), F.max(F.struct(~F.col("inner"), "common", "id", "n")).alias("top")
-        ).where("size > 1")
-        size = size.select("region", "size", F.col("top.id").alias("a"), F.col("top.n").alias("a_n"))
-        members = written(regions.join(size, "region").select("region", "id", "n", "common", "inner", "size", "a", "a_n"), "join-members")
-        small = members.where(F.col("size") <= leaf).select("region", "id", "n", "inner")
-        other = small.select("region", F.col("id").alias("b"), F.col("n").alias("b_n"), F.col("inner").alias("b_inner"))
-        direct = small.join(other, "region").where((F.col("id") < F.col("b")) & near(F.col("n"), F.col("b_n")) & ~(F.col("inner") & F.col("b_inner")))
-        large = members.where(F.col("size") > leaf)
-        star = large.where((F.col("a") != F.col("id")) & near(F.col("n"), F.col("a_n")))
-        pairs = written(direct.select(F.col("id").alias("a"), "b").union(star.select("a", F.col("id").alias("b"))).distinct(), "join-candidates")
-        if pairs.isEmpty():
-            return links
+            F.count(F.lit(1)).alias("size"), F.max(F.struct(~F.col("inner"), "common", "id")).alias("top")
+        ).where("size > 1").select("region", "size", F.col("top.id").alias("a"))
+        members = written(regions.join(size, "region").select("region", "id", "n", "common", "inner", "size", "a"), "join-members")
+
+        small = members.where(F.col("size") <= few).select("region", "id", "n", "inner")
+        other = small.select("region", F.col("id").alias("b"), F.col("n").alias("m"), F.col("inner").alias("b_inner"))
+        direct = small.join(other, "region").where((F.col("id") < F.col("b")) & near(F.col("n"), F.col("m")) & ~(F.col("inner") & F.col("b_inner")))
+        direct = direct.select(F.col("id").alias("a"), "b").distinct().join(side("a"), "a").join(side("b"), "b")
+        direct = direct.where(within(differing("a_odd", "b_odd"), F.col("a_n") + F.col("b_n"), p)).select("a", "b")
+        middle = members.where((F.col("size") > few) & (F.col("size") <= leaf)).join(odd.select("id", "odd"), "id")
+
+        large = members.where((F.col("size") > leaf) & (F.col("a") != F.col("id"))).join(side("a"), "a").join(odd.select("id", "odd"), "id")
+        large = large.withColumn("far", differing("a_odd", "odd")).select("region", "id", "n", "common", "a", "a_n", "far")
+        large = written(large, "join-large")
+        star = large.where(near(F.col("n"), F.col("a_n")) & within(F.col("far"), F.col("n") + F.col("a_n"), p))
+        pairs = written(direct.union(block_pairs(middle, p)).union(star.select("a", F.col("id").alias("b"))).distinct(), "join-candidates")
         found = measured_pairs(pairs, docs, p)
         close = found.where(f"100 * both >= {p.percent} * either").select("a", "b")
         links = close if links is None else links.union(close)
+        if large.isEmpty():
+            return links
 
-        # distance to the pivot, times the union: at least 1 - the smaller size / the larger
-        far = large.where("a <> id").join(found.select("a", F.col("b").alias("id"), "both", "either"), ["a", "id"], "left")
-        bound = F.when(F.col("either").isNull(), 1 - F.least("n", "a_n") / F.greatest("n", "a_n")).otherwise(1 - F.col("both") / F.col("either"))
+        # distance to the pivot, or what it is at least
+        known = large.join(found.select("a", F.col("b").alias("id"), "both", "either"), ["a", "id"], "left")
+        total = F.col("n") + F.col("a_n")
+        least = F.greatest(1 - F.least("n", "a_n") / F.greatest("n", "a_n"), 1 - (total - F.col("far")) / (total + F.col("far")))
+        distance = F.when(F.col("either").isNull(), least).otherwise(1 - F.col("both") / F.col("either"))
         linked = F.coalesce(F.col("both") * 100 >= F.col("either") * p.percent, F.lit(False))
-        far = written(far.select("region", "id", "n", "common", bound.alias("d"), linked.alias("ball")), "join-distances")
-        outer = far.where("not ball").groupBy("region").agg(F.min("d").alias("least"))
+        known = written(known.select("region", "id", "n", "common", distance.alias("d"), linked.alias("ball")), "join-distances")
+        outer = known.where("not ball").groupBy("region").agg(F.min("d").alias("least"))
         reach = F.col("d") >= F.col("least") - (1 - p.percent / 100) - 1e-9
         regions = written(
-            far.join(outer, "region").where(~F.col("ball") | reach).select("region", "id", "n", "common", F.col("ball").alias("inner")), "join-regions"
+            known.join(outer, "region").where(~F.col("ball") | reach).select("region", "id", "n", "common", F.col("ball").alias("inner")), "join-regions"
         )
-        leaf *= 2
-        if regions.isEmpty():
-            return links
+        leaf *= p.more
 
 
 def classes(links: DataFrame) -> DataFrame:
@@ -256,12 +321,12 @@ def near_duplicates(docs: DataFrame, p: JoinParams = JoinParams()) -> DataFrame:
     fp = ["n", "fp1", "fp2"]
     sets = written(
         table.where("n > 0").groupBy(*fp).agg(
-            F.min("doc_id").alias("id"), F.count(F.lit(1)).alias("copies"), F.first("common").alias("common"), F.first("rare").alias("rare")
+            F.min("doc_id").alias("id"), F.count(F.lit(1)).alias("copies"), F.first("common").alias("common"), F.first("rare").alias("rare"), F.first("odd").alias("odd")
         ),
         "join-sets",
     )
     rows = sets.where("id is not null").select(F.explode("rare").alias("region"), "id", "n", "common")
-    links = linked_points(rows, docs.where("doc_id is not null"), p)
+    links = linked_points(rows, sets.where("id is not null").select("id", "n", "odd"), docs.where("doc_id is not null"), p)
     named = sets.select(*fp, "id", "copies")
     if links is None:
         named = named.withColumn("component_id", F.col("id"))
