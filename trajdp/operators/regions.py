@@ -66,7 +66,8 @@ def kdtree(faces: DataFrame, side: int, depth: int) -> DataFrame:
         low = at.where(F.col(lo) < F.col(hi)).withColumn(hi, F.col("cut")).withColumn("pid", F.col("pid") * 2)
         high = at.where(F.col(lo) < F.col(hi)).withColumn(lo, F.col("cut") + 1).withColumn("pid", F.col("pid") * 2 + 1)
         whole = at.where(F.col(lo) >= F.col(hi)).withColumn("pid", F.col("pid") * 2)
-        regions = low.unionByName(high).unionByName(whole).select("pid", "r1", "r2", "c1", "c2")
+        cut_up = low.unionByName(high).unionByName(whole).select("pid", "r1", "r2", "c1", "c2")
+        regions = faces.sparkSession.createDataFrame(cut_up.collect(), cut_up.schema)  # 2^depth rows at most: cuts the plan
     return regions
 
 
