@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .exact_dedup import block_pattern
-from .storage import by_size, written
+from .storage import by_size, release_memory, written
 from .text import documents
 
 U = np.uint64
@@ -131,6 +131,7 @@ def shingle_sketch(docs: DataFrame, p: JoinParams) -> np.ndarray:
         at = np.flatnonzero(total)
         if len(at):
             yield pd.DataFrame({"bucket": at.astype(np.int32), "n": total[at]})
+        release_memory()
 
     got = docs.select("text").mapInPandas(count, "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n")).toPandas()
     sketch = np.zeros(1 << p.sketch_bits, np.int64)
@@ -157,6 +158,7 @@ def points(docs: DataFrame, sketch: np.ndarray, p: JoinParams) -> DataFrame:
                 parity = np.packbits((np.bincount((m & U(1023)).astype(np.int64), minlength=1024) & 1).astype(np.uint8)).view(np.int64)
                 out.append((n, int(m.sum().view(np.int64)) if n else 0, int(np.bitwise_xor.reduce(mixed(m)).view(np.int64)) if n else 0, float(often[at].mean()) if n else 0.0, h[at].view(np.int64), parity))
             yield pd.DataFrame(out, columns=names).assign(doc_id=rows["doc_id"].to_numpy())[["doc_id", *names]]
+        release_memory()
 
     kind = dict(docs.dtypes)["doc_id"]
     return docs.select("doc_id", "text").mapInPandas(shingled, f"doc_id {kind}, n long, fp1 long, fp2 long, common double, rare array<long>, odd array<long>")
@@ -193,6 +195,7 @@ def measured_pairs(pairs: DataFrame, docs: DataFrame, p: JoinParams) -> DataFram
                 both = int((left[at] == h).sum()) if len(left) else 0
                 out.append((a, b, both, len(left) + len(h) - both))
             yield pd.DataFrame(out, columns=["a", "b", "both", "either"])
+        release_memory()
 
     kind = dict(docs.dtypes)["doc_id"]
     with small_batches(spark, 200):
@@ -210,7 +213,7 @@ def within(parity: Column, total: Column, p: JoinParams) -> Column:
 
 
 def block_pairs(members: DataFrame, p: JoinParams) -> DataFrame:
-    """a, b: pairs of each region's members that sizes and parities let pass, block by block.
+    """a, b, far: pairs of each region's members, and in how many classes they differ, that sizes and parities let pass, block by block.
 
     A region larger than a block is cut into blocks by a hash; each task gets
     two of them at most, whatever the region's size.
@@ -238,43 +241,57 @@ def block_pairs(members: DataFrame, p: JoinParams) -> DataFrame:
                 u, v = x[j : j + 100_000], y[j : j + 100_000]
                 far = np.bitwise_count(odd[u + i] ^ odd[v]).sum(axis=1, dtype=np.int64)
                 near = far * (100 + p.percent) <= total[u, v] * (100 - p.percent)
-                out.append((ids[u[near] + i], ids[v[near]]))
-        a, b = (np.concatenate(z) for z in zip(*out))
-        return pd.DataFrame({"a": np.minimum(a, b), "b": np.maximum(a, b)})
+                out.append((ids[u[near] + i], ids[v[near]], far[near]))
+        a, b, far = (np.concatenate(z) for z in zip(*out)) if out else (ids[:0], ids[:0], n[:0])
+        return pd.DataFrame({"a": np.minimum(a, b), "b": np.maximum(a, b), "far": far.astype(np.int32)})
 
-    return rows.groupBy("region", "lo", "hi").applyInPandas(compare, f"a {kind}, b {kind}")
+    return rows.groupBy("region", "lo", "hi").applyInPandas(compare, f"a {kind}, b {kind}, far int")
 
 
-def linked_points(rows: DataFrame, odd: DataFrame, docs: DataFrame, p: JoinParams) -> DataFrame | None:
+def linked_points(rows: DataFrame, about: DataFrame, docs: DataFrame, p: JoinParams) -> DataFrame | None:
     """a, b: links that connect all points within the limit of each other.
 
-    rows: region, id, n, common of each point in each region; odd: id, n, odd.
+    rows: region, id of each point in each region; about: id, n, common, odd of each point.
     """
     links, leaf, few = None, p.leaf, 16
-    regions = written(rows.withColumn("inner", F.lit(False)), "join-regions")
+    regions = rows.withColumn("inner", F.lit(False))
+    odd, brief = about.select("id", "n", "odd"), about.select("id", "n", "common")
     near = lambda x, y: F.least(x, y) * 100 >= F.greatest(x, y) * p.percent  # noqa: E731  else the sizes alone keep them apart
     side = lambda k: odd.select(F.col("id").alias(k), F.col("n").alias(f"{k}_n"), F.col("odd").alias(f"{k}_odd"))
     while True:
-        size = regions.groupBy("region").agg(
-            F.count(F.lit(1)).alias("size"), F.max(F.struct(~F.col("inner"), "common", "id")).alias("top")
-        ).where("size > 1").select("region", "size", F.col("top.id").alias("a"))
-        members = written(regions.join(size, "region").select("region", "id", "n", "common", "inner", "size", "a"), "join-members")
+        # most regions have one point: they go before anything but two numbers a row is moved
+        size = regions.groupBy("region").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
+        members = written(regions.join(size, "region").select("region", "id", "inner", "size"), "join-members")
+        members = members.join(brief, "id")
 
         small = members.where(F.col("size") <= few).select("region", "id", "n", "inner")
         other = small.select("region", F.col("id").alias("b"), F.col("n").alias("m"), F.col("inner").alias("b_inner"))
         direct = small.join(other, "region").where((F.col("id") < F.col("b")) & near(F.col("n"), F.col("m")) & ~(F.col("inner") & F.col("b_inner")))
         direct = direct.select(F.col("id").alias("a"), "b").distinct().join(side("a"), "a").join(side("b"), "b")
-        direct = direct.where(within(differing("a_odd", "b_odd"), F.col("a_n") + F.col("b_n"), p)).select("a", "b")
+        direct = direct.withColumn("far", differing("a_odd", "b_odd")).where(within(F.col("far"), F.col("a_n") + F.col("b_n"), p)).select("a", "b", "far")
         middle = members.where((F.col("size") > few) & (F.col("size") <= leaf)).join(odd.select("id", "odd"), "id")
 
-        large = members.where((F.col("size") > leaf) & (F.col("a") != F.col("id"))).join(side("a"), "a").join(odd.select("id", "odd"), "id")
-        large = large.withColumn("far", differing("a_odd", "odd")).select("region", "id", "n", "common", "a", "a_n", "far")
-        large = written(large, "join-large")
+        crowd = members.where(F.col("size") > leaf)
+        top = crowd.groupBy("region").agg(F.max(F.struct(~F.col("inner"), "common", "id")).alias("top")).select("region", F.col("top.id").alias("a"))
+        crowd = written(crowd.join(top, "region").where("a <> id").select("region", "id", "n", "a"), "join-crowd")
+        apart = crowd.select("a", "id").distinct().join(side("a"), "a").join(odd.select("id", "odd"), "id")
+        apart = apart.select("a", "id", "a_n", differing("a_odd", "odd").alias("far"))
+        large = written(crowd.join(apart, ["a", "id"]).select("region", "id", "n", "a", "a_n", "far"), "join-large")
         star = large.where(near(F.col("n"), F.col("a_n")) & within(F.col("far"), F.col("n") + F.col("a_n"), p))
-        pairs = written(direct.union(block_pairs(middle, p)).union(star.select("a", F.col("id").alias("b"))).distinct(), "join-candidates")
-        found = measured_pairs(pairs, docs, p)
+        star = star.select("a", F.col("id").alias("b"))
+        pairs = written(direct.union(block_pairs(middle, p)).groupBy("a", "b").agg(F.first("far").alias("far")), "join-candidates")
+        # each point's likeliest partner first; of the others only pairs that these links leave apart
+        one = pairs.groupBy("a").agg(F.min(F.struct("far", "b")).alias("t")).select("a", "t.b")
+        two = pairs.groupBy("b").agg(F.min(F.struct("far", "a")).alias("t")).select("t.a", "b")
+        first = written(star.union(one).union(two).distinct(), "join-first")
+        found = measured_pairs(first, docs, p)
         close = found.where(f"100 * both >= {p.percent} * either").select("a", "b")
         links = close if links is None else links.union(close)
+        label = written(classes(links), "join-labels")
+        named = lambda k: label.select(F.col("id").alias(k), F.col("class").alias(f"{k}_class"))
+        rest = pairs.select("a", "b").join(first, ["a", "b"], "left_anti").join(named("a"), "a", "left").join(named("b"), "b", "left")
+        rest = written(rest.where("coalesce(a_class, a) <> coalesce(b_class, b)").select("a", "b"), "join-rest")
+        links = links.union(measured_pairs(rest, docs, p).where(f"100 * both >= {p.percent} * either").select("a", "b"))
         if large.isEmpty():
             return links
 
@@ -284,11 +301,11 @@ def linked_points(rows: DataFrame, odd: DataFrame, docs: DataFrame, p: JoinParam
         least = F.greatest(1 - F.least("n", "a_n") / F.greatest("n", "a_n"), 1 - (total - F.col("far")) / (total + F.col("far")))
         distance = F.when(F.col("either").isNull(), least).otherwise(1 - F.col("both") / F.col("either"))
         linked = F.coalesce(F.col("both") * 100 >= F.col("either") * p.percent, F.lit(False))
-        known = written(known.select("region", "id", "n", "common", distance.alias("d"), linked.alias("ball")), "join-distances")
+        known = written(known.select("region", "id", distance.alias("d"), linked.alias("ball")), "join-distances")
         outer = known.where("not ball").groupBy("region").agg(F.min("d").alias("least"))
         reach = F.col("d") >= F.col("least") - (1 - p.percent / 100) - 1e-9
         regions = written(
-            known.join(outer, "region").where(~F.col("ball") | reach).select("region", "id", "n", "common", F.col("ball").alias("inner")), "join-regions"
+            known.join(outer, "region").where(~F.col("ball") | reach).select("region", "id", F.col("ball").alias("inner")), "join-regions"
         )
         leaf *= p.more
 
@@ -317,7 +334,8 @@ def near_duplicates(docs: DataFrame, p: JoinParams = JoinParams()) -> DataFrame:
     Repeated rows are listed each. An empty table gives no rows.
     """
     docs = docs.select("doc_id", "text")
-    table = written(points(docs, shingle_sketch(docs, p), p), "join-points")
+    with small_batches(docs.sparkSession, 1000):
+        table = written(points(docs, shingle_sketch(docs, p), p), "join-points")
     fp = ["n", "fp1", "fp2"]
     sets = written(
         table.where("n > 0").groupBy(*fp).agg(
@@ -325,8 +343,8 @@ def near_duplicates(docs: DataFrame, p: JoinParams = JoinParams()) -> DataFrame:
         ),
         "join-sets",
     )
-    rows = sets.where("id is not null").select(F.explode("rare").alias("region"), "id", "n", "common")
-    links = linked_points(rows, sets.where("id is not null").select("id", "n", "odd"), docs.where("doc_id is not null"), p)
+    rows = sets.where("id is not null").select(F.explode("rare").alias("region"), "id")
+    links = linked_points(rows, sets.where("id is not null").select("id", "n", "common", "odd"), docs.where("doc_id is not null"), p)
     named = sets.select(*fp, "id", "copies")
     if links is None:
         named = named.withColumn("component_id", F.col("id"))

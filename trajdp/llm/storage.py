@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -34,3 +37,13 @@ def by_size(rows: DataFrame, groups: DataFrame, on: list[str], size: str) -> Dat
     hot = rows.join(F.broadcast(groups.where(F.col(size) >= large)), on)
     cold = rows.join(F.broadcast(groups.where(F.col(size) >= large).select(*on)), on, "left_anti").join(groups.where(F.col(size) < large), on)
     return hot.unionByName(cold)
+
+
+def release_memory() -> None:
+    """Gives freed memory of a Python worker back to the system: idle workers share the executor's limit."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .langid import labelled_sample
-from .storage import written
+from .storage import release_memory, written
 from .text import documents
 
 WORDS = regex.compile(r"[^\W\d_]+")
@@ -144,7 +144,7 @@ class Scanner:
         self.trie = FuzzyTrie(self.terms, self.params.fuzzy_letters)
 
     def matches(self, words: set[str]) -> dict[str, int]:
-        if len(self.seen) > 300_000:
+        if len(self.seen) > 200_000:
             self.seen.clear()
         for w in words.difference(self.seen):
             self.seen[w] = self.trie.edits(w)
@@ -279,6 +279,8 @@ def toxicity_scores(docs: DataFrame, model: ToxicityModel, keep: list[str] | Non
             s = [model.score(scanner.features(t)) for t in batch["text"]]
             out = {c: batch[c] for c in keep}
             yield pd.DataFrame(out | {"tox_score": s, "tox_predicted": [int(x >= 0.5) for x in s]})
+        del scanner
+        release_memory()
 
     kinds = dict(docs.dtypes)
     inputs = list(dict.fromkeys([*keep, "text"]))
