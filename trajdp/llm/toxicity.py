@@ -46,7 +46,7 @@ class ToxicityParams:
     least_lift: float = 40.0
     most_terms: int = 2000
     window: int = 6
-    ridge: float = 1e-2
+    ridge: float = 1e-3
 
 
 class FuzzyTrie:
@@ -235,13 +235,12 @@ def learned_terms(toxic: DataFrame, clean: DataFrame, n_toxic: int, n_clean: int
 
 
 def logistic(x: np.ndarray, y: np.ndarray, ridge: float, steps: int = 50) -> np.ndarray:
-    """Weights with the intercept first, by Newton's method; classes count alike."""
+    """Weights with the intercept first, by Newton's method. Rows count alike, so what says nothing is as likely as the share."""
     x = np.c_[np.ones(len(x)), x]
-    weight = np.where(y == 1, 0.5 / max(1, y.sum()), 0.5 / max(1, (1 - y).sum())) * len(y)
     w, penalty = np.zeros(x.shape[1]), ridge * len(y) * np.diag([1e-6] + [1.0] * (x.shape[1] - 1))
     for _ in range(steps):
         m = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        step = np.linalg.solve((x * (weight * m * (1 - m))[:, None]).T @ x + penalty + 1e-9 * np.eye(len(w)), x.T @ (weight * (m - y)) + penalty @ w)
+        step = np.linalg.solve((x * (m * (1 - m))[:, None]).T @ x + penalty + 1e-9 * np.eye(len(w)), x.T @ (m - y) + penalty @ w)
         w -= np.clip(step, -5, 5)
         if np.abs(step).max() < 1e-8:
             break
