@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .exact_dedup import block_pattern
-from .storage import by_size, release_memory, written
+from .storage import bounded_batches, by_size, release_memory, written
 from .text import documents
 
 U = np.uint64
@@ -212,8 +212,10 @@ def within(parity: Column, total: Column, p: JoinParams) -> Column:
     return parity * (100 + p.percent) <= total * (100 - p.percent)
 
 
-def block_pairs(members: DataFrame, p: JoinParams) -> DataFrame:
-    """a, b, far: pairs of each region's members, and in how many classes they differ, that sizes and parities let pass, block by block.
+def block_pairs(members: DataFrame, p: JoinParams, nearest: bool) -> DataFrame:
+    """a, b, far: pairs of each region's members, and in how many classes they differ, that sizes and parities let
+    pass, block by block; with ``nearest`` only each member's likeliest partner in a block. Members of equal mark,
+    which are known to be linked, and two that came in from a pivot's ball make no pair.
 
     A region larger than a block is cut into blocks by a hash; each task gets
     two of them at most, whatever the region's size.
@@ -222,18 +224,17 @@ def block_pairs(members: DataFrame, p: JoinParams) -> DataFrame:
     count = F.ceil(F.col("size") / p.block).cast("int")
     own = F.pmod(F.xxhash64(F.lit(6), "id"), F.col("k")).cast("int")
     rows = members.withColumn("k", count).withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
-    rows = rows.select("region", "id", "n", "inner", "odd", "own", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"))
+    rows = rows.select("region", "id", "n", "inner", "mark", "odd", "own", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"))
 
     def compare(rows: pd.DataFrame) -> pd.DataFrame:
-        ids, n, inner, own = rows["id"].to_numpy(), rows["n"].to_numpy(np.int64), rows["inner"].to_numpy(bool), rows["own"].to_numpy()
+        rows = rows.sort_values("id", kind="stable")
+        ids, n, inner, own, mark = rows["id"].to_numpy(), rows["n"].to_numpy(np.int64), rows["inner"].to_numpy(bool), rows["own"].to_numpy(), rows["mark"].to_numpy()
         odd = np.stack(rows["odd"].to_numpy()).view(np.uint64)
-        across = rows["lo"].iloc[0] != rows["hi"].iloc[0]
+        left = own if rows["lo"].iloc[0] != rows["hi"].iloc[0] else np.arange(len(ids))
         out = []
         for i in range(0, len(ids), 64):
             part = slice(i, i + 64)
-            fits = (ids[part, None] < ids[None]) & ~(inner[part, None] & inner[None])
-            if across:
-                fits = (ids[part, None] != ids[None]) & ~(inner[part, None] & inner[None]) & (own[part, None] < own[None])
+            fits = (left[part, None] < left[None]) & (mark[part, None] != mark[None]) & ~(inner[part, None] & inner[None])
             total = n[part, None] + n[None]
             fits &= np.minimum(n[part, None], n[None]) * 100 >= np.maximum(n[part, None], n[None]) * p.percent
             x, y = np.nonzero(fits)
@@ -241,7 +242,12 @@ def block_pairs(members: DataFrame, p: JoinParams) -> DataFrame:
                 u, v = x[j : j + 100_000], y[j : j + 100_000]
                 far = np.bitwise_count(odd[u + i] ^ odd[v]).sum(axis=1, dtype=np.int64)
                 near = far * (100 + p.percent) <= total[u, v] * (100 - p.percent)
-                out.append((ids[u[near] + i], ids[v[near]], far[near]))
+                u, v, far = u[near], v[near], far[near]
+                if nearest:
+                    order = np.lexsort((v, far, u))
+                    order = order[np.flatnonzero(np.r_[True, np.diff(u[order]) != 0])] if len(order) else order
+                    u, v, far = u[order], v[order], far[order]
+                out.append((ids[u + i], ids[v], far))
         a, b, far = (np.concatenate(z) for z in zip(*out)) if out else (ids[:0], ids[:0], n[:0])
         return pd.DataFrame({"a": np.minimum(a, b), "b": np.maximum(a, b), "far": far.astype(np.int32)})
 
@@ -279,7 +285,9 @@ def linked_points(rows: DataFrame, about: DataFrame, docs: DataFrame, p: JoinPar
         large = written(crowd.join(apart, ["a", "id"]).select("region", "id", "n", "a", "a_n", "far"), "join-large")
         star = large.where(near(F.col("n"), F.col("a_n")) & within(F.col("far"), F.col("n") + F.col("a_n"), p))
         star = star.select("a", F.col("id").alias("b"))
-        pairs = written(direct.union(block_pairs(middle, p)).groupBy("a", "b").agg(F.first("far").alias("far")), "join-candidates")
+        likely = block_pairs(middle.withColumn("mark", F.col("id")), p, nearest=True)
+        direct = written(direct, "join-candidates")
+        pairs = direct.union(likely).groupBy("a", "b").agg(F.first("far").alias("far"))
         # each point's likeliest partner first; of the others only pairs that these links leave apart
         one = pairs.groupBy("a").agg(F.min(F.struct("far", "b")).alias("t")).select("a", "t.b")
         two = pairs.groupBy("b").agg(F.min(F.struct("far", "a")).alias("t")).select("t.a", "b")
@@ -289,7 +297,8 @@ def linked_points(rows: DataFrame, about: DataFrame, docs: DataFrame, p: JoinPar
         links = close if links is None else links.union(close)
         label = written(classes(links), "join-labels")
         named = lambda k: label.select(F.col("id").alias(k), F.col("class").alias(f"{k}_class"))
-        rest = pairs.select("a", "b").join(first, ["a", "b"], "left_anti").join(named("a"), "a", "left").join(named("b"), "b", "left")
+        apart = block_pairs(middle.join(label.select("id", "class"), "id", "left").withColumn("mark", F.coalesce("class", "id")), p, nearest=False)
+        rest = direct.union(apart).select("a", "b").distinct().join(first, ["a", "b"], "left_anti").join(named("a"), "a", "left").join(named("b"), "b", "left")
         rest = written(rest.where("coalesce(a_class, a) <> coalesce(b_class, b)").select("a", "b"), "join-rest")
         links = links.union(measured_pairs(rest, docs, p).where(f"100 * both >= {p.percent} * either").select("a", "b"))
         if large.isEmpty():
@@ -334,8 +343,8 @@ def near_duplicates(docs: DataFrame, p: JoinParams = JoinParams()) -> DataFrame:
     Repeated rows are listed each. An empty table gives no rows.
     """
     docs = docs.select("doc_id", "text")
-    with small_batches(docs.sparkSession, 1000):
-        table = written(points(docs, shingle_sketch(docs, p), p), "join-points")
+    bounded_batches(docs.sparkSession)
+    table = written(points(docs, shingle_sketch(docs, p), p), "join-points")
     fp = ["n", "fp1", "fp2"]
     sets = written(
         table.where("n > 0").groupBy(*fp).agg(

@@ -16,6 +16,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .storage import bounded_batches
 from .text import documents
 
 SALTS = (0x9E3779B1, 0x85EBCA77, 0xC2B2AE3D)
@@ -215,6 +216,7 @@ def identified(docs: DataFrame, params: LanguageParams = LanguageParams(), folds
     have no letter get ``und`` with score 0; so do all texts if nothing can be
     learned. Whole texts are scored. Repeated rows are scored each.
     """
+    bounded_batches(docs.sparkSession)
     docs = docs.select("doc_id", "text", "lang", F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % folds == held, F.lit(True)).alias("held_out"))
     train = docs.where("not held_out and lang is not null and text is not null")
     return predicted_languages(docs, fit_languages(train, params))

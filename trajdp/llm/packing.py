@@ -24,6 +24,7 @@ import regex
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
+from .storage import bounded_batches
 from .text import documents
 from .token_counts import byte_letters
 
@@ -190,6 +191,7 @@ def packed(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", capacity: int
         if rest:
             yield flush()
 
+    bounded_batches(docs.sparkSession)
     kind = dict(docs.dtypes)["doc_id"]
     return docs.select("doc_id", "text").mapInPandas(
         pack, f"doc_id {kind}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"

@@ -39,6 +39,13 @@ def by_size(rows: DataFrame, groups: DataFrame, on: list[str], size: str) -> Dat
     return hot.unionByName(cold)
 
 
+def bounded_batches(spark: SparkSession, rows: int = 1000) -> None:
+    """No more rows of whole texts in an Arrow batch than this: both sides of the exchange hold a batch in memory."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= rows:
+        spark.conf.set(key, str(rows))
+
+
 def release_memory() -> None:
     """Gives freed memory of a Python worker back to the system: idle workers share the executor's limit."""
     gc.collect()

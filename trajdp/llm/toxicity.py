@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .langid import labelled_sample
-from .storage import release_memory, written
+from .storage import bounded_batches, release_memory, written
 from .text import documents
 
 WORDS = regex.compile(r"[^\W\d_]+")
@@ -249,6 +249,7 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float, steps: int = 50) -> np.
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame, p: ToxicityParams = ToxicityParams()) -> ToxicityModel:
     """Learn from a bounded sample of each label, outside the held-out fold."""
+    bounded_batches(docs.sparkSession)
     sample = training_sample(docs, labels, p)
     n = {r["toxic"]: r["n"] for r in sample.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     if not n.get(0) or not n.get(1):
@@ -278,7 +279,7 @@ def toxicity_scores(docs: DataFrame, model: ToxicityModel, keep: list[str] | Non
             s = [model.score(scanner.features(t)) for t in batch["text"]]
             out = {c: batch[c] for c in keep}
             yield pd.DataFrame(out | {"tox_score": s, "tox_predicted": [int(x >= 0.5) for x in s]})
-        del scanner
+        scanner = batch = s = out = None
         release_memory()
 
     kinds = dict(docs.dtypes)
