@@ -87,24 +87,18 @@ def factor(table: DataFrame, margin: str, value: str, name: str) -> DataFrame:
 
 def raked(cells: DataFrame, targets: DataFrame, rounds: int) -> DataFrame:
     """margin, key, factor after ``rounds`` rounds over the three margins; keys without target or tokens get 0."""
-    keys = [cells.select(F.lit(m).alias("margin"), F.col(m).alias("key")).distinct() for m in MARGINS]
-    state = written(keys[0].union(keys[1]).union(keys[2]).withColumn("factor", F.lit(1.0)), "mix-factors")
+    now = {m: cells.select(m).distinct().withColumn("f", F.lit(1.0)) for m in MARGINS}
     for _ in range(rounds):
-        now = {m: factor(state, m, "factor", "f") for m in MARGINS}
         for m in MARGINS:
-            others = cells
+            others, product = cells, F.col("tokens").cast("double")
             for k in MARGINS:
                 if k != m:
-                    others = others.join(now[k].withColumnRenamed("f", f"f_{k}"), k)
-            product = F.col("tokens").cast("double")
-            for k in MARGINS:
-                if k != m:
-                    product = product * F.col(f"f_{k}")
+                    others, product = others.join(now[k].withColumnRenamed("f", f"f_{k}"), k), product * F.col(f"f_{k}")
             sums = others.groupBy(m).agg(F.sum(product).alias("s"))
-            now[m] = sums.join(factor(targets, m, "share", "t"), m, "left").select(m, F.coalesce(F.try_divide("t", "s"), F.lit(0.0)).alias("f"))
-        parts = [now[m].select(F.lit(m).alias("margin"), F.col(m).alias("key"), F.col("f").alias("factor")) for m in MARGINS]
-        state = written(parts[0].union(parts[1]).union(parts[2]), "mix-factors")
-    return state
+            found = sums.join(factor(targets, m, "share", "t"), m, "left").select(m, F.coalesce(F.try_divide("t", "s"), F.lit(0.0)).alias("f"))
+            now[m] = written(found, f"mix-{m}")  # one margin at a time keeps each plan small
+    parts = [now[m].select(F.lit(m).alias("margin"), F.col(m).alias("key"), F.col("f").alias("factor")) for m in MARGINS]
+    return parts[0].union(parts[1]).union(parts[2])
 
 
 def calibrated(cells: DataFrame, factors: DataFrame, p: MixParams) -> DataFrame:
