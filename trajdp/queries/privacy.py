@@ -462,11 +462,11 @@ def workloads() -> None:
 
     def example1(s, d):
         """Four trajectories over a 4 x 4 grid and seven regions, with the densities of the worked example."""
-        steps = walk(s, [[(0, 0), (0, 1)], [(0, 1), (1, 1)], [(0, 2), (1, 2), (2, 2), (2, 1)], [(3, 3), (3, 2), (2, 2), (2, 3)]])
+        steps = walk(s, [[(0, 0)], [(1, 1), (2, 1), (2, 2)], [(0, 2), (1, 2), (2, 2)], [(3, 2), (3, 3), (2, 3)]])
         boxes = s.createDataFrame([(1, 0, 1, 0, 1), (2, 0, 0, 2, 3), (3, 1, 1, 2, 3), (4, 2, 3, 0, 1), (6, 3, 3, 2, 2), (7, 3, 3, 3, 3), (5, 2, 2, 2, 3)], "pid long, r1 int, r2 int, c1 int, c2 int")
         return quadtree.density(boxes, 4, quadtree.counted(histogram.build(steps), boxes)).select("pid", "b")
 
-    add("w_example1", example1, "SELECT * FROM (VALUES (1::BIGINT, 0.5::DOUBLE), (2, 0.25), (3, 0.25), (4, 0.25), (5, 0.5), (6, 0.25), (7, 0.25)) t(pid, b)")
+    add("w_example1", example1, "SELECT * FROM (VALUES (1::BIGINT, 0.5::DOUBLE), (2, 0.25), (3, 0.25), (4, 0.25), (5, 0.75), (6, 0.25), (7, 0.25)) t(pid, b)")
 
     def example2(s, d):
         steps = walk(s, [[(0, 0), (0, 1)], [(1, 2), (1, 3), (2, 3), (3, 3), (3, 2)]])
