@@ -138,8 +138,10 @@ def noisy_density(regions: DataFrame, n: int, p: PartitionParams, sensitivity: f
 
 def partition(hist: DataFrame, cost_faces: DataFrame, n: int, res: int, p: PartitionParams, count: str = "range") -> DataFrame:
     """The leaves with noisy densities: pid, level, br, bc, r1, r2, c1, c2, size, total, b."""
-    table = split_flags(noisy(nodes(cost_faces, res), p, res), p)
-    found = leaves(table, res)
+    # read several times below; they have the grid's size at most, whatever the data's
+    table = noisy(nodes(cost_faces, res), p, res).persist()
+    flags = split_flags(table, p).persist()
+    found = leaves(flags, res).persist()
     return noisy_density(density(found, n, counted(hist, found, count)), n, p)
 
 

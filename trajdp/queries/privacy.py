@@ -38,6 +38,13 @@ def nodes_of(s, d, src):
     return quadtree.nodes(shares_of(s, d, src), RES[src])
 
 
+def alg1(s, d, src, p):
+    """Leaves with densities; the walks, read three times, are kept."""
+    steps = steps_of(s, d, src).persist()
+    n = steps.select("traj_id").distinct().count()
+    return quadtree.partition(histogram.build(steps).persist(), shares_of(s, d, src, steps), n, RES[src], p)
+
+
 def count_of(s, d, src) -> int:
     return steps_of(s, d, src).select("traj_id").distinct().count()
 
@@ -127,8 +134,8 @@ class Setting:
     """The driver's side of a synthesis on the skewed walks."""
 
     def __init__(self, s, d):
-        self.spark, self.steps = s, steps_of(s, d, "em")
-        hist = histogram.densify(histogram.build(self.steps), 32)
+        self.spark, self.steps = s, steps_of(s, d, "em").persist()
+        hist = histogram.densify(histogram.build(self.steps), 32).persist()
         self.truth, self.n = collected(hist, 32), float(self.steps.select("traj_id").distinct().count())
         self.qids, self.q = query_array(rects(s, "em"))
         self.regions = quadtree.partition(hist, shares_of(s, d, "em", self.steps), int(self.n), 5, PART).toPandas().sort_values("pid").reset_index(drop=True)
@@ -205,7 +212,7 @@ def step_one() -> None:
         add(f"p_nodes_{src}", lambda s, d, src=src: rounded(nodes_of(s, d, src), "total", "cost"), base + " SELECT level, br, bc, size, round(total, 6) AS total, round(cost, 6) AS cost FROM nodes")
         add(f"p_cost_{src}", lambda s, d, src=src: rounded(quadtree.cost(shares_of(s, d, src), quadtree.cell_region(regions.uniform(s, RES[src], 2))), "cost"),
             base + " SELECT (br * 4 + bc)::BIGINT AS pid, round(cost, 6) AS cost FROM nodes WHERE level = 2")
-        add(f"p_alg1_{src}", lambda s, d, src=src: rounded(quadtree.partition(histogram.build(steps_of(s, d, src)), shares_of(s, d, src), count_of(s, d, src), RES[src], PART), "b").drop("total"),
+        add(f"p_alg1_{src}", lambda s, d, src=src: rounded(alg1(s, d, src, PART), "b").drop("total"),
             step1_sql(src, PART) + " SELECT pid, level, br, bc, r1, r2, c1, c2, size, round(b, 6) AS b FROM regions")
     base = S.steps("em", 5) + f", {S.hist()}, {S.shares(32)}, {nodes_sql(5)}"
     add("p_uniform_em", lambda s, d: quadtree.uniform_regions(shares_of(s, d, "em"), quadtree.cell_region(regions.uniform(s, 5, 4))), base + " SELECT (br * 16 + bc)::BIGINT AS pid, cost <= 1e-9 AS is_uniform FROM nodes WHERE level = 4")
@@ -215,7 +222,7 @@ def step_one() -> None:
     exact = base + f", {split_sql(QUIET, 5)}, {leaves_sql(5)}"
     exact_leaves = lambda s, d: quadtree.leaves(quadtree.split_flags(noisy(s, d, QUIET), QUIET), 5)
     add("p_leaves_exact_em", lambda s, d: exact_leaves(s, d).drop("total"), exact + " SELECT pid, level, br, bc, r1, r2, c1, c2, size FROM leaves")
-    add("p_alg1_perlevel_em", lambda s, d: rounded(quadtree.partition(histogram.build(steps_of(s, d, "em")), shares_of(s, d, "em"), count_of(s, d, "em"), 5, PER_LEVEL), "b").drop("total"),
+    add("p_alg1_perlevel_em", lambda s, d: rounded(alg1(s, d, "em", PER_LEVEL), "b").drop("total"),
         step1_sql("em", PER_LEVEL) + " SELECT pid, level, br, bc, r1, r2, c1, c2, size, round(b, 6) AS b FROM regions")
     # best pruning in SQL: a node is kept if nothing below or above it is cheaper, level by level
     levels = ["best5 AS MATERIALIZED (SELECT level, br, bc, cost + 2 AS best, false AS split FROM nodes WHERE level = 5)"]
@@ -421,7 +428,7 @@ def accuracy() -> None:
     add("e_inconsistency", lambda s, d: rounded(measures.inconsistency(noisy(s, d), histogram.violations(noisy(s, d)), pair(s, d)[1]), "value", digits=5),
         base + """, low AS (SELECT x.comp, x.row, x.col, any_value(x.cnt) AS cnt, min(a.cnt) AS low FROM est x JOIN est a ON a.comp = 'F' AND ((a.row = x.row AND a.col = x.col) OR (a.row = x.row + (x.comp = 'H')::INTEGER AND a.col = x.col + (x.comp = 'V')::INTEGER)) WHERE x.comp <> 'F' GROUP BY ALL)
 SELECT unnest(['violated', 'share', 'excess', 'negative']) AS metric, round(unnest([v, v / n, x, (SELECT count(*) FROM guess WHERE ans < -1e-9)]), 5)::DOUBLE AS value FROM (SELECT count(*) FILTER (cnt > low + 1e-9)::DOUBLE AS v, count(*) AS n, coalesce(sum(cnt - low) FILTER (cnt > low + 1e-9), 0) AS x FROM low)""")
-    add("e_snr", lambda s, d: rounded(measures.signal_to_noise(quadtree.partition(histogram.build(steps_of(s, d, "em")), shares_of(s, d, "em"), count_of(s, d, "em"), 5, PART), count_of(s, d, "em"), 0.5), "snr"),
+    add("e_snr", lambda s, d: rounded(measures.signal_to_noise(alg1(s, d, "em", PART), count_of(s, d, "em"), 0.5), "snr"),
         step1_sql("em", PART) + f" SELECT pid, round(b * {N_SQL} * 0.5, 6) AS snr FROM regions")
 
     def gap(s, d):
