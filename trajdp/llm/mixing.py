@@ -85,17 +85,21 @@ def factor(table: DataFrame, margin: str, value: str, name: str) -> DataFrame:
     return table.where(F.col("margin") == margin).select(F.col("key").alias(margin), F.col(value).alias(name))
 
 
-def raked(cells: DataFrame, targets: DataFrame, rounds: int) -> DataFrame:
-    """margin, key, factor after ``rounds`` rounds over the three margins; keys without target or tokens get 0."""
+def raked(cells: DataFrame, targets: DataFrame, rounds: int, few: bool = False) -> DataFrame:
+    """margin, key, factor after ``rounds`` rounds over the three margins; keys without target or tokens get 0.
+
+    few: the cells were counted and found few; no margin has more keys, so that their factors may be broadcast.
+    """
+    small = F.broadcast if few else lambda df: df
     now = {m: cells.select(m).distinct().withColumn("f", F.lit(1.0)) for m in MARGINS}
     for _ in range(rounds):
         for m in MARGINS:
             others, product = cells, F.col("tokens").cast("double")
             for k in MARGINS:
                 if k != m:
-                    others, product = others.join(now[k].withColumnRenamed("f", f"f_{k}"), k), product * F.col(f"f_{k}")
+                    others, product = others.join(small(now[k].withColumnRenamed("f", f"f_{k}")), k), product * F.col(f"f_{k}")
             sums = others.groupBy(m).agg(F.sum(product).alias("s"))
-            found = sums.join(factor(targets, m, "share", "t"), m, "left").select(m, F.coalesce(F.try_divide("t", "s"), F.lit(0.0)).alias("f"))
+            found = sums.join(small(factor(targets, m, "share", "t")), m, "left").select(m, F.coalesce(F.try_divide("t", "s"), F.lit(0.0)).alias("f"))
             now[m] = written(found, f"mix-{m}")  # one margin at a time keeps each plan small
     parts = [now[m].select(F.lit(m).alias("margin"), F.col(m).alias("key"), F.col("f").alias("factor")) for m in MARGINS]
     return parts[0].union(parts[1]).union(parts[2])
@@ -139,11 +143,10 @@ def mixed(docs: DataFrame, p: MixParams = MixParams(), targets: DataFrame | None
     names = [F.col(f"mix_{m}").alias(m) for m in MARGINS]
     cells = written(rows.select(*names, "mix_tokens").groupBy(*MARGINS).agg(F.sum("mix_tokens").alias("tokens")), "mix-cells")
     targets = written(tempered_targets(cells, p) if targets is None else targets, "mix-targets")
-    found = written(calibrated(cells, raked(cells, targets, p.rounds), p), "mix-probabilities")
+    few = cells.count() <= p.most_cells  # beyond it Spark chooses, and splits skewed cells
+    found = written(calibrated(cells, raked(cells, targets, p.rounds, few), p), "mix-probabilities")
     found = found.select(*[F.col(m).alias(f"mix_{m}") for m in MARGINS], F.col("probability").alias("mix_probability"))
-    if found.count() <= p.most_cells:  # checked; beyond it Spark chooses, and splits skewed cells
-        found = F.broadcast(found)
-    return rows.join(found, [f"mix_{m}" for m in MARGINS], "left").withColumn(
+    return rows.join(F.broadcast(found) if few else found, [f"mix_{m}" for m in MARGINS], "left").withColumn(
         "mix_kept", uniform(p.seed, F.col("doc_id")) < F.coalesce("mix_probability", F.lit(0.0))
     )
 
