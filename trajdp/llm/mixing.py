@@ -4,14 +4,17 @@ Token counts are summed by cell: source, language and topic. Raking finds one
 factor for each source, language and topic, so that the cells, multiplied by
 their three factors, have the wanted marginals. Documents are then sampled with
 a probability in proportion to their cell's product, scaled so that the expected
-tokens meet the rate where no probability passes 1. Everything is DataFrame
-expressions; factor tables are written after each round, so no state is collected.
+tokens meet the rate where no probability passes 1. Raking goes on until the margins
+are met or come no nearer. Up to ``most_cells`` cells it runs over arrays on the
+driver; beyond, as DataFrame expressions with factor tables written after each margin.
 """
 
 from __future__ import annotations
 
+import logging
 from dataclasses import dataclass
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -20,14 +23,22 @@ from .text import documents, words
 
 MARGINS = ("source", "lang", "topic")
 NONE = "(none)"
+LOG = logging.getLogger(__name__)
 
 
 @dataclass(frozen=True)
 class MixParams:
-    """tempers: exponents of each margin's own token shares that give its targets, if no targets are passed."""
+    """tempers: exponents of each margin's own token shares that give its targets, if no targets are passed.
+
+    rounds: rounds of raking between two tests of the margins; the SQL twin has these alone.
+    tolerance: the largest error of a margin's share at which raking ends. Where cells
+    are missing, so that no weights meet the targets, it ends when such rounds move no
+    cell's share by more than a hundredth of it.
+    """
 
     rate: float = 0.5
     rounds: int = 10
+    tolerance: float = 1e-7
     scaling: int = 8
     tempers: tuple[float, float, float] = (0.5, 0.7, 0.8)
     topics: int = 4
@@ -85,24 +96,106 @@ def factor(table: DataFrame, margin: str, value: str, name: str) -> DataFrame:
     return table.where(F.col("margin") == margin).select(F.col("key").alias(margin), F.col(value).alias(name))
 
 
-def raked(cells: DataFrame, targets: DataFrame, rounds: int, few: bool = False) -> DataFrame:
-    """margin, key, factor after ``rounds`` rounds over the three margins; keys without target or tokens get 0.
+def raked(cells: DataFrame, targets: DataFrame, p: MixParams, few: bool = False) -> DataFrame:
+    """margin, key, factor of raking over the three margins; keys without target or tokens get 0.
 
-    few: the cells were counted and found few; no margin has more keys, so that their factors may be broadcast.
+    few: the cells were counted and found few, so that they may be collected.
     """
-    small = F.broadcast if few else lambda df: df
+    found, error = raked_here(cells, targets, p) if few else raked_tables(cells, targets, p)
+    if error > p.tolerance:
+        LOG.warning("raking ended with a largest margin error of %.3g", error)
+    return found
+
+
+def ended(error: float, moved: float, p: MixParams) -> bool:
+    return not error > p.tolerance or not moved > p.tolerance / 100
+
+
+def raked_here(cells: DataFrame, targets: DataFrame, p: MixParams) -> tuple[DataFrame, float]:
+    """Factors and the largest error of a share, over arrays with one entry for each cell."""
+    rows = cells.select(*MARGINS, "tokens").collect()
+    wanted = {(r["margin"], r["key"]): r["share"] for r in targets.join(keys_of(cells), ["margin", "key"], "left_semi").collect()}
+    keys = {m: sorted({r[m] for r in rows}) for m in MARGINS}
+    at = {m: np.searchsorted(np.array(keys[m], dtype=object), np.array([r[m] for r in rows], dtype=object)) if rows else np.zeros(0, int) for m in MARGINS}
+    tokens = np.array([r["tokens"] for r in rows], dtype=float)
+    share = {m: np.array([wanted.get((m, k)) or 0.0 for k in keys[m]], dtype=float) for m in MARGINS}
+    f = {m: np.ones(len(keys[m])) for m in MARGINS}
+
+    def sums(m: str, weights: np.ndarray) -> np.ndarray:
+        return np.bincount(at[m], weights, minlength=len(keys[m])).astype(float)  # of no rows, integers
+
+    error = moved = float("inf")
+    cell_share = np.zeros(len(tokens))
+    while not ended(error, moved, p):
+        for _ in range(p.rounds):
+            for m in MARGINS:
+                weight = tokens.copy()
+                for k in MARGINS:
+                    if k != m:
+                        weight *= f[k][at[k]]
+                s = sums(m, weight)
+                f[m] = np.divide(share[m], s, out=np.zeros_like(s), where=s > 0)
+        weight = tokens * f[MARGINS[0]][at[MARGINS[0]]] * f[MARGINS[1]][at[MARGINS[1]]] * f[MARGINS[2]][at[MARGINS[2]]]
+        if not weight.sum() > 0:
+            error = 0.0
+            break
+        before, cell_share = cell_share, weight / weight.sum()
+        moved = np.abs(cell_share - before).max()
+        error = max(np.abs(sums(m, cell_share) - share[m] / share[m].sum()).max() for m in MARGINS)
+    table = [(m, k, float(v)) for m in MARGINS for k, v in zip(keys[m], f[m])]
+    return cells.sparkSession.createDataFrame(table, "margin string, key string, factor double"), float(error)
+
+
+def keys_of(cells: DataFrame) -> DataFrame:
+    """margin, key: the keys of the cells."""
+    parts = [cells.select(F.lit(m).alias("margin"), F.col(m).alias("key")).distinct() for m in MARGINS]
+    return parts[0].union(parts[1]).union(parts[2])
+
+
+def raked_tables(cells: DataFrame, targets: DataFrame, p: MixParams) -> tuple[DataFrame, float]:
+    """As raked_here, with a factor table for each margin, whatever the number of cells."""
     now = {m: cells.select(m).distinct().withColumn("f", F.lit(1.0)) for m in MARGINS}
-    for _ in range(rounds):
+
+    def factors() -> DataFrame:
+        parts = [now[m].select(F.lit(m).alias("margin"), F.col(m).alias("key"), F.col("f").alias("factor")) for m in MARGINS]
+        return parts[0].union(parts[1]).union(parts[2])
+
+    error = moved = float("inf")
+    was = None
+    while not ended(error, moved, p):
+        for _ in range(p.rounds):
+            for m in MARGINS:
+                others, product = cells, F.col("tokens").cast("double")
+                for k in MARGINS:
+                    if k != m:
+                        others, product = others.join(now[k].withColumnRenamed("f", f"f_{k}"), k), product * F.col(f"f_{k}")
+                sums = others.groupBy(m).agg(F.sum(product).alias("s"))
+                found = sums.join(factor(targets, m, "share", "t"), m, "left").select(m, F.coalesce(F.try_divide("t", "s"), F.lit(0.0)).alias("f"))
+                now[m] = written(found, f"mix-{m}")  # one margin at a time keeps each plan small
+        weighed, product = cells, F.col("tokens").cast("double")
         for m in MARGINS:
-            others, product = cells, F.col("tokens").cast("double")
-            for k in MARGINS:
-                if k != m:
-                    others, product = others.join(small(now[k].withColumnRenamed("f", f"f_{k}")), k), product * F.col(f"f_{k}")
-            sums = others.groupBy(m).agg(F.sum(product).alias("s"))
-            found = sums.join(small(factor(targets, m, "share", "t")), m, "left").select(m, F.coalesce(F.try_divide("t", "s"), F.lit(0.0)).alias("f"))
-            now[m] = written(found, f"mix-{m}")  # one margin at a time keeps each plan small
-    parts = [now[m].select(F.lit(m).alias("margin"), F.col(m).alias("key"), F.col("f").alias("factor")) for m in MARGINS]
-    return parts[0].union(parts[1]).union(parts[2])
+            weighed, product = weighed.join(now[m].withColumnRenamed("f", f"f_{m}"), m), product * F.col(f"f_{m}")
+        weighed = weighed.withColumn("weight", product)
+        total = weighed.agg(F.sum("weight").alias("total"))
+        share = written(weighed.join(F.broadcast(total)).select(*MARGINS, F.try_divide("weight", "total").alias("share")), "mix-shares")
+        error = float(shares_by_margin(share, targets, "share").agg(F.max(F.abs(F.col("share_share") - F.col("target")))).first()[0] or 0.0)
+        if was is not None:
+            moved = float(share.join(was, list(MARGINS)).agg(F.max(F.abs(F.col("share") - F.col("was")))).first()[0] or 0.0)
+        was = share.withColumnRenamed("share", "was")
+    return factors(), error
+
+
+def shares_by_margin(cells: DataFrame, targets: DataFrame, *values: str) -> DataFrame:
+    """margin, key, target, and value_share of each value: shares of the keys of ``cells``, targets summing to 1 over them."""
+    parts = []
+    for m in MARGINS:
+        own = cells.groupBy(F.col(m).alias("key")).agg(*[F.sum(v).cast("double").alias(v) for v in values])
+        own = own.join(factor(targets, m, "share", "t").withColumnRenamed(m, "key"), "key", "left").withColumn("t", F.coalesce("t", F.lit(0.0)))
+        total = own.agg(F.sum("t").alias("all_t"), *[F.sum(v).alias(f"all_{v}") for v in values])
+        parts.append(own.join(F.broadcast(total)).select(
+            F.lit(m).alias("margin"), "key", F.try_divide("t", "all_t").alias("target"), *[F.try_divide(v, f"all_{v}").alias(f"{v}_share") for v in values]
+        ))
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
 
 
 def calibrated(cells: DataFrame, factors: DataFrame, p: MixParams) -> DataFrame:
@@ -129,6 +222,27 @@ def calibrated(cells: DataFrame, factors: DataFrame, p: MixParams) -> DataFrame:
     )
 
 
+def cell_chances(docs: DataFrame, p: MixParams, targets: DataFrame | None) -> tuple[DataFrame, DataFrame, DataFrame, bool]:
+    """Celled rows, targets, calibrated cells, and whether these are few."""
+    rows = celled(docs, p)
+    names = [F.col(f"mix_{m}").alias(m) for m in MARGINS]
+    cells = written(rows.select(*names, "mix_tokens").groupBy(*MARGINS).agg(F.sum("mix_tokens").alias("tokens")), "mix-cells")
+    targets = written(tempered_targets(cells, p) if targets is None else targets, "mix-targets")
+    few = cells.count() <= p.most_cells  # beyond it Spark chooses, and splits skewed cells
+    return rows, targets, written(calibrated(cells, raked(cells, targets, p, few), p), "mix-probabilities"), few
+
+
+def margin_report(docs: DataFrame, p: MixParams = MixParams(), targets: DataFrame | None = None) -> DataFrame:
+    """margin, key, target, tokens_share, weight_share, expected_share.
+
+    The shares of the documents' tokens, of the raked weights, and of the tokens
+    that are expected to stay; the last misses the target where probabilities end at 1.
+    """
+    _, targets, found, _ = cell_chances(docs, p, targets)
+    found = found.withColumn("expected", F.col("tokens") * F.col("probability"))
+    return shares_by_margin(found, targets, "tokens", "weight", "expected")
+
+
 def mixed(docs: DataFrame, p: MixParams = MixParams(), targets: DataFrame | None = None) -> DataFrame:
     """``docs`` with mix_source, mix_lang, mix_topic, mix_tokens, mix_probability and mix_kept.
 
@@ -139,12 +253,7 @@ def mixed(docs: DataFrame, p: MixParams = MixParams(), targets: DataFrame | None
     doc_id always draws the same number, so repeated rows stay or go together.
     An empty table stays empty.
     """
-    rows = celled(docs, p)
-    names = [F.col(f"mix_{m}").alias(m) for m in MARGINS]
-    cells = written(rows.select(*names, "mix_tokens").groupBy(*MARGINS).agg(F.sum("mix_tokens").alias("tokens")), "mix-cells")
-    targets = written(tempered_targets(cells, p) if targets is None else targets, "mix-targets")
-    few = cells.count() <= p.most_cells  # beyond it Spark chooses, and splits skewed cells
-    found = written(calibrated(cells, raked(cells, targets, p.rounds, few), p), "mix-probabilities")
+    rows, _, found, few = cell_chances(docs, p, targets)
     found = found.select(*[F.col(m).alias(f"mix_{m}") for m in MARGINS], F.col("probability").alias("mix_probability"))
     return rows.join(F.broadcast(found) if few else found, [f"mix_{m}" for m in MARGINS], "left").withColumn(
         "mix_kept", uniform(p.seed, F.col("doc_id")) < F.coalesce("mix_probability", F.lit(0.0))
