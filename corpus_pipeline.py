@@ -36,7 +36,7 @@ def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents sampled so that sources, languages and topics meet their target weights."""
+    """Documents sampled towards the target weights of sources, languages and topics; at this rate most are missed, see mixing.margin_report."""
     return mixing.mixed(docs, MIX).where("mix_kept").select(*docs.columns)
 
 

@@ -53,3 +53,18 @@ def test_first_rounds_are_those_of_the_sql_twin(spark, data):
     want = con.sql(mixing.oracle()).df().set_index("doc_id")["probability"]
     found = mixing.mixed(docs, mixing.MixParams(tolerance=1.0)).toPandas().set_index("doc_id")["mix_probability"]
     assert np.abs(found - want.loc[found.index]).max() < 1e-6
+
+
+def test_report_has_target_and_expected_shares(correlated):
+    for rate in (0.002, 0.9):
+        p = mixing.MixParams(rate=rate, tempers=(0.0, 0.3, 0.0))
+        report = mixing.margin_report(correlated, p).toPandas()
+        out = mixing.mixed(correlated, p).toPandas()
+        out["expected"] = out["mix_tokens"] * out["mix_probability"]
+        for margin, part in report.groupby("margin"):
+            part = part.set_index("key")
+            assert np.abs(part["tokens_share"] - shares(out, f"mix_{margin}", "mix_tokens")).max() < 1e-9
+            assert np.abs(part["expected_share"] - shares(out, f"mix_{margin}", "expected")).max() < 1e-9
+            assert np.abs(part["weight_share"] - part["target"]).max() < 2e-7
+        missed = np.abs(report["expected_share"] - report["target"]).max()
+        assert missed < 2e-7 if rate == 0.002 else missed > 0.05
