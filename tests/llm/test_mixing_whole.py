@@ -68,3 +68,9 @@ def test_report_has_target_and_expected_shares(correlated):
             assert np.abs(part["weight_share"] - part["target"]).max() < 2e-7
         missed = np.abs(report["expected_share"] - report["target"]).max()
         assert missed < 2e-7 if rate == 0.002 else missed > 0.05
+
+
+def test_topic_column_is_used(spark):
+    docs = spark.createDataFrame([(1, "windows", "en", "a", "sport"), (2, "windows", "en", "a", None)], "doc_id long, text string, lang string, source string, topic string")
+    assert {r["doc_id"]: r["mix_topic"] for r in mixing.celled(docs, mixing.MixParams()).collect()} == {1: "sport", 2: mixing.NONE}
+    assert {r["mix_topic"] for r in mixing.celled(docs.drop("topic"), mixing.MixParams()).collect()} == {"t3"}

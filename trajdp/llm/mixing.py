@@ -72,9 +72,10 @@ def uniform(seed: int, key: Column) -> Column:
 
 def celled(docs: DataFrame, p: MixParams) -> DataFrame:
     """``docs`` with mix_source, mix_lang, mix_topic and mix_tokens."""
+    topic = F.coalesce(F.col("topic").cast("string"), F.lit(NONE)) if "topic" in docs.columns else topic_of("mix_words", p)
     return (
         docs.withColumn("mix_words", words(F.col("text")))
-        .withColumn("mix_topic", topic_of("mix_words", p))
+        .withColumn("mix_topic", topic)
         .withColumn("mix_tokens", F.size("mix_words").cast("long"))
         .withColumn("mix_source", F.coalesce(F.col("source"), F.lit(NONE)))
         .withColumn("mix_lang", F.coalesce(F.col("lang"), F.lit(NONE)))
@@ -246,7 +247,8 @@ def margin_report(docs: DataFrame, p: MixParams = MixParams(), targets: DataFram
 def mixed(docs: DataFrame, p: MixParams = MixParams(), targets: DataFrame | None = None) -> DataFrame:
     """``docs`` with mix_source, mix_lang, mix_topic, mix_tokens, mix_probability and mix_kept.
 
-    ``docs`` needs doc_id, text, lang and source. Null sources and languages are
+    ``docs`` needs doc_id, text, lang and source; a column topic is the topic, where
+    there is one, else topic_of stands in. Null sources, languages and topics are
     a category of their own; null and empty texts have no tokens and no topic,
     and are sampled with their cell. ``targets`` (margin, key, share) replaces
     the tempered shares; keys that it leaves out get probability 0. The same
