@@ -1,9 +1,10 @@
 """Exact duplicates by two passes over a Bloom filter of content hashes.
 
-The first pass keeps, for each 64-bit block of the filter, how often every bit
-pattern was set; patterns set twice make the filter of possibly repeated hashes.
+The first pass counts exactly how often every bit pattern was set in its 64-bit
+block; patterns set twice make the filter of possibly repeated hashes. It shuffles
+one key for nearly every distinct hash, so unique rows do shuffle once, as keys.
 The second pass tests each row against it: only rows that it accepts are
-shuffled by content hash, and the others pass straight through as unique.
+shuffled by content hash, and the others pass as unique without another shuffle.
 The filter's size is bounded by ``max_blocks``. With more repeated hashes than
 it can hold it accepts more rows, which costs shuffling and never correctness.
 """
