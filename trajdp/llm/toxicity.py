@@ -44,7 +44,6 @@ class ToxicityParams:
     least_share: float = 0.01
     least_rows: int = 5
     least_lift: float = 40.0
-    most_terms: int = 2000
     window: int = 6
     ridge: float = 1e-3
 
@@ -197,15 +196,14 @@ def beginnings(text: str, least: int) -> set[str]:
     return {w[:i] for w in set(WORDS.findall(text.lower())) for i in range(least, len(w) + 1)}
 
 
-def rows_with(rows: DataFrame, p: ToxicityParams, only: frozenset[str] | None = None) -> DataFrame:
+def rows_with(rows: DataFrame, p: ToxicityParams) -> DataFrame:
     """term, n: in how many rows a word begins with the term."""
 
     def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         total: Counter[str] = Counter()
         for batch in batches:
             for text in batch["text"]:
-                found = beginnings(text, p.least_letters)
-                total.update(found if only is None else found & only)
+                total.update(beginnings(text, p.least_letters))
                 if len(total) > 500_000:
                     yield pd.DataFrame({"term": list(total), "n": list(total.values())})
                     total.clear()
@@ -218,20 +216,16 @@ def rows_with(rows: DataFrame, p: ToxicityParams, only: frozenset[str] | None =
 def learned_terms(toxic: DataFrame, clean: DataFrame, n_toxic: int, n_clean: int, p: ToxicityParams) -> list[str]:
     """Beginnings of words that toxic rows have ``least_lift`` times as often as clean ones; of nested ones the most general."""
     least = max(p.least_rows, p.least_share * n_toxic)
-    common = {r["term"]: r["n"] for r in rows_with(toxic, p).where(F.col("n") >= least).orderBy(F.desc("n"), "term").limit(20_000).collect()}
-    if not common:
-        return []
-    against = {r["term"]: r["n"] for r in rows_with(clean, p, frozenset(common)).collect()}
-
-    def lift(t: str) -> float:
-        return (common[t] / n_toxic) / ((against.get(t, 0) + 0.5) / (n_clean + 1))
-
-    chosen: list[str] = []
-    for t in sorted((t for t in common if lift(t) >= p.least_lift), key=lambda t: (len(t), t)):
-        longer = [x for x in common if len(x) == len(t) + 1 and x.startswith(t) and common[x] == common[t]]
-        if not longer and not any(t.startswith(c) for c in chosen):
-            chosen.append(t)
-    return sorted(chosen, key=lambda t: (-common[t], t))[: p.most_terms]
+    against = rows_with(clean, p).withColumnRenamed("n", "against")
+    lift = (F.col("n") / F.lit(max(n_toxic, 1))) / ((F.coalesce("against", F.lit(0)) + F.lit(0.5)) / F.lit(n_clean + 1))
+    found = rows_with(toxic, p).where(F.col("n") >= least).join(against, "term", "left").where(lift >= p.least_lift)
+    common = {r["term"]: r["n"] for r in found.select("term", "n").collect()}  # a longer term with as many toxic rows passes too
+    longer = {(x[:-1], n) for x, n in common.items()}
+    chosen: set[str] = set()
+    for t in sorted(common, key=lambda t: (len(t), t)):
+        if (t, common[t]) not in longer and not any(t[:i] in chosen for i in range(1, len(t))):
+            chosen.add(t)
+    return sorted(chosen, key=lambda t: (-common[t], t))
 
 
 def logistic(x: np.ndarray, y: np.ndarray, ridge: float, steps: int = 50) -> np.ndarray:
@@ -270,7 +264,7 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, p: ToxicityParams = Toxicit
 def toxicity_scores(docs: DataFrame, model: ToxicityModel, keep: list[str] | None = None) -> DataFrame:
     """The columns ``keep`` of every row, with score (0 to 1) and predicted (1 from a score of 0.5 on)."""
     keep = ["doc_id"] if keep is None else keep
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # at most ``most_terms`` terms
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # terms that common enough toxic rows of the sample have
 
     def score(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         model = shared.value
