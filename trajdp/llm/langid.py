@@ -16,7 +16,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .storage import bounded_batches
+from .storage import small_batches, written
 from .text import documents
 
 SALTS = (0x9E3779B1, 0x85EBCA77, 0xC2B2AE3D)
@@ -142,17 +142,20 @@ def document_frequencies(rows: DataFrame, p: LanguageParams) -> tuple[np.ndarray
 def labelled_sample(rows: DataFrame, label: str, per_label: int | dict) -> DataFrame:
     """About ``per_label`` rows of each label (or as many as it has for the label), the same ones in every run: those with the least hash of doc_id.
 
-    A first pass over the thin columns counts the labels, so that a threshold on
-    the hash thins the rows before any text moves. Adds the hash as ``h``.
+    A first pass over the thin columns counts the labels; joined to them, the
+    counts give a threshold on the hash that thins the rows before any text
+    moves. Labels that a dict leaves out, and null ones, have no rows. Adds the hash as ``h``.
     """
     whole = 1 << 30
-    h = F.pmod(F.xxhash64("doc_id"), F.lit(whole))
-    counts = {r[label]: r["n"] for r in rows.groupBy(label).agg(F.count(F.lit(1)).alias("n")).collect()}
-    chosen = F.lit(False)
-    for k, n in counts.items():
-        most = per_label[k] if isinstance(per_label, dict) else per_label
-        chosen = chosen | (F.col(label).eqNullSafe(F.lit(k)) & (h < int(min(1.0, most / n) * whole)))
-    return rows.withColumn("h", h).where(chosen)
+    counts = rows.where(F.col(label).isNotNull()).groupBy(F.col(label).alias("_label")).agg(F.count(F.lit(1)).alias("_n"))
+    most = F.lit(0 if isinstance(per_label, dict) else per_label)
+    for k, v in (per_label if isinstance(per_label, dict) else {}).items():
+        most = F.when(F.col("_label") == F.lit(k), F.lit(v)).otherwise(most)
+    limits = counts.select("_label", F.least(F.lit(whole), F.floor(most * F.lit(float(whole)) / F.col("_n"))).alias("_limit"))
+    limits = F.broadcast(limits) if limits.count() <= 100_000 else limits
+    limits = F.broadcast(limits) if limits.count() <= 100_000 else limits
+    thin = rows.withColumn("h", F.pmod(F.xxhash64("doc_id"), F.lit(whole)))
+    return thin.join(limits, F.col(label) == F.col("_label")).where("h < _limit").drop("_label", "_limit")
 
 
 def coded_rows(rows: DataFrame, p: LanguageParams) -> pd.DataFrame:
@@ -216,10 +219,10 @@ def identified(docs: DataFrame, params: LanguageParams = LanguageParams(), folds
     have no letter get ``und`` with score 0; so do all texts if nothing can be
     learned. Whole texts are scored. Repeated rows are scored each.
     """
-    bounded_batches(docs.sparkSession)
     docs = docs.select("doc_id", "text", "lang", F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % folds == held, F.lit(True)).alias("held_out"))
     train = docs.where("not held_out and lang is not null and text is not null")
-    return predicted_languages(docs, fit_languages(train, params))
+    with small_batches(docs.sparkSession):
+        return written(predicted_languages(docs, fit_languages(train, params)), "languages")
 
 
 def op8_language_id(spark, sf_dir: str) -> DataFrame:

@@ -24,11 +24,11 @@ import regex
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-from .storage import bounded_batches
+from .storage import small_batches, written
 from .text import documents
 from .token_counts import byte_letters
 
-#: Fixed value: the pattern that splits text before byte-level merges.
+#: Fixed value: the pattern that splits text before byte-level merges. The file names the splitter, which has it built in.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: The same for texts without unusual characters: letters there are word characters other than digits and "_".
 FAST = r"'s|'t|'re|'ve|'m|'ll|'d| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+"
@@ -104,10 +104,13 @@ class PieceEncoder:
 
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
+        splitter = spec["pre_tokenizer"]
+        if splitter != {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": splitter.get("trim_offsets"), "use_regex": True} or spec["normalizer"]:
+            raise ValueError(f"{path}: not a byte-level vocabulary with the usual splitter")
         byte = {c: b for b, c in byte_letters().items()}
         special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         ranks = {bytes(map(byte.__getitem__, t)): i for t, i in spec["model"]["vocab"].items() if t not in special}
-        self.merge = tiktoken.Encoding("pieces", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={})._encode_single_piece
+        self.merge = tiktoken.Encoding("pieces", pat_str="(?s:.+)", mergeable_ranks=ranks, special_tokens={}).encode_ordinary  # a piece is one match
         self.special = {t: np.array([i], "<u4").tobytes() for t, i in special.items()}
         self.cut = re.compile("(" + "|".join(map(re.escape, special)) + ")") if special else None
         self.exact, self.fast, self.unusual = regex.compile(PATTERN), re.compile(FAST), re.compile(UNUSUAL)
@@ -191,11 +194,10 @@ def packed(docs: DataFrame, tokenizer: str = "byte_bpe_50k.json", capacity: int
         if rest:
             yield flush()
 
-    bounded_batches(docs.sparkSession)
     kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", "text").mapInPandas(
-        pack, f"doc_id {kind}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
-    )
+    schema = f"doc_id {kind}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
+    with small_batches(docs.sparkSession):
+        return written(docs.select("doc_id", "text").mapInPandas(pack, schema), "packed-pieces")
 
 
 def slices(batch: pd.DataFrame, chars: int) -> Iterable[tuple[list, list[str]]]:

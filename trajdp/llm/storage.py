@@ -6,28 +6,57 @@ import ctypes
 import gc
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
+from weakref import WeakKeyDictionary
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+_PLACES: WeakKeyDictionary[DataFrame, str] = WeakKeyDictionary()
+
 
 def shared_folder(spark: SparkSession) -> str:
-    """The session's spark.checkpoint.dir; a temporary folder only where that is unset (tests)."""
-    root = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    root = root or spark.sparkContext.getCheckpointDir()
+    """The session's spark.checkpoint.dir. Unset, a local master (tests) gets a temporary folder and any other an error."""
+    context = spark.sparkContext
+    root = context.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()
     if not root:
+        if not (context.master == "local" or context.master.startswith("local[")):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         root = "file://" + tempfile.mkdtemp(prefix="trajdp-")
-        spark.sparkContext.setCheckpointDir(root)
+        context.setCheckpointDir(root)
     return root
 
 
+def _place(spark: SparkSession, path: str):
+    place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), place
+
+
 def written(df: DataFrame, label: str, codec: str = "zstd") -> DataFrame:
-    """Write ``df`` as a table in the shared folder and read it again: cuts lineage, survives lost executors."""
+    """Write ``df`` as a table in the shared folder and read it again: cuts lineage, survives lost executors.
+
+    The table goes with the application, or before by ``discarded``.
+    """
     spark = df.sparkSession
     path = f"{shared_folder(spark).rstrip('/')}/trajdp/{label}-{uuid.uuid4().hex}"
     df.write.option("compression", codec).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    files, place = _place(spark, path)
+    files.deleteOnExit(place)
+    _PLACES[out] = path
+    return out
+
+
+def discarded(*tables: DataFrame | None) -> None:
+    """Delete tables that ``written`` made and nothing reads any more."""
+    for table in tables:
+        path = _PLACES.pop(table, None) if table is not None else None
+        if path:
+            files, place = _place(table.sparkSession, path)
+            files.delete(place, True)
+            files.cancelDeleteOnExit(place)
 
 
 def by_size(rows: DataFrame, groups: DataFrame, on: list[str], size: str) -> DataFrame:
@@ -39,11 +68,26 @@ def by_size(rows: DataFrame, groups: DataFrame, on: list[str], size: str) -> Dat
     return hot.unionByName(cold)
 
 
-def bounded_batches(spark: SparkSession, rows: int = 1000) -> None:
-    """No more rows of whole texts in an Arrow batch than this: both sides of the exchange hold a batch in memory."""
+@contextmanager
+def small_batches(spark: SparkSession, rows: int = 1000) -> Iterator[None]:
+    """No more rows in an Arrow batch than this while the block runs: both sides of the exchange hold a batch of whole
+    texts in memory. What the block makes must be written in it."""
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if not 0 < int(spark.conf.get(key)) <= rows:
+    before = spark.conf.get(key)
+    if not 0 < int(before) <= rows:
         spark.conf.set(key, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
+def free_name(columns: list[str], name: str) -> str:
+    """``name``, with underscores before it until no column has it, in any case of letters."""
+    taken = {c.lower() for c in columns}
+    while name.lower() in taken:
+        name = "_" + name
+    return name
 
 
 def release_memory() -> None:

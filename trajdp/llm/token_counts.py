@@ -20,7 +20,7 @@ import public_tokenizers
 import regex
 from pyspark.sql import DataFrame
 
-from .storage import bounded_batches
+from .storage import small_batches, written
 from .text import documents
 
 NONE = np.iinfo(np.int64).max
@@ -153,9 +153,9 @@ def token_counts(docs: DataFrame, tokenizer: str = "word_bpe_49k.json", limit: i
                 "over_limit": [k > limit for k in n],
             })
 
-    bounded_batches(docs.sparkSession)
     kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", "text").mapInPandas(count, f"doc_id {kind}, n_bytes long, n_tokens long, over_limit boolean")
+    with small_batches(docs.sparkSession):
+        return written(docs.select("doc_id", "text").mapInPandas(count, f"doc_id {kind}, n_bytes long, n_tokens long, over_limit boolean"), "token-counts")
 
 
 def op2_token_counts(spark, sf_dir: str) -> DataFrame:

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .langid import labelled_sample
-from .storage import bounded_batches, release_memory, written
+from .storage import discarded, free_name, release_memory, small_batches, written
 from .text import documents
 
 WORDS = regex.compile(r"[^\W\d_]+")
@@ -243,8 +243,15 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float, steps: int = 50) -> np.
 
 def fit_toxicity(docs: DataFrame, labels: DataFrame, p: ToxicityParams = ToxicityParams()) -> ToxicityModel:
     """Learn from a bounded sample of each label, outside the held-out fold."""
-    bounded_batches(docs.sparkSession)
-    sample = training_sample(docs, labels, p)
+    with small_batches(docs.sparkSession):
+        sample = training_sample(docs, labels, p)
+        model = learned(sample, p)
+        discarded(sample)
+        return model
+
+
+def learned(sample: DataFrame, p: ToxicityParams) -> ToxicityModel:
+    """The lexicon and weights of a sample (doc_id, text, toxic)."""
     n = {r["toxic"]: r["n"] for r in sample.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
     if not n.get(0) or not n.get(1):
         return ToxicityModel([], np.r_[-3.0, np.zeros(len(FEATURES))], p)
@@ -261,25 +268,36 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, p: ToxicityParams = Toxicit
     return ToxicityModel(terms, logistic(got[list(FEATURES)].to_numpy(), got["toxic"].to_numpy(float), p.ridge), p)
 
 
+def score_names(columns: list[str]) -> tuple[str, str]:
+    """What the columns of score and prediction are called: tox_score and tox_predicted, with underscores before them where a column has that name."""
+    return free_name(columns, "tox_score"), free_name(columns, "tox_predicted")
+
+
 def toxicity_scores(docs: DataFrame, model: ToxicityModel, keep: list[str] | None = None) -> DataFrame:
-    """The columns ``keep`` of every row, with score (0 to 1) and predicted (1 from a score of 0.5 on)."""
+    """The columns ``keep`` of every row, with tox_score (0 to 1) and tox_predicted (1 from a score of 0.5 on), see ``score_names``.
+
+    ``docs`` needs text. The table is written, in small batches of texts.
+    """
     keep = ["doc_id"] if keep is None else keep
     shared = docs.sparkSession.sparkContext.broadcast(model)  # terms that common enough toxic rows of the sample have
+    names = score_names(keep)
+    inputs = list(dict.fromkeys([*keep, "text"]))
+    at = inputs.index("text")
 
     def score(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         model = shared.value
         scanner = Scanner(model.terms, model.params)
         for batch in batches:
-            s = [model.score(scanner.features(t)) for t in batch["text"]]
-            out = {c: batch[c] for c in keep}
-            yield pd.DataFrame(out | {"tox_score": s, "tox_predicted": [int(x >= 0.5) for x in s]})
+            s = [model.score(scanner.features(t)) for t in batch.iloc[:, at]]
+            out = batch if len(keep) == len(inputs) else batch.iloc[:, : len(keep)]
+            yield out.assign(**{names[0]: s, names[1]: [int(x >= 0.5) for x in s]})
         scanner = batch = s = out = None
         release_memory()
 
     kinds = dict(docs.dtypes)
-    inputs = list(dict.fromkeys([*keep, "text"]))
-    schema = ", ".join([*(f"`{c}` {kinds[c]}" for c in keep), "tox_score double", "tox_predicted int"])
-    return docs.select(*inputs).mapInPandas(score, schema)
+    schema = ", ".join([*(f"`{c}` {kinds[c]}" for c in keep), f"{names[0]} double", f"{names[1]} int"])
+    with small_batches(docs.sparkSession):
+        return written(docs.select(*inputs).mapInPandas(score, schema), "toxicity-scores")
 
 
 def training_sample(docs: DataFrame, labels: DataFrame, p: ToxicityParams, folds: int = 5, held: int = 0) -> DataFrame:
