@@ -5,8 +5,8 @@ factor for each source, language and topic, so that the cells, multiplied by
 their three factors, have the wanted marginals. Documents are then sampled with
 a probability in proportion to their cell's product, scaled so that the expected
 tokens meet the rate where no probability passes 1. Raking goes on until the margins
-are met or come no nearer. Up to ``most_cells`` cells it runs over arrays on the
-driver; beyond, as DataFrame expressions with factor tables written after each margin.
+are met or come no nearer. Up to ``most_cells`` cells (they are counted) it is a fold over
+arrays in one row; beyond, factor tables are summed by key and written after each margin.
 """
 
 from __future__ import annotations
@@ -14,11 +14,10 @@ from __future__ import annotations
 import logging
 from dataclasses import dataclass
 
-import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .storage import written
+from .storage import discarded, free_name, written
 from .text import documents, words
 
 MARGINS = ("source", "lang", "topic")
@@ -44,7 +43,7 @@ class MixParams:
     topics: int = 4
     long_word: int = 7
     seed: int = 11
-    most_cells: int = 200_000
+    most_cells: int = 20_000
 
 
 def topic_of(w: str, p: MixParams) -> Column:
@@ -70,16 +69,22 @@ def uniform(seed: int, key: Column) -> Column:
     return F.conv(digits, 16, 10).cast("long") / F.lit(float(1 << 52))
 
 
+def names(columns: list[str]) -> dict[str, str]:
+    """What the columns that ``mixed`` adds are called: mix_ and their key, with underscores before it where a column has that name."""
+    return {k: free_name(columns, f"mix_{k}") for k in (*MARGINS, "tokens", "probability", "kept")}
+
+
 def celled(docs: DataFrame, p: MixParams) -> DataFrame:
-    """``docs`` with mix_source, mix_lang, mix_topic and mix_tokens."""
-    topic = F.coalesce(F.col("topic").cast("string"), F.lit(NONE)) if "topic" in docs.columns else topic_of("mix_words", p)
+    """``docs`` with the source, lang, topic and tokens columns of ``names``."""
+    n, w = names(docs.columns), free_name(docs.columns, "mix_words")
+    topic = F.coalesce(F.col("topic").cast("string"), F.lit(NONE)) if "topic" in docs.columns else topic_of(w, p)
     return (
-        docs.withColumn("mix_words", words(F.col("text")))
-        .withColumn("mix_topic", topic)
-        .withColumn("mix_tokens", F.size("mix_words").cast("long"))
-        .withColumn("mix_source", F.coalesce(F.col("source"), F.lit(NONE)))
-        .withColumn("mix_lang", F.coalesce(F.col("lang"), F.lit(NONE)))
-        .drop("mix_words")
+        docs.withColumn(w, words(F.col("text")))
+        .withColumns({
+            n["topic"]: topic, n["tokens"]: F.size(w).cast("long"),
+            n["source"]: F.coalesce(F.col("source"), F.lit(NONE)), n["lang"]: F.coalesce(F.col("lang"), F.lit(NONE)),
+        })
+        .drop(w)
     )
 
 
@@ -98,11 +103,11 @@ def factor(table: DataFrame, margin: str, value: str, name: str) -> DataFrame:
 
 
 def raked(cells: DataFrame, targets: DataFrame, p: MixParams, few: bool = False) -> DataFrame:
-    """margin, key, factor of raking over the three margins; keys without target or tokens get 0.
+    """source, lang, topic, tokens, ratio: the product of each cell's three factors; keys without target or tokens have factor 0.
 
-    few: the cells were counted and found few, so that they may be collected.
+    few: the cells were counted and found few, so that one row may hold them.
     """
-    found, error = raked_here(cells, targets, p) if few else raked_tables(cells, targets, p)
+    found, error = raked_arrays(cells, targets, p) if few else raked_tables(cells, targets, p)
     if error > p.tolerance:
         LOG.warning("raking ended with a largest margin error of %.3g", error)
     return found
@@ -112,54 +117,83 @@ def ended(error: float, moved: float, p: MixParams) -> bool:
     return not error > p.tolerance or not moved > p.tolerance / 100
 
 
-def raked_here(cells: DataFrame, targets: DataFrame, p: MixParams) -> tuple[DataFrame, float]:
-    """Factors and the largest error of a share, over arrays with one entry for each cell."""
-    rows = cells.select(*MARGINS, "tokens").collect()
-    wanted = {(r["margin"], r["key"]): r["share"] for r in targets.join(keys_of(cells), ["margin", "key"], "left_semi").collect()}
-    keys = {m: sorted({r[m] for r in rows}) for m in MARGINS}
-    at = {m: np.searchsorted(np.array(keys[m], dtype=object), np.array([r[m] for r in rows], dtype=object)) if rows else np.zeros(0, int) for m in MARGINS}
-    tokens = np.array([r["tokens"] for r in rows], dtype=float)
-    share = {m: np.array([wanted.get((m, k)) or 0.0 for k in keys[m]], dtype=float) for m in MARGINS}
-    f = {m: np.ones(len(keys[m])) for m in MARGINS}
-
-    def sums(m: str, weights: np.ndarray) -> np.ndarray:
-        return np.bincount(at[m], weights, minlength=len(keys[m])).astype(float)  # of no rows, integers
-
-    error = moved = float("inf")
-    cell_share = np.zeros(len(tokens))
-    while not ended(error, moved, p):
-        for _ in range(p.rounds):
-            for m in MARGINS:
-                weight = tokens.copy()
-                for k in MARGINS:
-                    if k != m:
-                        weight *= f[k][at[k]]
-                s = sums(m, weight)
-                f[m] = np.divide(share[m], s, out=np.zeros_like(s), where=s > 0)
-        weight = tokens * f[MARGINS[0]][at[MARGINS[0]]] * f[MARGINS[1]][at[MARGINS[1]]] * f[MARGINS[2]][at[MARGINS[2]]]
-        if not weight.sum() > 0:
-            error = 0.0
+def raked_arrays(cells: DataFrame, targets: DataFrame, p: MixParams, most_rounds: int = 200) -> tuple[DataFrame, float]:
+    """The ratios and the largest error of a share. One row holds the cells three times, grouped by each margin, and a
+    fold goes over the margins again and again: a group's factor is its target over the sum of tokens and other factors."""
+    place = {m: free_name([*MARGINS, "tokens"], f"at_{m}") for m in MARGINS}
+    keys = cells.agg(*[F.sort_array(F.collect_set(m)).alias(f"keys_{m}") for m in MARGINS])
+    numbered = cells.join(F.broadcast(keys)).select("tokens", *[F.array_position(f"keys_{m}", F.col(m)).cast("int").alias(place[m]) for m in MARGINS], *MARGINS)
+    numbered = written(numbered.coalesce(1), "mix-numbered")
+    one = numbered.agg(F.sort_array(F.collect_list(F.struct(*place.values(), "tokens"))).alias("cells"))
+    for m in MARGINS:
+        own = factor(targets, m, "share", "t").join(numbered.select(m).distinct(), m, "left_semi")
+        own = own.join(F.broadcast(own.agg(F.sum("t").alias("total")))).select(m, F.try_divide("t", "total").alias("t"))
+        group = numbered.groupBy(m, place[m]).agg(F.sort_array(F.collect_list(F.struct(*place.values(), F.col("tokens").cast("double").alias("tokens")))).alias("cells"))
+        group = group.join(F.broadcast(own), m, "left").select(place[m], F.coalesce("t", F.lit(0.0)).alias("t"), "cells")
+        one = one.join(F.broadcast(group.agg(F.sort_array(F.collect_list(F.struct(place[m], "t", "cells"))).alias(f"by_{m}"))))
+    names_ = ("s", "l", "t")
+    ones = [F.transform(f"by_{m}", lambda g: F.lit(1.0)).alias(k) for m, k in zip(MARGINS, names_)]
+    state = F.struct(*ones, F.transform("cells", lambda c: F.lit(0.0)).alias("share"), F.lit(1.0).alias("error"), F.lit(1.0).alias("moved"), F.lit(False).alias("done"))
+    table = written(one.withColumn("state", state), "mix-raking")
+
+    def times(c: Column, acc: Column, *but: int) -> Column:
+        out = c["tokens"].cast("double")
+        for i, (m, k) in enumerate(zip(MARGINS, names_)):
+            if i not in but:
+                out = out * F.get(acc[k], c[place[m]] - 1)
+        return out
+
+    def summed(cells_: Column, acc: Column, *but: int) -> Column:
+        return F.aggregate(cells_, F.lit(0.0), lambda a, c: a + F.coalesce(times(c, acc, *but), F.lit(0.0)))
+
+    def fields(acc: Column, **new: Column) -> Column:
+        return F.struct(*[new.get(k, acc[k]).alias(k) for k in (*names_, "share", "error", "moved", "done")])
+
+    def swept(acc: Column, i: int) -> Column:
+        f = F.transform(f"by_{MARGINS[i]}", lambda g: F.coalesce(F.try_divide(g["t"], summed(g["cells"], acc, i)), F.lit(0.0)))
+        return fields(acc, **{names_[i]: f})
+
+    def tested(acc: Column) -> Column:
+        def told(total: Column) -> Column:
+            share = F.transform("cells", lambda c: F.coalesce(F.try_divide(times(c, acc), total), F.lit(0.0)))
+            missed = [F.array_max(F.transform(f"by_{m}", lambda g: F.abs(F.try_divide(summed(g["cells"], acc), total) - g["t"]))) for m in MARGINS]
+            moved = F.array_max(F.zip_with(share, acc["share"], lambda x, y: F.abs(x - y)))
+            error = F.when(total > 0, F.greatest(*missed)).otherwise(0.0)
+            return fields(acc, share=share, error=F.coalesce(error, F.lit(0.0)), moved=F.coalesce(moved, F.lit(0.0)))
+
+        def judged(new: Column) -> Column:
+            return fields(new, done=~(new["error"] > p.tolerance) | ~(new["moved"] > p.tolerance / 100))
+
+        whole = F.transform(F.array(summed(F.col("cells"), acc)), told)  # arrays of one bind what is used more than once
+        return F.get(F.transform(whole, judged), F.lit(0))
+
+    length = 3 * p.rounds + 1
+    step = lambda acc, i: (
+        F.when(acc["done"], acc).when(i % length == length - 1, tested(acc)).when(i % length % 3 == 0, swept(acc, 0)).when(i % length % 3 == 1, swept(acc, 1)).otherwise(swept(acc, 2))
+    )
+    blocks = max(1, most_rounds // p.rounds)
+    while True:
+        turns = F.sequence(F.lit(0), F.lit(blocks * length - 1))
+        before, table = table, written(table.withColumn("state", F.aggregate(turns, F.col("state"), step)), "mix-raking")
+        discarded(before)
+        got = table.select("state.error", "state.done").first()
+        if got is None or got["done"]:
             break
-        before, cell_share = cell_share, weight / weight.sum()
-        moved = np.abs(cell_share - before).max()
-        error = max(np.abs(sums(m, cell_share) - share[m] / share[m].sum()).max() for m in MARGINS)
-    table = [(m, k, float(v)) for m in MARGINS for k, v in zip(keys[m], f[m])]
-    return cells.sparkSession.createDataFrame(table, "margin string, key string, factor double"), float(error)
-
-
-def keys_of(cells: DataFrame) -> DataFrame:
-    """margin, key: the keys of the cells."""
-    parts = [cells.select(F.lit(m).alias("margin"), F.col(m).alias("key")).distinct() for m in MARGINS]
-    return parts[0].union(parts[1]).union(parts[2])
+    flat = table.select(F.explode("cells").alias("c"), "state").select("c.*", *[F.get(F.col("state")[k], F.col("c")[place[m]] - 1).alias(f"f_{m}") for m, k in zip(MARGINS, names_)])
+    ratio = F.col(f"f_{MARGINS[0]}") * F.col(f"f_{MARGINS[1]}") * F.col(f"f_{MARGINS[2]}")
+    ratios = numbered.join(F.broadcast(flat.drop("tokens")), list(place.values())).select(*MARGINS, "tokens", ratio.alias("ratio"))
+    return ratios, float(got["error"] if got else 0.0)
 
 
 def raked_tables(cells: DataFrame, targets: DataFrame, p: MixParams) -> tuple[DataFrame, float]:
-    """As raked_here, with a factor table for each margin, whatever the number of cells."""
-    now = {m: cells.select(m).distinct().withColumn("f", F.lit(1.0)) for m in MARGINS}
+    """As raked_arrays, with a factor table for each margin, whatever the number of cells."""
+    now = {m: written(cells.select(m).distinct().withColumn("f", F.lit(1.0)), f"mix-{m}") for m in MARGINS}
 
-    def factors() -> DataFrame:
-        parts = [now[m].select(F.lit(m).alias("margin"), F.col(m).alias("key"), F.col("f").alias("factor")) for m in MARGINS]
-        return parts[0].union(parts[1]).union(parts[2])
+    def multiplied() -> tuple[DataFrame, Column]:
+        rows, product = cells, F.lit(1.0)
+        for m in MARGINS:
+            rows, product = rows.join(now[m].withColumnRenamed("f", f"f_{m}"), m), product * F.col(f"f_{m}")
+        return rows, product
 
     error = moved = float("inf")
     was = None
@@ -172,18 +206,20 @@ def raked_tables(cells: DataFrame, targets: DataFrame, p: MixParams) -> tuple[Da
                         others, product = others.join(now[k].withColumnRenamed("f", f"f_{k}"), k), product * F.col(f"f_{k}")
                 sums = others.groupBy(m).agg(F.sum(product).alias("s"))
                 found = sums.join(factor(targets, m, "share", "t"), m, "left").select(m, F.coalesce(F.try_divide("t", "s"), F.lit(0.0)).alias("f"))
-                now[m] = written(found, f"mix-{m}")  # one margin at a time keeps each plan small
-        weighed, product = cells, F.col("tokens").cast("double")
-        for m in MARGINS:
-            weighed, product = weighed.join(now[m].withColumnRenamed("f", f"f_{m}"), m), product * F.col(f"f_{m}")
-        weighed = weighed.withColumn("weight", product)
+                before, now[m] = now[m], written(found, f"mix-{m}")  # one margin at a time keeps each plan small
+                discarded(before)
+        weighed, product = multiplied()
+        weighed = weighed.withColumn("weight", F.col("tokens") * product)
         total = weighed.agg(F.sum("weight").alias("total"))
         share = written(weighed.join(F.broadcast(total)).select(*MARGINS, F.try_divide("weight", "total").alias("share")), "mix-shares")
         error = float(shares_by_margin(share, targets, "share").agg(F.max(F.abs(F.col("share_share") - F.col("target")))).first()[0] or 0.0)
         if was is not None:
-            moved = float(share.join(was, list(MARGINS)).agg(F.max(F.abs(F.col("share") - F.col("was")))).first()[0] or 0.0)
-        was = share.withColumnRenamed("share", "was")
-    return factors(), error
+            moved = float(share.join(was.withColumnRenamed("share", "was"), list(MARGINS)).agg(F.max(F.abs(F.col("share") - F.col("was")))).first()[0] or 0.0)
+        discarded(was)
+        was = share
+    discarded(was)
+    rows, product = multiplied()
+    return rows.select(*MARGINS, "tokens", product.alias("ratio")), error
 
 
 def shares_by_margin(cells: DataFrame, targets: DataFrame, *values: str) -> DataFrame:
@@ -199,16 +235,12 @@ def shares_by_margin(cells: DataFrame, targets: DataFrame, *values: str) -> Data
     return parts[0].unionByName(parts[1]).unionByName(parts[2])
 
 
-def calibrated(cells: DataFrame, factors: DataFrame, p: MixParams) -> DataFrame:
-    """source, lang, topic, tokens, weight, probability of each cell.
+def calibrated(cells: DataFrame, p: MixParams) -> DataFrame:
+    """source, lang, topic, tokens, weight, probability of each cell with its ratio.
 
     The scale starts as if no probability were cut off at 1; each step gives the
     tokens that full cells can't take to the others.
     """
-    for m in MARGINS:
-        cells = cells.join(factor(factors, m, "factor", f"f_{m}"), m)
-    ratio = F.col(f"f_{MARGINS[0]}") * F.col(f"f_{MARGINS[1]}") * F.col(f"f_{MARGINS[2]}")
-    cells = written(cells.select(*MARGINS, "tokens", ratio.alias("ratio")), "mix-cells")
     weight = F.col("tokens") * F.col("ratio")
     total, all_weight = cells.agg(F.sum("tokens"), F.sum(weight)).first()
     scale = p.rate * total / all_weight if total and all_weight else 0.0
@@ -225,12 +257,15 @@ def calibrated(cells: DataFrame, factors: DataFrame, p: MixParams) -> DataFrame:
 
 def cell_chances(docs: DataFrame, p: MixParams, targets: DataFrame | None) -> tuple[DataFrame, DataFrame, DataFrame, bool]:
     """Celled rows, targets, calibrated cells, and whether these are few."""
-    rows = celled(docs, p)
-    names = [F.col(f"mix_{m}").alias(m) for m in MARGINS]
-    cells = written(rows.select(*names, "mix_tokens").groupBy(*MARGINS).agg(F.sum("mix_tokens").alias("tokens")), "mix-cells")
+    rows, n = celled(docs, p), names(docs.columns)
+    cells = rows.select(*[F.col(n[m]).alias(m) for m in MARGINS], F.col(n["tokens"]).alias("tokens"))
+    cells = written(cells.groupBy(*MARGINS).agg(F.sum("tokens").alias("tokens")), "mix-cells")
     targets = written(tempered_targets(cells, p) if targets is None else targets, "mix-targets")
     few = cells.count() <= p.most_cells  # beyond it Spark chooses, and splits skewed cells
-    return rows, targets, written(calibrated(cells, raked(cells, targets, p, few), p), "mix-probabilities"), few
+    ratios = written(raked(cells, targets, p, few), "mix-ratios")
+    found = written(calibrated(ratios, p), "mix-probabilities")
+    discarded(cells, ratios)
+    return rows, targets, found, few
 
 
 def margin_report(docs: DataFrame, p: MixParams = MixParams(), targets: DataFrame | None = None) -> DataFrame:
@@ -248,18 +283,20 @@ def mixed(docs: DataFrame, p: MixParams = MixParams(), targets: DataFrame | None
     """``docs`` with mix_source, mix_lang, mix_topic, mix_tokens, mix_probability and mix_kept.
 
     ``docs`` needs doc_id, text, lang and source; a column topic is the topic, where
-    there is one, else topic_of stands in. Null sources, languages and topics are
-    a category of their own; null and empty texts have no tokens and no topic,
-    and are sampled with their cell. ``targets`` (margin, key, share) replaces
-    the tempered shares; keys that it leaves out get probability 0. The same
-    doc_id always draws the same number, so repeated rows stay or go together.
-    An empty table stays empty.
+    there is one, else topic_of stands in. Other columns stay as they are; where one
+    has the name of an added one, that gets underscores before it (``names`` tells).
+    Null sources, languages and topics are a category of their own; null and empty
+    texts have no tokens and no topic, and are sampled with their cell. ``targets``
+    (margin, key, share) replaces the tempered shares; keys that it leaves out get
+    probability 0. The same doc_id always draws the same number, so repeated rows
+    stay or go together, and so do rows with a null doc_id. An empty table stays empty.
     """
     rows, _, found, few = cell_chances(docs, p, targets)
-    found = found.select(*[F.col(m).alias(f"mix_{m}") for m in MARGINS], F.col("probability").alias("mix_probability"))
-    return rows.join(F.broadcast(found) if few else found, [f"mix_{m}" for m in MARGINS], "left").withColumn(
-        "mix_kept", uniform(p.seed, F.col("doc_id")) < F.coalesce("mix_probability", F.lit(0.0))
-    )
+    n = names(docs.columns)
+    found = found.select(*[F.col(m).alias(n[m]) for m in MARGINS], F.col("probability").alias(n["probability"]))
+    out = rows.join(F.broadcast(found) if few else found, [n[m] for m in MARGINS], "left")
+    out = out.withColumn(n["kept"], uniform(p.seed, F.col("doc_id")) < F.coalesce(n["probability"], F.lit(0.0)))
+    return out.select(*docs.columns, *n.values())
 
 
 def op5_mixing(spark, sf_dir: str) -> DataFrame:
@@ -270,7 +307,8 @@ def op5_mixing(spark, sf_dir: str) -> DataFrame:
 
 
 def oracle_ctes(p: MixParams = MixParams(), table: str = "documents") -> str:
-    """CTEs up to ``mixed_rows`` for DuckDB: one for each margin of each round and each step of the scale."""
+    """CTEs up to ``mixed_rows`` for DuckDB, after WITH RECURSIVE. A recursion step is a round over all margins; as in
+    ``raked``, every ``rounds`` of them it is tested whether the margins are met or the shares have ceased to move."""
     counts = ", ".join(f"len(list_filter(initials, lambda x: x = {k}))" for k in range(p.topics))
     out = [f"""mix_in AS (
   SELECT *, row_number() OVER () AS mix_rid, regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+') AS w,
@@ -281,16 +319,22 @@ mix_rows AS MATERIALIZED (SELECT *, CASE WHEN list_max(topic_n) > 0 THEN 't' ||
 cells AS MATERIALIZED (SELECT mix_source AS source, mix_lang AS lang, mix_topic AS topic, sum(mix_tokens)::DOUBLE AS tokens FROM mix_rows GROUP BY ALL)"""]
     for m, power in zip(MARGINS, p.tempers):
         out.append(f"t_{m} AS MATERIALIZED (SELECT {m}, v / nullif(sum(v) OVER (), 0) AS t FROM (SELECT {m}, pow(sum(tokens), {power}) AS v FROM cells GROUP BY {m}))")
-        out.append(f"f0_{m} AS MATERIALIZED (SELECT {m}, 1.0::DOUBLE AS f FROM t_{m})")
-    now = {m: f"f0_{m}" for m in MARGINS}
-    for i in range(1, p.rounds + 1):
-        for m in MARGINS:
-            a, b = (k for k in MARGINS if k != m)
-            out.append(f"""f{i}_{m} AS MATERIALIZED (SELECT {m}, coalesce(t / nullif(s, 0), 0) AS f FROM (
-  SELECT c.{m}, sum(tokens * x.f * y.f) AS s FROM cells c JOIN {now[a]} x USING ({a}) JOIN {now[b]} y USING ({b}) GROUP BY c.{m}) JOIN t_{m} USING ({m}))""")
-            now[m] = f"f{i}_{m}"
-    out.append("ratios AS MATERIALIZED (SELECT source, lang, topic, tokens, x.f * y.f * z.f AS ratio FROM cells "
-               + " ".join(f"JOIN {now[m]} {v} USING ({m})" for m, v in zip(MARGINS, "xyz")) + ")")
+    share = "tokens * f_source * f_lang * f_topic"
+    scaled = "coalesce(t_{m} / nullif(sum(tokens * f_{a} * f_{b}) OVER (PARTITION BY {m}), 0), 0) AS f_{m}"
+    step = f"SELECT * FROM rake WHERE i % {p.rounds} <> 0 OR i = 0 OR (error > {p.tolerance!r} AND moved > {p.tolerance / 100!r})"
+    for m in MARGINS:
+        a, b = (k for k in MARGINS if k != m)
+        step = f"SELECT * REPLACE ({scaled.format(m=m, a=a, b=b)}) FROM ({step})"
+    step = f"SELECT * REPLACE (i + 1 AS i, {share} / nullif(sum({share}) OVER (), 0) AS share) FROM ({step})"
+    missed = ", ".join(f"abs(sum(share) OVER (PARTITION BY {m}) - t_{m}) AS e_{m}" for m in MARGINS)
+    step = f"SELECT *, {missed} FROM ({step})"
+    end = f"i % {p.rounds} = 0"
+    step = f"""SELECT i, source, lang, topic, tokens, t_source, t_lang, t_topic, f_source, f_lang, f_topic, share, CASE WHEN {end} THEN share ELSE was END AS was,
+  CASE WHEN {end} THEN max(greatest(e_source, e_lang, e_topic)) OVER () ELSE error END AS error, CASE WHEN {end} THEN max(abs(share - was)) OVER () ELSE moved END AS moved FROM ({step})"""
+    out.append(f"""rake AS (SELECT 0 AS i, source, lang, topic, tokens, s.t AS t_source, l.t AS t_lang, c.t AS t_topic, 1.0::DOUBLE AS f_source, 1.0::DOUBLE AS f_lang, 1.0::DOUBLE AS f_topic,
+  0.0::DOUBLE AS share, 0.0::DOUBLE AS was, 1.0::DOUBLE AS error, 1.0::DOUBLE AS moved FROM cells JOIN t_source s USING (source) JOIN t_lang l USING (lang) JOIN t_topic c USING (topic)
+  UNION ALL {step})""")
+    out.append("ratios AS MATERIALIZED (SELECT source, lang, topic, tokens, f_source * f_lang * f_topic AS ratio FROM rake WHERE i = (SELECT max(i) FROM rake))")
     out.append(f"k0 AS MATERIALIZED (SELECT coalesce({p.rate} * sum(tokens) / nullif(sum(tokens * ratio), 0), 0) AS k FROM ratios)")
     for i in range(p.scaling):
         out.append(f"""k{i + 1} AS MATERIALIZED (SELECT CASE WHEN rest > 0 AND taken IS NOT NULL AND {p.rate} * total - taken > 0 THEN ({p.rate} * total - taken) / rest ELSE k END AS k FROM (
@@ -303,5 +347,5 @@ cells AS MATERIALIZED (SELECT mix_source AS source, mix_lang AS lang, mix_topic
 
 
 def oracle(p: MixParams = MixParams()) -> str:
-    return f"""WITH {oracle_ctes(p)}
+    return f"""WITH RECURSIVE {oracle_ctes(p)}
 SELECT doc_id, mix_source AS source, mix_lang AS lang, mix_topic AS topic, mix_tokens AS n_tokens, round(probability, 6) AS probability, kept FROM mixed_rows"""
