@@ -1,12 +1,12 @@
 """Lines that repeat an earlier line, or differ from it by one word.
 
-Equal lines are found by a hash of their words. For near ones each line gives
-its deletion neighbourhood within one edit of words: all variants without one
-word, as hashed keys. Keys carry the position of the missing word, so two lines
-with an equal key differ in that word alone, and a line equal to another's
-variant lacks that word alone: the join itself verifies the edit distance.
+Equal lines are found by a 128-bit hash of their words. For near ones each line
+gives its deletion neighbourhood within one edit of words: all variants without
+one word, as hashed keys that carry the place of the missing word. Lines with an
+equal key are partners, and their words are compared; where a key has met two
+lines that are no partners, its lines are met again by their variants' words.
 Only lines that share a half with another line can have such a partner, so only
-they give variants. The earliest line by (doc_id, line number) stays.
+they give variants. The earliest line by (doc_id, text hash, line number) stays.
 All of it is SQL expressions; groups are summed up before they are shuffled.
 """
 
@@ -18,29 +18,34 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .exact_dedup import block_pattern
-from .storage import by_size, written
+from .storage import by_size, discarded, free_name, written
 from .text import documents, words
 
 
 @dataclass(frozen=True)
 class LineParams:
-    """least_words: shorter lines always stay. near_words: shorter lines only match equal ones."""
+    """least_words: shorter lines always stay. near_words: shorter lines only match equal ones.
+
+    key_bits: of a variant's key that are used; fewer make foreign lines meet (tests).
+    """
 
     least_words: int = 5
     near_words: int = 10
     most_blocks: int = 1 << 20
+    key_bits: int = 64
 
 
-def position() -> Column:
-    return F.struct("doc_id", "line_no")
+def position(prefix: str = "") -> Column:
+    """Rows of one doc_id with different texts are different documents; rows with equal ones are one."""
+    return F.struct(*[F.col(f"{prefix}{k}") for k in ("doc_id", "text_hash", "line_no")])
 
 
 def lines_of(docs: DataFrame, p: LineParams) -> DataFrame:
-    """doc_id, line_no, line, n, h1, h2, halves of each line with enough words."""
-    rows = docs.select("doc_id", F.posexplode(F.split(F.coalesce("text", F.lit("")), "\n")).alias("line_no", "line"))
+    """doc_id, text_hash, line_no, line, n, h1, h2, halves of each line with enough words."""
+    rows = docs.select("doc_id", F.xxhash64("text").alias("text_hash"), F.posexplode(F.split(F.coalesce("text", F.lit("")), "\n")).alias("line_no", "line"))
     rows = rows.withColumn("w", words(F.col("line"))).withColumn("n", F.size("w")).where(F.col("n") >= p.least_words)
     return rows.select(
-        "doc_id", "line_no", "line", "n", F.xxhash64("w").alias("h1"), F.xxhash64(F.lit(1), "w").alias("h2"),
+        "doc_id", "text_hash", "line_no", "line", "n", F.xxhash64("w").alias("h1"), F.xxhash64(F.lit(1), "w").alias("h2"),
         F.when(F.col("n") >= p.near_words, halves("w", F.col("n"))).alias("halves"),
     )
 
@@ -94,78 +99,143 @@ def variants(w: str, n: Column) -> Column:
     return F.get(F.transform(F.array(F.struct(at.alias("a"), moved.alias("b"), n.alias("n"), size.alias("size"))), keyed), F.lit(0))
 
 
-def repeated_lines(docs: DataFrame, p: LineParams = LineParams()) -> DataFrame:
-    """doc_id, line_no, near, first_doc_id, first_line_no of each line that an earlier line repeats.
+def within_one(w: Column, v: Column) -> Column:
+    """Whether two arrays of words differ by one word replaced, left out or added."""
+    n, m = F.size(w), F.size(v)
+    same = F.zip_with(w, v, lambda x, y: x.eqNullSafe(y))  # the shorter one is filled up with nulls
+    first = F.array_position(same, F.lit(False)).cast("int")  # from 1; 0: equal
+    behind = lambda x, k, size: F.slice(x, k, F.greatest(size, F.lit(1)))
+    return (first > 0) & (
+        F.when(n == m, behind(w, first + 1, n) == behind(v, first + 1, m))
+        .when(n == m + 1, behind(w, first + 1, n) == behind(v, first, m))
+        .when(n + 1 == m, behind(w, first, n) == behind(v, first + 1, m))
+        .otherwise(F.lit(False))
+    )
 
-    ``near`` is false if the earlier line has the same words; otherwise it
-    differs by one word replaced, left out or added. The first_ columns name the
-    earliest such line (of equal lines, if there are any). White space is not
-    compared. Lines with fewer than ``least_words`` words are never listed.
-    """
+
+def marked_rows(rows: DataFrame, at: Column, marks: DataFrame, p: LineParams) -> DataFrame:
+    """The rows whose hash ``at`` is one of ``marks`` (at), and a few others: a Bloom filter of bounded size."""
+    blocks = 1 << 10
+    while blocks < min(p.most_blocks, marks.count() // 4):
+        blocks *= 2
+    block, pattern = block_pattern(F.col("at"), F.xxhash64(F.lit(3), "at"), blocks)
+    bloom = marks.select(block.alias("block"), pattern.alias("pattern")).groupBy("block").agg(F.bit_or("pattern").alias("filter"))
+    tested = rows.withColumn("at", at).withColumn("block", block).withColumn("pattern", pattern)
+    tested = tested.join(F.broadcast(bloom), "block").where(F.col("filter").bitwiseAND(F.col("pattern")) == F.col("pattern"))
+    return tested.drop("block", "pattern", "filter")
+
+
+def earliest_partners(told: DataFrame, key: str) -> DataFrame:
+    """key, own, partner: of lines that meet in a key, the earliest one before each that can be its partner."""
+    role = lambda k: F.min(F.when(F.col("role") == k, F.col("own")))
+    groups = told.groupBy(key).agg(*[role(k).alias(f"p{k}") for k in range(3)], F.min("own").alias("low"), F.max("own").alias("high"))
+    groups = groups.where("low <> high").select(key, "p0", "p1", "p2")
+    partner = F.when(F.col("role") == 0, F.col("p0")).when(F.col("role") == 1, F.col("p2")).otherwise(F.col("p1"))
+    return told.join(groups, key).select(key, "own", partner.alias("partner")).where("partner < own")
+
+
+def spelt_variants(w: str, n: Column) -> Column:
+    """The variants of ``variants`` with their words in place of hashes: (key, role)."""
+    without = lambda i: F.array_join(F.concat(F.slice(w, F.lit(1), i), F.slice(w, i + 2, n)), " ")
+    spelt = lambda kind, size, i, text: F.concat_ws("|", F.lit(kind), size.cast("string"), i.cast("string"), text)
+    each = F.sequence(F.lit(0), n - 1)
+    none = F.lit(-1)
+    return F.concat(
+        F.transform(each, lambda i: F.struct(spelt("r", n, i, without(i)).alias("key"), F.lit(0).alias("role"))),
+        F.array(F.struct(spelt("d", n, none, F.array_join(w, " ")).alias("key"), F.lit(1).alias("role"))),
+        F.transform(each, lambda i: F.struct(spelt("d", n - 1, none, without(i)).alias("key"), F.lit(2).alias("role"))),
+    )
+
+
+def near_lines(base: DataFrame, first: DataFrame, p: LineParams) -> DataFrame:
+    """own, partner: the first place of each line with an earlier line that differs by a word, and the earliest such."""
+    place = lambda x: F.xxhash64(F.lit(2), x["doc_id"], x["text_hash"], x["line_no"])
+    keys = first.where("halves is not null").select(F.explode("halves").alias("key"), place(F.col("first")).alias("at"))
+    shared = keys.groupBy("key").agg(F.count(F.lit(1)).alias("lines")).where("lines > 1").select("key")  # a line's own halves have different keys
+    close = written(keys.join(shared, "key", "left_semi").select("at").distinct(), "lines-close")
+
+    lines = base.where(F.col("n") >= p.near_words).select(position().alias("own"), "line")
+    chosen = marked_rows(lines, place(F.col("own")), close, p).withColumn("w", words(F.col("line")))
+    told = chosen.select("own", F.explode(variants("w", F.size("w"))).alias("v")).select("own", "v.key", "v.role")
+    if p.key_bits < 64:
+        told = told.withColumn("key", F.col("key").bitwiseAND(F.lit((1 << p.key_bits) - 1)))
+    pairs = written(earliest_partners(told, "key"), "lines-pairs")
+
+    # equal keys are no proof: the words of each pair are compared
+    ends = written(pairs.select(place(F.col("own")).alias("at")).union(pairs.select(place(F.col("partner")).alias("at"))).distinct(), "lines-ends")
+    texts = marked_rows(lines, place(F.col("own")), ends, p).select("own", words(F.col("line")).alias("w"))
+    both = pairs.join(texts, "own").join(texts.select(F.col("own").alias("partner"), F.col("w").alias("v")), "partner")
+    both = written(both.select("key", "own", "partner", within_one(F.col("w"), F.col("v")).alias("near")), "lines-compared")
+    near = both.where("near").select("own", "partner")
+    foreign = both.where("not near").select("key").distinct()
+    if not foreign.isEmpty():
+        again = written(told.join(foreign, "key", "left_semi").select(place(F.col("own")).alias("at")).distinct(), "lines-again")
+        spelt = marked_rows(lines, place(F.col("own")), again, p).withColumn("w", words(F.col("line")))
+        spelt = spelt.select("own", F.explode(spelt_variants("w", F.size("w"))).alias("v")).select("own", "v.key", "v.role")
+        near = near.union(earliest_partners(spelt, "key").select("own", "partner"))
+    found = written(near.groupBy("own").agg(F.min("partner").alias("partner")), "lines-near")
+    discarded(close, pairs, ends, both)
+    return found
+
+
+def found_lines(docs: DataFrame, p: LineParams) -> DataFrame:
+    """As ``repeated_lines``, with text_hash."""
     base = written(lines_of(docs, p), "lines")
     same = ["h1", "h2"]
     first = written(
-        base.groupBy(*same).agg(
-            F.min(position()).alias("first"), F.count(F.lit(1)).alias("copies"), F.min("n").alias("n"), F.first("halves").alias("halves")
-        ),
-        "lines-distinct",
+        base.groupBy(*same).agg(F.min(position()).alias("first"), F.count(F.lit(1)).alias("copies"), F.first("halves").alias("halves")), "lines-distinct"
     )
-    keys = first.where("halves is not null").select(*same, "first", F.explode("halves").alias("key"))
-    shared = keys.groupBy("key").agg(F.min("h1").alias("low"), F.max("h1").alias("high")).where("low <> high").select("key")
-    close = keys.join(shared, "key", "left_semi").select(*same, "first").distinct()
-
-    # which lines to take variants of: a Bloom filter of bounded size over their places; what it takes in besides does no harm
-    place = lambda a, b: (F.xxhash64(F.lit(2), a, b), F.xxhash64(F.lit(3), a, b))
-    h, g = place(F.col("first.doc_id"), F.col("first.line_no"))
-    marked = written(close.select(h.alias("at"), g.alias("at2")), "lines-close")
-    blocks = 1 << 10
-    while blocks < min(p.most_blocks, marked.count() // 4):
-        blocks *= 2
-    block, pattern = block_pattern(F.col("at"), F.col("at2"), blocks)
-    bloom = marked.select(block.alias("block"), pattern.alias("pattern")).groupBy("block").agg(F.bit_or("pattern").alias("filter"))
-    h, g = place(F.col("doc_id"), F.col("line_no"))
-    chosen = base.where(F.col("n") >= p.near_words).select("doc_id", "line_no", "line", "n", *same, h.alias("at"), g.alias("at2"))
-    chosen = chosen.withColumn("block", block).withColumn("pattern", pattern)
-    chosen = chosen.join(F.broadcast(bloom), "block").where(F.col("filter").bitwiseAND(F.col("pattern")) == F.col("pattern"))
-    told = chosen.withColumn("w", words(F.col("line"))).select(
-        "doc_id", "line_no", *same, F.explode(variants("w", F.size("w"))).alias("v")
-    ).select("doc_id", "line_no", *same, "v.key", "v.role")
-    role = lambda k: F.min(F.when(F.col("role") == k, position()))
-    groups = told.groupBy("key").agg(
-        *[role(k).alias(f"p{k}") for k in range(3)], F.min("h1").alias("low"), F.max("h1").alias("high")
-    ).where("low <> high").select("key", "p0", "p1", "p2")
-    partner = F.when(F.col("role") == 0, F.col("p0")).when(F.col("role") == 1, F.col("p2")).otherwise(F.col("p1"))
-    near = told.join(groups, "key").select(*same, position().alias("own"), partner.alias("partner")).where("partner < own")
-    near = near.groupBy(*same).agg(F.min("partner").alias("near_first"))
+    near = near_lines(base, first, p)
 
     # rows of lines that occur more than once, and of those with an earlier near line, by line
-    found = first.join(near, same, "left").where("copies > 1 or near_first is not null").select(*same, "first", "copies", "near_first")
-    later = by_size(base.select("doc_id", "line_no", *same), found, same, "copies")
+    found = first.drop("halves").join(near, F.col("first").eqNullSafe(F.col("own")), "left").where("copies > 1 or partner is not null")
+    found = written(found.select(*same, "first", "copies", "partner"), "lines-found")
+    later = by_size(base.select("doc_id", "text_hash", "line_no", *same), found, same, "copies")
+    discarded(first, near)
     own = F.col("first") < position()
-    partner = F.when(own, F.col("first")).otherwise(F.col("near_first"))
-    return later.where(own | (F.col("near_first") < position())).select(
-        "doc_id", "line_no", (~own).alias("near"), partner["doc_id"].alias("first_doc_id"), partner["line_no"].alias("first_line_no")
+    partner = F.when(own, F.col("first")).otherwise(F.col("partner"))
+    return later.where(own | (F.col("partner") < position())).select(
+        "doc_id", "text_hash", "line_no", (~own).alias("near"), partner["doc_id"].alias("first_doc_id"), partner["line_no"].alias("first_line_no")
     )
 
 
+def repeated_lines(docs: DataFrame, p: LineParams = LineParams()) -> DataFrame:
+    """doc_id, line_no, near, first_doc_id, first_line_no of each line that an earlier line repeats.
+
+    ``near`` is false if the earlier line has the same words; otherwise it
+    differs by one word replaced, left out or added. The first_ columns name the
+    earliest such line (of equal lines, if there are any). White space is not
+    compared. The edit bound is one word. Lines with fewer than ``near_words``
+    words are only listed for an equal line, those with fewer than ``least_words``
+    never. Null doc_ids come first. Rows of one doc_id (or of none) with different
+    texts are documents of their own; rows with equal ones are the same document,
+    whose lines don't repeat each other. Null and empty texts have no lines.
+    An empty table gives no rows.
+    """
+    return found_lines(docs.select("doc_id", "text"), p).drop("text_hash")
+
+
 def without_repeated_lines(docs: DataFrame, p: LineParams = LineParams()) -> DataFrame:
     """``docs`` without their repeated lines; documents that lose all their words go.
 
-    ``docs`` needs doc_id and text. Null and empty texts have no lines to lose
-    and stay as they are. Lines are told apart by (doc_id, line number), so rows
-    of the same doc_id should not repeat; if they do, a line found repeated goes
-    from each. Null doc_ids are one document. An empty table stays empty.
+    ``docs`` needs doc_id and text; other columns stay as they are, whatever their
+    names. Null and empty texts have no lines to lose and stay as they are. A line
+    goes from the rows with that doc_id and text alone, so rows that share a doc_id
+    (or have none) lose only their own. An empty table stays empty.
     """
-    gone = repeated_lines(docs.select("doc_id", "text"), p)
-    gone = gone.groupBy("doc_id").agg(F.collect_set("line_no").alias("gone_lines"))  # a document's own lines: as long as its text
-    pair = docs.join(gone, docs["doc_id"].eqNullSafe(gone["doc_id"]), "left").drop(gone["doc_id"])
-    kept = F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("gone_lines", i)), "\n")
-    out = pair.withColumn("kept_text", F.when(F.col("gone_lines").isNull(), F.col("text")).otherwise(kept))
-    out = out.where(F.col("gone_lines").isNull() | F.col("kept_text").rlike("[^\\x20\\x09-\\x0D]"))
-    return out.withColumn("text", F.col("kept_text")).select(*docs.columns)
+    names = {k: free_name(docs.columns, k) for k in ("gone_lines", "gone_id", "gone_hash", "kept_text")}
+    lines, doc, text_hash, text = names.values()
+    gone = found_lines(docs.select("doc_id", "text"), p)
+    gone = gone.groupBy(F.col("doc_id").alias(doc), F.col("text_hash").alias(text_hash)).agg(F.collect_set("line_no").alias(lines))  # a document's own lines: as long as its text
+    pair = docs.join(gone, docs["doc_id"].eqNullSafe(gone[doc]) & (F.xxhash64(docs["text"]) == gone[text_hash]), "left")
+    kept = F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains(lines, i)), "\n")
+    out = pair.withColumn(text, F.when(F.col(lines).isNull(), F.col("text")).otherwise(kept))
+    out = out.where(F.col(lines).isNull() | F.col(text).rlike("[^\\x20\\x09-\\x0D]"))
+    return out.select(*[F.col(text).alias(c) if c == "text" else F.col(c) for c in docs.columns])
 
 
 def op9_line_dedup(spark, sf_dir: str) -> DataFrame:
+    """Every line of whole texts; an edit bound of one word, from ten words on (from five on for equal lines)."""
     return repeated_lines(documents(spark, sf_dir))
 
 
