@@ -71,73 +71,134 @@ def step(role: int, costs: RepairCosts) -> np.ndarray:
     return m
 
 
-@lru_cache(maxsize=4)
-def steps(costs: RepairCosts) -> tuple[np.ndarray, ...]:
-    return tuple(step(r, costs) for r in range(4))
+def closing_roles(a: int) -> tuple[int, ...]:
+    return () if a == LAST else (*inserted(a, LAST), LAST)
 
 
-def closing(costs: RepairCosts) -> np.ndarray:
-    """Cost of what must follow each state at the end."""
-    return np.array([costs.insert * len(closing_roles(a)) for a in range(4)], np.int64)
+def opened(before: int, role: int) -> str:
+    return ("<|end|>\n" if before else "") + f"<|{ROLES[role]}|>\n"
 
 
-def closing_roles(a: int) -> tuple[int, ...]:
-    return () if a == LAST else (*inserted(a, LAST), LAST)
+class Tables:
+    """What each move of the automaton costs and renders, by state, role and the turn's own role."""
 
+    def __init__(self, costs: RepairCosts):
+        self.steps = np.stack([step(r, costs) for r in range(4)])
+        self.closing = np.array([costs.insert * len(closing_roles(a)) for a in range(4)], np.int64)
+        most = 4
+        self.added = np.zeros((4, 4), np.int64)  # turns put in before a turn of the role
+        self.added_role = np.zeros((4, 4, most), np.int64)
+        self.added_text = np.full((4, 4, most), "", object)
+        self.own_text = np.full((4, 4), "", object)
+        self.own_cost = np.zeros((4, 4, 4), np.int64)
+        self.own_action = np.full((4, 4, 4), "", object)
+        for a in range(4):
+            for b in (1, 2, 3):
+                cost, merge = link(a, b, costs)
+                last = a
+                for j, r in enumerate(() if merge else inserted(a, b) or ()):
+                    self.added[a, b], self.added_role[a, b, j], self.added_text[a, b, j] = j + 1, r, opened(last, r)
+                    last = r
+                self.own_text[a, b] = "\n" if merge else opened(last, b)
+                for own in range(4):
+                    label = 0 if own == b else costs.unknown if own == 0 else costs.relabel
+                    self.own_cost[a, b, own] = label + (cost if merge else 0)
+                    self.own_action[a, b, own] = ("merge" if merge else "keep") + ("+relabel" if label else "")
+        self.ends = np.array([len(closing_roles(a)) for a in range(4)], np.int64)
+        self.end_role = np.zeros((4, most), np.int64)
+        self.end_text = np.full((4, most), "", object)
+        for a in range(4):
+            last = a
+            for j, r in enumerate(closing_roles(a)):
+                self.end_role[a, j], self.end_text[a, j] = r, opened(last, r)
+                last = r
+        self.insert = costs.insert
 
-def matrix(roles: list[int], costs: RepairCosts) -> np.ndarray:
-    """Costs from each state to each state over a run of turns."""
-    m = np.where(np.eye(4, dtype=bool), 0, FAR)
-    for r in roles:
-        m = np.minimum((m[:, :, None] + steps(costs)[r][None]).min(axis=1), FAR)
-    return m
 
+@lru_cache(maxsize=4)
+def tables(costs: RepairCosts) -> Tables:
+    return Tables(costs)
+
+
+def matrix(roles: np.ndarray, costs: RepairCosts) -> np.ndarray:
+    """Costs from each state to each state over a run of turns: neighbouring turns' matrices meet in pairs, until one is left."""
+    m = np.where(np.eye(4, dtype=bool), 0, FAR)[None] if not len(roles) else tables(costs).steps[np.asarray(roles, int)]
+    while len(m) > 1:
+        odd = m[len(m) & ~1 :]
+        left, right = m[0 : len(m) & ~1 : 2], m[1 : len(m) & ~1 : 2]
+        m = np.concatenate([np.minimum((left[:, :, :, None] + right[:, None]).min(axis=2), FAR), odd])
+    return m[0]
 
-def cheapest(roles: list[int], costs: RepairCosts, start: int = 0, end: int | None = None) -> list[int]:
-    """The role of each turn in the cheapest repair from a state to a state (None: to a legal end).
 
-    Of equal costs the earlier state in ROLES wins, from the last turn backwards.
+def cheapest(roles: np.ndarray, sizes: np.ndarray, costs: RepairCosts, start: int = 0, end: int | None = None) -> np.ndarray:
+    """The role of each turn in the cheapest repair of runs of ``sizes`` turns, from a state to a state (None: to a legal end).
+
+    All runs go ahead together, turn by turn. Of equal costs the earlier state
+    in ROLES wins, from the last turn backwards.
     """
-    best = np.full(4, FAR, np.int64)
-    best[start] = 0
-    back = []
-    for r in roles:
-        through = best[:, None] + steps(costs)[r]
-        back.append(through.argmin(axis=0))
-        best = through.min(axis=0)
-    state = int((best + closing(costs)).argmin()) if end is None else end
-    out = []
-    for b in reversed(back):
-        out.append(state)
-        state = int(b[state])
-    return out[::-1]
+    t, roles, sizes = tables(costs), np.asarray(roles, np.int64), np.asarray(sizes, np.int64)
+    first = np.cumsum(sizes) - sizes
+    best = np.full((len(sizes), 4), FAR, np.int64)
+    best[:, start] = 0
+    back = np.zeros((len(roles), 4), np.int8)
+    order = np.argsort(-sizes, kind="stable")  # of these, the runs that have a turn k come first
+    longest = sizes[order]
+    count = np.searchsorted(-longest, -np.arange(int(longest[0]) if len(longest) else 0), side="left")
+    for k, n in enumerate(count.tolist()):
+        run = order[:n]
+        at = first[run] + k
+        through = best[run][:, :, None] + t.steps[roles[at]]
+        back[at] = through.argmin(axis=1)
+        best[run] = through.min(axis=1)
+    state = (best + t.closing).argmin(axis=1) if end is None else np.full(len(sizes), end)
+    out = np.zeros(len(roles), np.int64)
+    for k in range(len(count) - 1, -1, -1):
+        run = order[: count[k]]
+        at = first[run] + k
+        out[at] = state[run]
+        state[run] = back[at, state[run]]
+    return out
 
 
 COLUMNS = ["conv_id", "turn", "part", "role", "action", "cost", "rendered"]
 
 
-def repaired(run: pd.DataFrame, costs: RepairCosts, start: int, end: int | None) -> pd.DataFrame:
-    """The repaired turns of a run, each with its fragment of the rendered text: joined in order they are all of it."""
-    out, state = [], start
-    for (conv, turn, own, text), role in zip(run[["conv_id", "turn", "own", "text"]].itertuples(index=False), cheapest(run["own"].tolist(), costs, start, end)):
-        text = text if isinstance(text, str) else ""
-        cost, merge = link(state, role, costs)
-        label = 0 if own == role else costs.unknown if own == 0 else costs.relabel
-        part = 0
-        if not merge:
-            for r in inserted(state, role):
-                out.append((conv, turn, part, ROLES[r], "insert", costs.insert, opened(state, r)))
-                state, part = r, part + 1
-        action = ("merge" if merge else "keep") + ("+relabel" if label else "")
-        out.append((conv, turn, part, ROLES[role], action, label + (cost if merge else 0), ("\n" if merge else opened(state, role)) + text))
-        state = role
-    if end is None and len(run):
-        conv, turn = run[["conv_id", "turn"]].iloc[-1]
-        for k, r in enumerate(closing_roles(state)):
-            out.append((conv, turn, 1000 + k, ROLES[r], "insert", costs.insert, opened(state, r)))
-            state = r
-        out.append((conv, turn, 2000, ROLES[state], "end", 0, "<|end|>\n"))
-    return pd.DataFrame(out, columns=COLUMNS)
+NAME = np.array(ROLES, object)
+
+
+def repaired(run: pd.DataFrame, sizes: np.ndarray, costs: RepairCosts, start: int, end: int | None) -> pd.DataFrame:
+    """The repaired turns of runs, each with its fragment of the rendered text: joined in order they are all of it."""
+    t, own = tables(costs), run["own"].to_numpy(np.int64)
+    role = cheapest(own, sizes, costs, start, end)
+    sizes = np.asarray(sizes, np.int64)
+    before = np.r_[0, role[:-1]] if len(role) else role
+    before[np.cumsum(sizes) - sizes] = start
+    conv, turn = run["conv_id"].to_numpy(), run["turn"].to_numpy()
+    text = np.array([x if isinstance(x, str) else "" for x in run["text"]], object)
+
+    rows = t.added[before, role] + 1
+    at = np.repeat(np.arange(len(role)), rows)
+    part = np.arange(len(at)) - np.repeat(np.cumsum(rows) - rows, rows)
+    mine = part == rows[at] - 1
+    a, b, o = before[at], role[at], own[at]
+    out = [pd.DataFrame({
+        "conv_id": conv[at], "turn": turn[at], "part": part, "role": NAME[np.where(mine, b, t.added_role[a, b, np.minimum(part, 3)])],
+        "action": np.where(mine, t.own_action[a, b, o], "insert"), "cost": np.where(mine, t.own_cost[a, b, o], t.insert),
+        "rendered": np.where(mine, t.own_text[a, b] + text[at], t.added_text[a, b, np.minimum(part, 3)]),
+    })]
+    if end is None and len(role):
+        last = np.cumsum(sizes) - 1
+        state, n = role[last], t.ends[role[last]]
+        at = np.repeat(np.arange(len(last)), n + 1)
+        j = np.arange(len(at)) - np.repeat(np.cumsum(n + 1) - n - 1, n + 1)
+        close = j == n[at]
+        put = t.end_role[state[at], np.minimum(j, 3)]
+        final = np.where(n > 0, t.end_role[state, np.maximum(n - 1, 0)], state)
+        out.append(pd.DataFrame({
+            "conv_id": conv[last][at], "turn": turn[last][at], "part": np.where(close, 2000, 1000 + j), "role": NAME[np.where(close, final[at], put)],
+            "action": np.where(close, "end", "insert"), "cost": np.where(close, 0, t.insert), "rendered": np.where(close, "<|end|>\n", t.end_text[state[at], np.minimum(j, 3)]),
+        }))
+    return pd.concat(out, ignore_index=True)[COLUMNS] if len(run) else pd.DataFrame(columns=COLUMNS)
 
 
 def filled(run: pd.DataFrame) -> pd.DataFrame:
@@ -148,10 +209,6 @@ def filled(run: pd.DataFrame) -> pd.DataFrame:
     return run[["kind", "pid", "run", "m", "own", "text", *COLUMNS]]
 
 
-def opened(before: int, role: int) -> str:
-    return ("<|end|>\n" if before else "") + f"<|{ROLES[role]}|>\n"
-
-
 def formatted(turns: DataFrame, costs: RepairCosts = RepairCosts()) -> DataFrame:
     """The repaired turns: conv_id, turn, part, role, action, cost, rendered.
 
@@ -174,34 +231,41 @@ def formatted(turns: DataFrame, costs: RepairCosts = RepairCosts()) -> DataFrame
     def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         """Repairs conversations that lie inside a range; passes on the others' turns and their cost matrices."""
         context = TaskContext.get()
-        pid, number, kept, matrix_now = context.partitionId() if context else 0, 0, [], None
-        key, first = None, True
+        pid, number, kept, key = context.partitionId() if context else 0, 0, [], None
 
-        def done(last: bool) -> pd.DataFrame:
+        def open_run(last: int) -> pd.DataFrame:
             run = pd.concat(kept, ignore_index=True)
-            if first or last:
-                m = matrix(run["own"].tolist(), costs)
-                run = run.assign(pid=pid, run=number, m=None)
-                run.at[0, "m"] = m.ravel().tolist()
-                return filled(run.assign(kind="open"))
-            return filled(repaired(run, costs, 0, None).assign(kind="done"))
+            m = matrix(run["own"].to_numpy(np.int64), costs)
+            run = run.assign(pid=pid, run=last, m=None)
+            run.at[0, "m"] = m.ravel().tolist()
+            return filled(run.assign(kind="open"))
+
+        def done(rows: pd.DataFrame, sizes: np.ndarray) -> pd.DataFrame:
+            return filled(repaired(rows, sizes, costs, 0, None).assign(kind="done"))
 
         for batch in batches:
-            ids = batch["conv_id"]
-            change = ((ids != ids.shift()) & ~(ids.isna() & ids.shift().isna())).to_numpy()
-            change[0] = False
-            at = [0, *np.flatnonzero(change).tolist(), len(batch)]
-            for i, j in zip(at, at[1:]):
-                part = batch.iloc[i:j]
-                now = (pd.isna(part["conv_id"].iloc[0]), part["conv_id"].iloc[0] if not pd.isna(part["conv_id"].iloc[0]) else 0)
-                if kept and now != key:
-                    yield done(False)
-                    kept.clear()
-                    first, number = False, number + 1
-                key = now
-                kept.append(part)
+            if not len(batch):
+                continue
+            ids, null = batch["conv_id"], batch["conv_id"].isna().to_numpy()
+            change = ((ids != ids.shift()).to_numpy() & ~(null & np.r_[False, null[:-1]])).astype(bool)
+            change[0] = key is not None and (bool(null[0]), None if null[0] else ids.iloc[0]) != key
+            at = np.flatnonzero(change)
+            key = (bool(null[-1]), None if null[-1] else ids.iloc[-1])
+            if not len(at):
+                kept.append(batch)
+                continue
+            kept.append(batch.iloc[: at[0]])
+            if number == 0:  # the range's first conversation may have begun before
+                yield open_run(0)
+            else:
+                run = pd.concat(kept, ignore_index=True)
+                yield done(run, np.array([len(run)]))
+            number = 1
+            if len(at) > 1:
+                yield done(batch.iloc[at[0] : at[-1]], np.diff(at))
+            kept = [batch.iloc[at[-1] :]]
         if kept:
-            yield done(True)
+            yield open_run(number)
 
     schema = f"kind string, pid int, run int, m array<long>, own int, text string, {fields}"
     table = written(rows.select("conv_id", "turn", "own", "text").mapInPandas(cut, schema), "chat-runs")
@@ -216,7 +280,7 @@ def formatted(turns: DataFrame, costs: RepairCosts = RepairCosts()) -> DataFrame
         ms = [np.array(r["m"]).reshape(4, 4) for r in group]
         for k, m in enumerate(ms):
             best[k + 1] = np.minimum((best[k][:, None] + m).min(axis=0), FAR)
-        state, path = int((best[-1] + closing(costs)).argmin()), []
+        state, path = int((best[-1] + tables(costs).closing).argmin()), []
         for k in range(len(group) - 1, -1, -1):
             before = int((best[k] + ms[k][:, state]).argmin())
             path.append((group[k], before, state))
@@ -228,7 +292,7 @@ def formatted(turns: DataFrame, costs: RepairCosts = RepairCosts()) -> DataFrame
         start, end = known[int(run["pid"].iloc[0]), int(run["run"].iloc[0])]
         run = run.assign(size=[len(t) if isinstance(t, str) else 0 for t in run["text"]], t=[t if isinstance(t, str) else "" for t in run["text"]])
         run = run.sort_values(["turn", "own", "size", "t"], kind="stable", na_position="first")
-        return repaired(run, costs, start, end)
+        return repaired(run, np.array([len(run)]), costs, start, end)
 
     crossing = table.where("kind = 'open'").groupBy("pid", "run").applyInPandas(finish, fields)
     return finished.unionByName(crossing)
