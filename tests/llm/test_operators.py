@@ -129,7 +129,7 @@ def test_chat_repair_is_cheapest(spark):
             for own, role in zip(roles, labels):
                 cost += chat.link(state, role, costs)[0] + (0 if own == role else costs.unknown if own == 0 else costs.relabel)
                 state = role
-            best = min(best, cost + chat.closing(costs)[state])
+            best = min(best, cost + chat.tables(costs).closing[state])
         return best
 
     names = {0: None, 1: "System", 2: " human", 3: "gpt"}
@@ -222,9 +222,9 @@ def near_brute(docs, span, percent):
     return sorted((i, len(sets[i]), find(i)) for i in sets)
 
 
-@pytest.mark.parametrize("span, percent, leaf", [(3, 90, 64), (3, 90, 16), (5, 80, 16)])
-def test_jaccard_join_equals_brute_force(spark, span, percent, leaf):
-    rng, docs = random.Random(span * leaf), []
+@pytest.mark.parametrize("span, percent, few, pivots", [(3, 90, 16, 32), (3, 90, 1, 4), (5, 80, 2, 3), (5, 80, 1, 1)])
+def test_jaccard_join_equals_brute_force(spark, span, percent, few, pivots):
+    rng, docs = random.Random(span * 16), []
     vocabulary = [f"w{i}" for i in range(400)]
     templates = [rng.choices(vocabulary, k=n) for n in (12, 60, 150, 150)]
     for i in range(260):  # copies of four templates with edits, so that regions are large and chained
@@ -234,7 +234,7 @@ def test_jaccard_join_equals_brute_force(spark, span, percent, leaf):
         docs.append((i, " ".join(w)))
     docs += [(900, None), (901, ""), (902, "just two"), (903, "JUST  two"), (904, "one")]
     df = spark.createDataFrame(docs, "doc_id long, text string").withColumn("n", F.lit("clash"))
-    got = by_id(jaccard_join.near_duplicates(df, jaccard_join.JoinParams(span=span, percent=percent, leaf=leaf, more=2, block=16)))
+    got = by_id(jaccard_join.near_duplicates(df, jaccard_join.JoinParams(span=span, percent=percent, few=few, pivots=pivots)).drop("text_hash"))
     assert got == near_brute(docs, span, percent)
 
 

@@ -2,23 +2,27 @@
 
 Copies of a set are one point of the metric space. Points whose sets share none
 of their rarest shingles are farther apart than the limit, which cuts the space
-into regions, one for each such shingle. A large region gets a pivot: points within
-the limit of it are linked to it, hence to each other; what lies outside forms a
-smaller region, into which the triangle inequality replicates only those points
-of the pivot's ball that an outer point can reach. Regions are joined in this way
-again until they are small enough to be joined directly, in blocks.
-
-Points carry the parities of their shingles in 1024 classes. Parities that
-differ are a lower bound of the sets' difference, so pairs beyond the limit are
-seldom compared; all others are, by their whole texts. How common shingles are
-is told by a sketch of bounded size; any order of them gives exact results, a
-good one small regions.
+into first regions, one for each such shingle. In every region pivots are chosen.
+A region of a few points has each of them as a pivot. In a larger one every point
+is measured to all pivots: pairs with a pivot that may be within the limit are
+compared, pivots that lie apart become the centres of Voronoi regions, and the
+triangle inequality replicates a point into each region whose centre is nearer than
+its own centre plus twice the limit. Regions that fall apart in this way are joined
+again; others are first cut by the next rare shingle that two linked sets must share.
+
+Distances to pivots come from a sketch of each set: its size and the parities of
+its shingles in 1024 classes. With h, the larger of the number of parities that
+differ and the difference of sizes, 2 h / (n + m + h) is a metric (h is one, and
+sizes differ by no more than h) and never above the Jaccard distance, so that its
+windows lose no pair. Pairs it can't tell apart are compared by their whole texts,
+each point's nearest first, and the others only if no links join them by then. How
+common shingles are is told by a sketch of bounded size; any order of them gives
+exact results, a good one small regions.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from contextlib import contextmanager
 from dataclasses import dataclass
 
 import numpy as np
@@ -27,7 +31,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .exact_dedup import block_pattern
-from .storage import bounded_batches, by_size, release_memory, written
+from .storage import by_size, discarded, release_memory, small_batches, written
 from .text import documents
 
 U = np.uint64
@@ -39,14 +43,14 @@ LETTER = np.random.default_rng(20).integers(1, 1 << 63, 256, dtype=np.uint64)
 
 @dataclass(frozen=True)
 class JoinParams:
-    """Linked: percent * union <= 100 * intersection. leaf: points of a region that are joined directly at first;
-    with each round of pivots it is ``more`` times as many."""
+    """Linked: percent * union <= 100 * intersection. few: points of a region that are all pivots. pivots: about how many
+    a larger region has. extra: how many more shingles than the first cut needs are kept for later cuts."""
 
     span: int = 5
     percent: int = 80
-    leaf: int = 64
-    more: int = 8
-    block: int = 4096
+    few: int = 16
+    pivots: int = 32
+    extra: int = 4
     sketch_bits: int = 18
     most_blocks: int = 1 << 20
     slice_bytes: int = 2_000_000
@@ -108,18 +112,6 @@ def in_slices(batches: Iterator[pd.DataFrame], size: int, *columns: str) -> Iter
             yield rows
 
 
-@contextmanager
-def small_batches(spark, rows: int):
-    """Fewer rows in an Arrow batch while pairs of whole texts are compared."""
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    before = spark.conf.get(key)
-    spark.conf.set(key, str(rows))
-    try:
-        yield
-    finally:
-        spark.conf.set(key, before)
-
-
 def shingle_sketch(docs: DataFrame, p: JoinParams) -> np.ndarray:
     """How many documents have a shingle in each of 2^sketch_bits buckets, over all documents."""
 
@@ -140,10 +132,10 @@ def shingle_sketch(docs: DataFrame, p: JoinParams) -> np.ndarray:
 
 
 def points(docs: DataFrame, sketch: np.ndarray, p: JoinParams) -> DataFrame:
-    """doc_id, n, fp1, fp2, common, rare, odd: size and fingerprint of each set, its rarest shingles and how common
-    they are, and the parities of its classes."""
+    """doc_id, text_hash, n, fp1, fp2, first, rare, odd: size and fingerprint of each set, its rarest shingles, the first of which
+    two linked sets must share one, and the parities of its classes."""
     shared = docs.sparkSession.sparkContext.broadcast(sketch)
-    names = ["n", "fp1", "fp2", "common", "rare", "odd"]
+    names = ["n", "fp1", "fp2", "first", "rare", "odd"]
 
     def shingled(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingler, sketch = Shingler(p.span), shared.value
@@ -153,15 +145,16 @@ def points(docs: DataFrame, sketch: np.ndarray, p: JoinParams) -> DataFrame:
                 n = len(h)
                 often = sketch[(h >> U(64 - p.sketch_bits)).astype(np.int64)]
                 keep = n - (p.percent * n + 99) // 100 + 1 if n else 0
-                at = np.lexsort((h, often))[:keep]
+                at = np.lexsort((h, often))[: keep + p.extra]
                 m = mixed(h + ODD)
                 parity = np.packbits((np.bincount((m & U(1023)).astype(np.int64), minlength=1024) & 1).astype(np.uint8)).view(np.int64)
-                out.append((n, int(m.sum().view(np.int64)) if n else 0, int(np.bitwise_xor.reduce(mixed(m)).view(np.int64)) if n else 0, float(often[at].mean()) if n else 0.0, h[at].view(np.int64), parity))
-            yield pd.DataFrame(out, columns=names).assign(doc_id=rows["doc_id"].to_numpy())[["doc_id", *names]]
+                out.append((n, int(m.sum().view(np.int64)) if n else 0, int(np.bitwise_xor.reduce(mixed(m)).view(np.int64)) if n else 0, keep, h[at].view(np.int64), parity))
+            keys = {k: rows[k].to_numpy() for k in ("doc_id", "text_hash")}
+            yield pd.DataFrame(out, columns=names).assign(**keys)[["doc_id", "text_hash", *names]]
         release_memory()
 
     kind = dict(docs.dtypes)["doc_id"]
-    return docs.select("doc_id", "text").mapInPandas(shingled, f"doc_id {kind}, n long, fp1 long, fp2 long, common double, rare array<long>, odd array<long>")
+    return docs.select("doc_id", "text", F.xxhash64("text").alias("text_hash")).mapInPandas(shingled, f"doc_id {kind}, text_hash long, n long, fp1 long, fp2 long, first int, rare array<long>, odd array<long>")
 
 
 def measured_pairs(pairs: DataFrame, docs: DataFrame, p: JoinParams) -> DataFrame:
@@ -202,121 +195,157 @@ def measured_pairs(pairs: DataFrame, docs: DataFrame, p: JoinParams) -> DataFram
         return written(two.select("a", "b", "text_a", "text_b").mapInPandas(measure, f"a {kind}, b {kind}, both long, either long"), "join-pairs")
 
 
-def differing(a: str, b: str) -> Column:
-    """In how many classes the parities differ: at most the size of the sets' symmetric difference."""
-    return F.aggregate(F.zip_with(a, b, lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda n, x: n + x)
+def differing(x: Column, n: Column, y: Column, m: Column) -> Column:
+    """The sketch's part of two sets' symmetric difference, from parities and sizes."""
+    parities = F.aggregate(F.zip_with(x, y, lambda u, v: F.bit_count(u.bitwiseXOR(v))), F.lit(0), lambda a, u: a + u)
+    return F.greatest(parities.cast("long"), F.abs(n - m))
+
+
+def distance(h: Column, total: Column) -> Column:
+    """The sketch's distance of two sets with ``total`` elements."""
+    return 2.0 * h / (total + h)
+
+
+def within(h: Column, total: Column, p: JoinParams) -> Column:
+    """Whether sets with ``total`` elements that differ by ``h`` of them are within the limit."""
+    return h * (100 + p.percent) <= total * (100 - p.percent)
 
 
-def within(parity: Column, total: Column, p: JoinParams) -> Column:
-    """Whether so large a difference of two sets with ``total`` elements is within the limit."""
-    return parity * (100 + p.percent) <= total * (100 - p.percent)
+def chance(x: Column) -> Column:
+    """A number from 0 on, below 2^62, told by the point alone: the same points are pivots wherever they meet."""
+    return F.xxhash64(F.lit(6), x).bitwiseAND(F.lit((1 << 62) - 1))
 
 
-def block_pairs(members: DataFrame, p: JoinParams, nearest: bool) -> DataFrame:
-    """a, b, far: pairs of each region's members, and in how many classes they differ, that sizes and parities let
-    pass, block by block; with ``nearest`` only each member's likeliest partner in a block. Members of equal mark,
-    which are known to be linked, and two that came in from a pivot's ball make no pair.
+def small_region_pairs(small: DataFrame, about: DataFrame, p: JoinParams) -> DataFrame:
+    """a, b, far: the sketch's distance of the pairs of regions in which every point is a pivot, where it is within the limit."""
+    mine = small.join(about.select("id", "n"), "id").select("region", "id", "n")
+    other = mine.select("region", F.col("id").alias("b"), F.col("n").alias("m"))
+    near = F.least("n", "m") * 100 >= F.greatest("n", "m") * p.percent  # else the sizes alone keep them apart
+    pairs = mine.join(other, "region").where((F.col("id") < F.col("b")) & near).select(F.col("id").alias("a"), "b").distinct()
+    side = lambda k: about.select(F.col("id").alias(k), F.col("n").alias(f"{k}_n"), F.col("odd").alias(f"{k}_odd"))
+    pairs = pairs.join(side("a"), "a").join(side("b"), "b")
+    pairs = pairs.withColumn("h", differing(F.col("a_odd"), F.col("a_n"), F.col("b_odd"), F.col("b_n")))
+    total = F.col("a_n") + F.col("b_n")
+    return pairs.where(within(F.col("h"), total, p)).select("a", "b", distance(F.col("h"), total).alias("far"))
 
-    A region larger than a block is cut into blocks by a hash; each task gets
-    two of them at most, whatever the region's size.
+
+def measured_to_pivots(large: DataFrame, about: DataFrame, label: DataFrame | None, pivots: int, p: JoinParams) -> DataFrame:
+    """region, id, at, level, is_pivot, over, near, cells, centres of each point of large regions.
+
+    near: (distance, pivot) of the pivots that may be within the limit and have another class so far. cells: the
+    centres whose Voronoi region, widened by twice the limit, holds the point. over: the pivots were all points outside
+    one class, so that the region is done. Regions of a single class are left out.
     """
-    kind = dict(members.dtypes)["id"]
-    count = F.ceil(F.col("size") / p.block).cast("int")
-    own = F.pmod(F.xxhash64(F.lit(6), "id"), F.col("k")).cast("int")
-    rows = members.withColumn("k", count).withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
-    rows = rows.select("region", "id", "n", "inner", "mark", "odd", "own", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"))
-
-    def compare(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values("id", kind="stable")
-        ids, n, inner, own, mark = rows["id"].to_numpy(), rows["n"].to_numpy(np.int64), rows["inner"].to_numpy(bool), rows["own"].to_numpy(), rows["mark"].to_numpy()
-        odd = np.stack(rows["odd"].to_numpy()).view(np.uint64)
-        left = own if rows["lo"].iloc[0] != rows["hi"].iloc[0] else np.arange(len(ids))
-        out = []
-        for i in range(0, len(ids), 64):
-            part = slice(i, i + 64)
-            fits = (left[part, None] < left[None]) & (mark[part, None] != mark[None]) & ~(inner[part, None] & inner[None])
-            total = n[part, None] + n[None]
-            fits &= np.minimum(n[part, None], n[None]) * 100 >= np.maximum(n[part, None], n[None]) * p.percent
-            x, y = np.nonzero(fits)
-            for j in range(0, len(x), 100_000):
-                u, v = x[j : j + 100_000], y[j : j + 100_000]
-                far = np.bitwise_count(odd[u + i] ^ odd[v]).sum(axis=1, dtype=np.int64)
-                near = far * (100 + p.percent) <= total[u, v] * (100 - p.percent)
-                u, v, far = u[near], v[near], far[near]
-                if nearest:
-                    order = np.lexsort((v, far, u))
-                    order = order[np.flatnonzero(np.r_[True, np.diff(u[order]) != 0])] if len(order) else order
-                    u, v, far = u[order], v[order], far[order]
-                out.append((ids[u + i], ids[v], far))
-        a, b, far = (np.concatenate(z) for z in zip(*out)) if out else (ids[:0], ids[:0], n[:0])
-        return pd.DataFrame({"a": np.minimum(a, b), "b": np.maximum(a, b), "far": far.astype(np.int32)})
-
-    return rows.groupBy("region", "lo", "hi").applyInPandas(compare, f"a {kind}, b {kind}, far int")
-
-
-def linked_points(rows: DataFrame, about: DataFrame, docs: DataFrame, p: JoinParams) -> DataFrame | None:
-    """a, b: links that connect all points within the limit of each other.
-
-    rows: region, id of each point in each region; about: id, n, common, odd of each point.
+    rows = large.join(about.select("id", "n", "odd"), "id").withColumn("chance", chance(F.col("id")))
+    rows = rows.withColumn("class", F.col("id")) if label is None else rows.join(label, "id", "left").withColumn("class", F.coalesce("class", "id"))
+    rows = written(rows, "join-large")
+    stats = rows.groupBy("region").agg(
+        F.count(F.lit(1)).alias("size"), F.min("chance").alias("low"), F.min_by("class", "chance").alias("lead"), F.min("class").alias("one"), F.max("class").alias("two")
+    ).where("one <> two")
+    marked = rows.join(stats.select("region", "size", "low", "lead"), "region")
+    # where few points lie outside the class of the least one, these are the pivots: what is left has one class
+    strangers = marked.groupBy("region").agg(F.sum((F.col("class") != F.col("lead")).cast("int")).alias("strangers"))
+    marked = marked.join(strangers, "region")
+    share = F.floor(F.lit(float(1 << 62)) * pivots / F.col("size")).cast("long")
+    own = F.when(F.col("strangers") <= pivots, F.col("class") != F.col("lead")).otherwise(F.col("chance") <= F.greatest("low", share))
+    marked = marked.withColumn("is_pivot", own).withColumn("over", F.col("strangers") <= pivots)
+    marked = written(marked.drop("strangers", "lead", "low", "size"), "join-marked")
+    chosen = marked.where("is_pivot").groupBy("region").agg(F.sort_array(F.collect_list(F.struct("chance", "id", "class", "n", "odd"))).alias("pivots"))  # about ``pivots``
+    between = lambda x, y: distance(differing(x["odd"], x["n"], y["odd"], y["n"]), x["n"] + y["n"])
+    limit = 1 - p.percent / 100
+    apart = F.filter("pivots", lambda x, i: ~F.exists(F.slice("pivots", F.lit(1), i), lambda y: between(x, y) <= limit))
+    chosen = chosen.withColumn("centres", F.transform(apart, lambda x: x["id"]))
+    told = marked.join(chosen, "region")
+    me = F.struct("odd", "n")
+    far = F.transform("pivots", lambda x: F.struct(between(me, x).alias("far"), x["id"].alias("pivot"), x["class"].alias("class")))
+    told = told.withColumn("far", far).select("region", "id", "at", "level", "is_pivot", "over", "class", "centres", "far")
+    near = F.filter("far", lambda x: (x["far"] <= limit + 1e-12) & (x["class"] != F.col("class")))
+    central = F.filter("far", lambda x: F.array_contains("centres", x["pivot"]))
+    told = told.withColumn("central", central).withColumn("home", F.array_min(F.transform("central", lambda x: x["far"])))
+    cells = F.transform(F.filter("central", lambda x: x["far"] <= F.col("home") + 2 * limit + 1e-9), lambda x: x["pivot"])
+    near = F.sort_array(F.transform(near, lambda x: F.struct(x["far"].alias("far"), x["pivot"].alias("pivot"))))
+    out = written(told.select("region", "id", "at", "level", "is_pivot", "over", near.alias("near"), cells.alias("cells"), F.size("centres").alias("centres")), "join-judged")
+    discarded(rows, marked)
+    return out
+
+
+def next_regions(judged: DataFrame, about: DataFrame, p: JoinParams) -> DataFrame:
+    """region, id, at, level of the points that are no pivots: in Voronoi regions where these share out the points,
+    else cut by each later shingle of which linked sets share one more."""
+    left = judged.where("not is_pivot and not over")
+    spread = left.groupBy("region").agg((F.sum(F.size("cells")) <= 2 * F.count(F.lit(1))).alias("apart"))
+    left = left.join(spread, "region")
+    apart = F.col("apart") & (F.col("centres") > 1)
+    voronoi = left.where(apart).select("region", F.explode("cells").alias("cell"), "id", "at", "level")
+    voronoi = voronoi.select(F.xxhash64(F.lit(7), "region", "cell").alias("region"), "id", "at", "level")
+    rest = left.where(~apart)
+    whole = rest.where(F.col("level") > p.extra).select("region", "id", "at", "level")  # no more shingles: fewer points, more pivots
+    cut = rest.where(F.col("level") <= p.extra).join(about.select("id", "first", "rare"), "id")
+    later = F.slice("rare", F.col("at") + 1, F.greatest(F.col("first") + F.col("level") - F.col("at"), F.lit(0)))
+    cut = cut.select("region", "id", "at", "level", F.posexplode(later).alias("more", "shingle"))
+    cut = cut.select(F.xxhash64(F.lit(8), "region", "shingle").alias("region"), "id", (F.col("at") + F.col("more") + 1).alias("at"), (F.col("level") + 1).alias("level"))
+    return written(voronoi.unionByName(whole).unionByName(cut), "join-regions")
+
+
+def linked_points(about: DataFrame, docs: DataFrame, p: JoinParams, trace: list | None = None) -> DataFrame:
+    """id, class: the smallest id that links lead to, of every point within the limit of another.
+
+    about: id, n, first, rare, odd of each point. trace: gets the counts of each round.
     """
-    links, leaf, few = None, p.leaf, 16
-    regions = rows.withColumn("inner", F.lit(False))
-    odd, brief = about.select("id", "n", "odd"), about.select("id", "n", "common")
-    near = lambda x, y: F.least(x, y) * 100 >= F.greatest(x, y) * p.percent  # noqa: E731  else the sizes alone keep them apart
-    side = lambda k: odd.select(F.col("id").alias(k), F.col("n").alias(f"{k}_n"), F.col("odd").alias(f"{k}_odd"))
+    regions = about.select("id", F.posexplode(F.slice("rare", F.lit(1), F.col("first"))).alias("at", "region"))
+    regions = regions.select("region", "id", (F.col("at") + 1).alias("at"), F.lit(1).alias("level"))
+    links, label, tested, pivots, made = None, None, None, p.pivots, None
+    close = f"100 * both >= {p.percent} * either"
     while True:
-        # most regions have one point: they go before anything but two numbers a row is moved
+        # most regions have one point: they go before anything but numbers is moved
         size = regions.groupBy("region").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
-        members = written(regions.join(size, "region").select("region", "id", "inner", "size"), "join-members")
-        members = members.join(brief, "id")
-
-        small = members.where(F.col("size") <= few).select("region", "id", "n", "inner")
-        other = small.select("region", F.col("id").alias("b"), F.col("n").alias("m"), F.col("inner").alias("b_inner"))
-        direct = small.join(other, "region").where((F.col("id") < F.col("b")) & near(F.col("n"), F.col("m")) & ~(F.col("inner") & F.col("b_inner")))
-        direct = direct.select(F.col("id").alias("a"), "b").distinct().join(side("a"), "a").join(side("b"), "b")
-        direct = direct.withColumn("far", differing("a_odd", "b_odd")).where(within(F.col("far"), F.col("a_n") + F.col("b_n"), p)).select("a", "b", "far")
-        middle = members.where((F.col("size") > few) & (F.col("size") <= leaf)).join(odd.select("id", "odd"), "id")
-
-        crowd = members.where(F.col("size") > leaf)
-        top = crowd.groupBy("region").agg(F.max(F.struct(~F.col("inner"), "common", "id")).alias("top")).select("region", F.col("top.id").alias("a"))
-        crowd = written(crowd.join(top, "region").where("a <> id").select("region", "id", "n", "a"), "join-crowd")
-        apart = crowd.select("a", "id").distinct().join(side("a"), "a").join(odd.select("id", "odd"), "id")
-        apart = apart.select("a", "id", "a_n", differing("a_odd", "odd").alias("far"))
-        large = written(crowd.join(apart, ["a", "id"]).select("region", "id", "n", "a", "a_n", "far"), "join-large")
-        star = large.where(near(F.col("n"), F.col("a_n")) & within(F.col("far"), F.col("n") + F.col("a_n"), p))
-        star = star.select("a", F.col("id").alias("b"))
-        likely = block_pairs(middle.withColumn("mark", F.col("id")), p, nearest=True)
-        direct = written(direct, "join-candidates")
-        pairs = direct.union(likely).groupBy("a", "b").agg(F.first("far").alias("far"))
-        # each point's likeliest partner first; of the others only pairs that these links leave apart
+        members = written(regions.join(size, "region"), "join-members")
+        discarded(made)
+        direct = written(small_region_pairs(members.where(F.col("size") <= p.few), about, p), "join-direct")
+        large = members.where(F.col("size") > p.few).drop("size")
+        judged = None if large.isEmpty() else measured_to_pivots(large, about, label, pivots, p)
+        pairs = direct
+        if judged is not None:
+            near = judged.select("id", F.explode("near").alias("x"))
+            pairs = pairs.unionByName(near.select(F.least("id", "x.pivot").alias("a"), F.greatest("id", "x.pivot").alias("b"), "x.far"))
+        if label is not None:
+            named = lambda k: label.select(F.col("id").alias(k), F.col("class").alias(f"{k}_class"))
+            pairs = pairs.join(tested, ["a", "b"], "left_anti").join(named("a"), "a", "left").join(named("b"), "b", "left")
+            pairs = pairs.where("coalesce(a_class, a) <> coalesce(b_class, b)").select("a", "b", "far")
+        pairs = written(pairs, "join-pairs-to-compare")
+        # each point's nearest first; of the others only pairs that these links leave apart
         one = pairs.groupBy("a").agg(F.min(F.struct("far", "b")).alias("t")).select("a", "t.b")
         two = pairs.groupBy("b").agg(F.min(F.struct("far", "a")).alias("t")).select("t.a", "b")
-        first = written(star.union(one).union(two).distinct(), "join-first")
-        found = measured_pairs(first, docs, p)
-        close = found.where(f"100 * both >= {p.percent} * either").select("a", "b")
-        links = close if links is None else links.union(close)
-        label = written(classes(links), "join-labels")
+        first = written(one.union(two).distinct(), "join-first")
+        found = measured_pairs(first, docs, p).where(close).select("a", "b")
+        before, links = links, written(found if links is None else links.union(found), "join-links")
+        old, label = label, classes(links)
+        discarded(before, old)
         named = lambda k: label.select(F.col("id").alias(k), F.col("class").alias(f"{k}_class"))
-        apart = block_pairs(middle.join(label.select("id", "class"), "id", "left").withColumn("mark", F.coalesce("class", "id")), p, nearest=False)
-        rest = direct.union(apart).select("a", "b").distinct().join(first, ["a", "b"], "left_anti").join(named("a"), "a", "left").join(named("b"), "b", "left")
+        rest = pairs.select("a", "b").distinct().join(first, ["a", "b"], "left_anti").join(named("a"), "a", "left").join(named("b"), "b", "left")
         rest = written(rest.where("coalesce(a_class, a) <> coalesce(b_class, b)").select("a", "b"), "join-rest")
-        links = links.union(measured_pairs(rest, docs, p).where(f"100 * both >= {p.percent} * either").select("a", "b"))
-        if large.isEmpty():
-            return links
-
-        # distance to the pivot, or what it is at least
-        known = large.join(found.select("a", F.col("b").alias("id"), "both", "either"), ["a", "id"], "left")
-        total = F.col("n") + F.col("a_n")
-        least = F.greatest(1 - F.least("n", "a_n") / F.greatest("n", "a_n"), 1 - (total - F.col("far")) / (total + F.col("far")))
-        distance = F.when(F.col("either").isNull(), least).otherwise(1 - F.col("both") / F.col("either"))
-        linked = F.coalesce(F.col("both") * 100 >= F.col("either") * p.percent, F.lit(False))
-        known = written(known.select("region", "id", distance.alias("d"), linked.alias("ball")), "join-distances")
-        outer = known.where("not ball").groupBy("region").agg(F.min("d").alias("least"))
-        reach = F.col("d") >= F.col("least") - (1 - p.percent / 100) - 1e-9
-        regions = written(
-            known.join(outer, "region").where(~F.col("ball") | reach).select("region", "id", F.col("ball").alias("inner")), "join-regions"
-        )
-        leaf *= p.more
+        compared = 0
+        if not rest.isEmpty():
+            before, links = links, written(links.union(measured_pairs(rest, docs, p).where(close).select("a", "b")), "join-links")
+            old, label = label, classes(links)
+            discarded(before, old)
+        if judged is not None:
+            before, tested = tested, written(first.union(rest) if tested is None else tested.union(first).union(rest), "join-tested")
+            discarded(before)
+        if trace is not None:
+            few = members.where(F.col("size") <= p.few)
+            row = {"regions": size.count(), "pivots_of_small": few.select("region", "id").count(), "compared": first.count() + rest.count(), "pairs": pairs.count()}
+            if judged is not None:
+                left = judged.where("not is_pivot").agg(F.count(F.lit(1)).alias("points"), F.sum(F.size("cells")).alias("placed")).first()
+                row |= {"large": large.select("region").distinct().count(), "pivots": judged.where("is_pivot").count(), "points": left["points"], "placed": left["placed"] or 0}
+            trace.append(row)
+        discarded(direct, pairs, first, rest)
+        if judged is None:
+            discarded(members, links, tested)
+            return label
+        made = next_regions(judged, about, p)
+        discarded(members, judged)
+        regions, pivots = made, min(2 * pivots, 4096)
 
 
 def classes(links: DataFrame) -> DataFrame:
@@ -326,43 +355,58 @@ def classes(links: DataFrame) -> DataFrame:
     while not links.isEmpty():
         both = links.union(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
         to = written(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("to")), "join-steps")
-        label = written(label.join(to.withColumnRenamed("a", "class"), "class", "left").select("id", F.coalesce("to", "class").alias("class")), "join-labels")
+        old, label = label, written(label.join(to.withColumnRenamed("a", "class"), "class", "left").select("id", F.coalesce("to", "class").alias("class")), "join-labels")
         ends = links.join(to.select("a", F.col("to").alias("x")), "a").join(to.select(F.col("a").alias("b"), F.col("to").alias("y")), "b")
-        links = written(ends.where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct(), "join-links")
+        gone, links = links, written(ends.where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct(), "join-links")
+        discarded(old, gone, to)
+    discarded(links)
     return label
 
 
-def near_duplicates(docs: DataFrame, p: JoinParams = JoinParams()) -> DataFrame:
-    """One row per document: doc_id, n_shingles, component_id.
+def by_own_ids(docs: DataFrame, p: JoinParams, trace: list | None) -> DataFrame:
+    """As ``near_duplicates`` where rows share a doc_id but no text: they get numbers of their own meanwhile."""
+    rows = written(docs.withColumn("own", F.monotonically_increasing_id()), "join-own")
+    found = near_duplicates(rows.select(F.col("own").alias("doc_id"), "text"), p, trace)
+    found = written(rows.select("own", "doc_id").join(found.withColumnRenamed("doc_id", "own"), "own").drop("own"), "join-own-classes")
+    least = found.where("n_shingles > 0").groupBy("component_id").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("size"))
+    full = by_size(found.where("n_shingles > 0"), least, ["component_id"], "size")
+    discarded(rows)
+    return full.select("doc_id", "n_shingles", F.col("least").alias("component_id"), "text_hash").unionByName(
+        found.where("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"), "text_hash"))
+
+
+def near_duplicates(docs: DataFrame, p: JoinParams = JoinParams(), trace: list | None = None) -> DataFrame:
+    """One row per document: doc_id, n_shingles, component_id, text_hash.
 
     ``docs`` needs doc_id and text; other columns are ignored. Texts are
     lower-cased in A-Z and cut at ASCII white space; a text with fewer words
     than ``span`` is one shingle. Null and empty texts have no shingle and are
     linked with nothing. Rows with a null doc_id count as copies of their text
     only: their component is that of equal texts, null if there are none.
-    Repeated rows are listed each. An empty table gives no rows.
+    Repeated rows are listed each; rows that share a doc_id but no text have
+    a different ``text_hash``. An empty table gives no rows. ``trace`` gets the counts
+    of regions, pivots and comparisons of each round.
     """
     docs = docs.select("doc_id", "text")
-    bounded_batches(docs.sparkSession)
-    table = written(points(docs, shingle_sketch(docs, p), p), "join-points")
+    with small_batches(docs.sparkSession):
+        table = written(points(docs, shingle_sketch(docs, p), p), "join-points")
     fp = ["n", "fp1", "fp2"]
     sets = written(
         table.where("n > 0").groupBy(*fp).agg(
-            F.min("doc_id").alias("id"), F.count(F.lit(1)).alias("copies"), F.first("common").alias("common"), F.first("rare").alias("rare"), F.first("odd").alias("odd")
+            F.min("doc_id").alias("id"), F.count(F.lit(1)).alias("copies"), F.first("first").alias("first"), F.first("rare").alias("rare"), F.first("odd").alias("odd")
         ),
         "join-sets",
     )
-    rows = sets.where("id is not null").select(F.explode("rare").alias("region"), "id")
-    links = linked_points(rows, sets.where("id is not null").select("id", "n", "common", "odd"), docs.where("doc_id is not null"), p)
-    named = sets.select(*fp, "id", "copies")
-    if links is None:
-        named = named.withColumn("component_id", F.col("id"))
-    else:
-        named = named.join(classes(links), "id", "left").withColumn("component_id", F.coalesce("class", "id"))
+    about = sets.where("id is not null").select("id", "n", "first", "rare", "odd")
+    if not about.groupBy("id").agg(F.count(F.lit(1)).alias("sets")).where("sets > 1").isEmpty():
+        return by_own_ids(docs, p, trace)
+    label = linked_points(about, docs.where("doc_id is not null"), p, trace)
+    named = sets.select(*fp, "id", "copies").join(label, "id", "left").withColumn("component_id", F.coalesce("class", "id"))
     named = written(named.select(*fp, "copies", "component_id"), "join-classes")
-    full = by_size(table.where("n > 0").select("doc_id", *fp), named, fp, "copies")
-    empty = table.where("n = 0").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"))
-    return full.select("doc_id", F.col("n").alias("n_shingles"), "component_id").unionByName(empty)
+    discarded(sets, label)
+    full = by_size(table.where("n > 0").select("doc_id", "text_hash", *fp), named, fp, "copies")
+    empty = table.where("n = 0").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"), "text_hash")
+    return full.select("doc_id", F.col("n").alias("n_shingles"), "component_id", "text_hash").unionByName(empty)
 
 
 def op7_jaccard_join(spark, sf_dir: str) -> DataFrame:
