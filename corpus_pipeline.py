@@ -1,67 +1,5 @@
 """A training-data pipeline: toxicity, repeated lines, near duplicates, source mixing, packing."""
 
-from __future__ import annotations
+from trajdp.llm.stages import ORACLE_SQL, STAGES, run
 
-from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
-
-from trajdp.llm import jaccard_join, line_dedup, mixing, packing, toxicity
-from trajdp.llm.storage import written
-
-#: Half of the tokens would do for a mix; here nine tenths stay, so that little else than over-weighted cells is thinned.
-MIX = mixing.MixParams(rate=0.9)
-
-
-def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that are not predicted toxic. Learned from labelled documents outside the held-out fold."""
-    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
-    model = toxicity.fit_toxicity(docs, labels)
-    return toxicity.toxicity_scores(docs, model, docs.columns).where("tox_predicted = 0").select(*docs.columns)
-
-
-def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without lines that an earlier one repeats; n_chars follows the text."""
-    out = line_dedup.without_repeated_lines(docs)
-    if "n_chars" not in docs.columns:
-        return out
-    kind = dict(docs.dtypes)["n_chars"]
-    return out.withColumn("n_chars", F.when(F.col("text").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(kind))).select(*docs.columns)
-
-
-def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each class of linked documents the one with the smallest doc_id; documents without shingles stay."""
-    found = jaccard_join.near_duplicates(docs)
-    gone = found.where("n_shingles > 0 and doc_id <> component_id").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
-
-
-def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents sampled towards the target weights of sources, languages and topics; at this rate most are missed, see mixing.margin_report."""
-    return mixing.mixed(docs, MIX).where("mix_kept").select(*docs.columns)
-
-
-def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The pieces of all documents in windows of 2048 tokens."""
-    return packing.packed(docs)
-
-
-STAGES = [
-    ("toxicity", toxicity_stage),
-    ("line_dedup", line_stage),
-    ("near_duplicates", near_duplicate_stage),
-    ("mixing", mixing_stage),
-    ("packing", packing_stage),
-]
-
-#: Scores of a fitted classifier and token ids can't be had in SQL; tests hold the stages against brute force.
-ORACLE_SQL = None
-
-
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over the documents; each stage's table is written and read by the next."""
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for i, (name, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
-        if i + 1 < len(STAGES):
-            docs = written(docs, f"pipeline-{name}")
-    return docs
+__all__ = ["ORACLE_SQL", "STAGES", "run"]
