@@ -1,13 +1,16 @@
 """Noise as columns. Seeded noise is a function of (seed, stream, keys), alike in any engine that has MD5.
 
-Seeded noise is for tests and experiments. For a release use ``secure``, which
-draws from the operating system and can't be repeated.
+``draws(seed)`` gives the source of a mechanism's noise: with a seed the portable
+one, which anyone who knows it can take off again (tests); without, the operating
+system's, which can't be repeated (releases). ``Simulated`` is a fast generator for
+experiments over many runs.
 """
 
 from __future__ import annotations
 
 import hashlib
 import os
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -15,6 +18,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..storage import kept
+
 DIGITS, RANGE = 13, float(1 << 52)
 
 
@@ -63,3 +68,47 @@ def secure(df: DataFrame, name: str = "u") -> DataFrame:
 
     kinds = ", ".join(f"`{c}` {t}" for c, t in df.dtypes)
     return df.mapInPandas(draw, f"{kinds}, {name} double")
+
+
+class Seeded:
+    """Portable noise: the same for a seed, stream and keys wherever it is drawn."""
+
+    def __init__(self, seed: int):
+        self.seed = seed
+
+    def uniforms(self, stream: str, *keys: np.ndarray) -> np.ndarray:
+        head, md5 = f"{self.seed}|{stream}|", hashlib.md5
+        rows = zip(*(np.asarray(k).tolist() for k in keys))
+        first = [int(md5((head + "|".join(map(str, row))).encode()).hexdigest()[:DIGITS], 16) for row in rows]
+        return (np.array(first, float) + 0.5) / RANGE
+
+    def drawn(self, df: DataFrame, name: str, stream: str, *keys: str) -> DataFrame:
+        """``df`` with a column of uniform numbers."""
+        return df.withColumn(name, uniform(self.seed, stream, *keys))
+
+
+class Secure:
+    """Noise from the operating system's randomness."""
+
+    def uniforms(self, stream: str, *keys: np.ndarray) -> np.ndarray:
+        raw = np.frombuffer(os.urandom(8 * len(keys[0])), np.uint64) >> np.uint64(12)
+        return (raw + 0.5) / RANGE
+
+    def drawn(self, df: DataFrame, name: str, stream: str, *keys: str) -> DataFrame:
+        """``df`` with a column of uniform numbers, drawn once: a second draw would let the noise be averaged out."""
+        return kept(secure(df, name))
+
+
+class Simulated:
+    """Noise of a fast generator, for experiments on the driver or in tasks."""
+
+    def __init__(self, *seed: int):
+        self.seed = seed
+
+    def uniforms(self, stream: str, *keys: np.ndarray) -> np.ndarray:
+        u = np.random.default_rng([*self.seed, zlib.crc32(stream.encode())]).random(len(keys[0]))
+        return np.clip(u, 0.5 / RANGE, 1 - 0.5 / RANGE)
+
+
+def draws(seed: int | None) -> Seeded | Secure:
+    return Secure() if seed is None else Seeded(seed)

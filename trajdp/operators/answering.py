@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .histogram import densify
+from .relational import range_binned
 
 
 def inside(prefix: str = ""):
@@ -21,19 +22,31 @@ def every_query(queries: DataFrame, answers: DataFrame) -> DataFrame:
     return queries.select("qid").join(answers, "qid", "left").select("qid", F.coalesce("ans", F.lit(0)).cast("double").alias("ans"))
 
 
+def located(steps: DataFrame, queries: DataFrame, most: int = 64) -> DataFrame:
+    """Steps with the rectangles that hold them. A few rectangles are compared with every step; more meet the steps of
+    the tiles they touch by equality."""
+    if queries.count() <= most:
+        return steps.join(F.broadcast(queries), inside())
+    side = queries.agg(F.max(F.greatest("r2", "c2"))).first()[0] + 1
+    return range_binned(steps, queries, max(1, side // 16))
+
+
 def exact(steps: DataFrame, queries: DataFrame, approx: bool = False) -> DataFrame:
     """qid, ans: distinct trajectories that meet each rectangle."""
-    met = steps.select("traj_id", "row", "col").distinct().join(small(queries), inside())
-    count = F.approx_count_distinct("traj_id") if approx else F.countDistinct("traj_id")
-    return every_query(queries, met.groupBy("qid").agg(count.alias("ans")))
+    met = located(steps.select("traj_id", "row", "col").distinct(), queries)
+    if approx:
+        return every_query(queries, met.groupBy("qid").agg(F.approx_count_distinct("traj_id").alias("ans")))
+    once = met.groupBy("qid", "traj_id").agg(F.lit(1).alias("one"))  # summed up in each task before it is shuffled
+    return every_query(queries, once.groupBy("qid").agg(F.sum("one").alias("ans")))
 
 
 def segments(steps: DataFrame, queries: DataFrame) -> DataFrame:
-    """qid, ans: maximal runs of steps inside each rectangle. A run begins where the step before is missing or outside."""
-    met = steps.join(small(queries), inside())
-    w = Window.partitionBy("qid", "traj_id").orderBy("step")
-    begins = F.coalesce(F.col("step") - F.lag("step").over(w) != 1, F.lit(True)).cast("int")
-    return every_query(queries, met.withColumn("b", begins).groupBy("qid").agg(F.sum("b").alias("ans")))
+    """qid, ans: maximal runs of steps inside each rectangle: steps inside less crossings between two of them."""
+    w = Window.partitionBy("traj_id").orderBy("step")
+    before = steps.withColumns({"r0": F.lag("row").over(w), "c0": F.lag("col").over(w), "s0": F.lag("step").over(w)})
+    met = located(before, queries)
+    stays = (F.col("step") - F.col("s0") == 1) & F.col("r0").between(F.col("r1"), F.col("r2")) & F.col("c0").between(F.col("c1"), F.col("c2"))
+    return every_query(queries, met.groupBy("qid").agg(F.sum(F.when(stays, 0).otherwise(1)).alias("ans")))
 
 
 def in_component():

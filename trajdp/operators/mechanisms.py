@@ -11,15 +11,17 @@ from pyspark.sql import functions as F
 from ..functions import noise
 
 
-def laplace(answers: DataFrame, eps: float, sensitivity: float = 1.0, seed: int = 7, stream: str = "lm", key: str = "qid", value: str = "ans") -> DataFrame:
-    """The answers with independent Laplace noise of scale sensitivity / eps."""
-    return answers.withColumn(value, F.col(value) + noise.laplace(noise.uniform(seed, stream, key), sensitivity / eps))
+def laplace(answers: DataFrame, eps: float, sensitivity: float = 1.0, seed: int | None = None, stream: str = "lm", key: str = "qid", value: str = "ans") -> DataFrame:
+    """The answers with independent Laplace noise of scale sensitivity / eps; without a seed from the operating system."""
+    drawn = noise.draws(seed).drawn(answers, "_u", stream, key)
+    return drawn.withColumn(value, F.col(value) + noise.laplace(F.col("_u"), sensitivity / eps)).drop("_u")
 
 
-def exponential(scored: DataFrame, eps: float, sensitivity: float = 1.0, seed: int = 7, stream: str = "em", key: str = "qid", score: str = "score") -> DataFrame:
+def exponential(scored: DataFrame, eps: float, sensitivity: float = 1.0, seed: int | None = None, stream: str = "em", key: str = "qid", score: str = "score") -> DataFrame:
     """One row, chosen with probability in proportion to exp(eps score / 2 sensitivity): the largest with Gumbel noise."""
-    noisy = F.col(score) * (eps / (2 * sensitivity)) + noise.gumbel(noise.uniform(seed, stream, key))
-    return scored.withColumn("_noisy", noisy).orderBy(F.desc("_noisy"), key).limit(1).drop("_noisy")
+    drawn = noise.draws(seed).drawn(scored, "_u", stream, key)
+    noisy = F.col(score) * (eps / (2 * sensitivity)) + noise.gumbel(F.col("_u"))
+    return drawn.withColumn("_noisy", noisy).orderBy(F.desc("_noisy"), key).limit(1).drop("_noisy", "_u")
 
 
 def exponential_probs(scored: DataFrame, eps: float, sensitivity: float = 1.0, key: str = "qid", score: str = "score") -> DataFrame:
@@ -82,14 +84,56 @@ def neighbour(points: DataFrame, how: str, traj_id: int, other: int | None = Non
 
 def query_sensitivity(steps: DataFrame, queries: DataFrame) -> DataFrame:
     """qid, most: the largest change of each histogram answer by taking away one trajectory (its own runs inside)."""
-    from .answering import inside, small
+    from .answering import located
 
-    met = steps.join(small(queries), inside())
-    w = Window.partitionBy("qid", "traj_id").orderBy("step")
-    runs = met.withColumn("b", F.coalesce(F.col("step") - F.lag("step").over(w) != 1, F.lit(True)).cast("int")).groupBy("qid", "traj_id").agg(F.sum("b").alias("n"))
+    w = Window.partitionBy("traj_id").orderBy("step")
+    before = steps.withColumns({"r0": F.lag("row").over(w), "c0": F.lag("col").over(w), "s0": F.lag("step").over(w)})
+    stays = (F.col("step") - F.col("s0") == 1) & F.col("r0").between(F.col("r1"), F.col("r2")) & F.col("c0").between(F.col("c1"), F.col("c2"))
+    runs = located(before, queries).groupBy("qid", "traj_id").agg(F.sum(F.when(stays, 0).otherwise(1)).alias("n"))
     return queries.select("qid").join(runs.groupBy("qid").agg(F.max("n").alias("m")), "qid", "left").select("qid", F.coalesce("m", F.lit(0)).cast("long").alias("most"))
 
 
+def cost_sensitivity(steps: DataFrame, side: int, weight: str = "inv_len") -> DataFrame:
+    """weight, most, bound: the largest change of the whole grid's cost when one trajectory goes, and what bounds it.
+
+    raw: each visited cell counts one; inv_len: one in all. Taking a trajectory away moves the mean by its
+    mass alone, so the sum over all cells is needed once for each mass, and else only the trajectory's own cells.
+    """
+    cells = steps.select("traj_id", "row", "col").distinct()
+    own = cells.join(cells.groupBy("traj_id").agg(F.count(F.lit(1)).alias("k")), "traj_id")
+    own = own.select("traj_id", "row", "col", (F.lit(1.0) if weight == "raw" else 1.0 / F.col("k")).alias("w"), (F.col("k").cast("double") if weight == "raw" else F.lit(1.0)).alias("mass"))
+    size = float(side * side)
+    total = own.groupBy("row", "col").agg(F.sum("w").alias("cnt"))
+    whole = total.agg((F.sum("cnt") / size).alias("mean"), F.count(F.lit(1)).alias("full"))
+    masses = own.select("mass").distinct().unionByName(steps.sparkSession.range(1).select(F.lit(0.0).alias("mass"))).distinct()
+    moved = masses.join(F.broadcast(whole)).withColumn("at", F.col("mean") - F.col("mass") / size)
+    # as many masses as lengths of walks; empty cells lie at 0
+    sums = total.join(F.broadcast(moved)).groupBy("mass").agg(
+        (F.sum(F.abs(F.col("cnt") - F.col("at"))) + (size - F.first("full")) * F.abs(F.first("at"))).alias("all"), F.first("at").alias("at"))
+    base = sums.where("mass = 0").select(F.col("all").alias("base"))
+    change = own.join(total, ["row", "col"]).join(F.broadcast(sums), "mass").groupBy("traj_id").agg(
+        (F.sum(F.abs(F.col("cnt") - F.col("w") - F.col("at")) - F.abs(F.col("cnt") - F.col("at"))) + F.first("all")).alias("after"), F.first("mass").alias("mass"))
+    return change.join(F.broadcast(base)).agg(F.lit(weight).alias("weight"), F.max(F.abs(F.col("after") - F.col("base"))).alias("most"), (2 * F.max("mass")).alias("bound"))
+
+
+def change_sensitivity(steps: DataFrame, side: int) -> DataFrame:
+    """neighbours, most, bound: the largest change of the whole grid's cost, by shares, when a trajectory turns into the next one.
+
+    Both have a mass of one, so the mean stays and only their own cells change.
+    """
+    cells = steps.select("traj_id", "row", "col").distinct()
+    own = cells.join(cells.groupBy("traj_id").agg((1.0 / F.count(F.lit(1))).alias("w")), "traj_id")
+    total = own.groupBy("row", "col").agg(F.sum("w").alias("cnt"))
+    mean = total.agg((F.sum("cnt") / float(side * side)).alias("mean"))
+    ids = own.select("traj_id").distinct()
+    pairs = ids.withColumn("other", F.lead("traj_id").over(Window.orderBy("traj_id"))).where("other is not null")  # ids alone, in order
+    change = pairs.join(own, "traj_id").select(F.col("traj_id").alias("pair"), "row", "col", (-F.col("w")).alias("d"))
+    change = change.unionByName(pairs.join(own.withColumnRenamed("traj_id", "other"), "other").select(F.col("traj_id").alias("pair"), "row", "col", F.col("w").alias("d")))
+    change = change.groupBy("pair", "row", "col").agg(F.sum("d").alias("d")).join(total, ["row", "col"]).join(F.broadcast(mean))
+    moved = F.abs(F.col("cnt") + F.col("d") - F.col("mean")) - F.abs(F.col("cnt") - F.col("mean"))
+    return change.groupBy("pair").agg(F.abs(F.sum(moved)).alias("by")).agg(F.lit("change").alias("neighbours"), F.max("by").alias("most"), F.lit(4.0).alias("bound"))
+
+
 def audit(mechanism, first, second, runs: int, width: float) -> float:
     """The largest log ratio of how often a mechanism's outputs fall into buckets on two neighbouring inputs.
 

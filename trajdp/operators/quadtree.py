@@ -14,13 +14,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import noise
+from ..storage import kept
 
 
 @dataclass(frozen=True)
 class PartitionParams:
     """scope leaf: each node's cost gets all of eps1, as only leaves are released; per_level: eps1 is shared by the
     levels, which holds under sequential composition. threshold variance: 4 / eps1^2; stddev: that of the compared
-    noise; or a number. density_on count: noise on the count, then divided by n; ratio: noise on the ratio."""
+    noise; or a number. density_on count: noise on the count, then divided by n; ratio: noise on the ratio.
+    parent_noise reuse: a node is compared as a parent with the noisy cost that it had as a child; fresh: with another
+    draw. runs: the sensitivity of a region's count. seed: for tests; without one noise can't be repeated."""
 
     eps1: float = 0.025
     eps2: float = 0.025
@@ -30,7 +33,9 @@ class PartitionParams:
     density_on: str = "count"
     clamp: bool = True
     noise: bool = True
-    seed: int = 7
+    parent_noise: str = "reuse"
+    runs: float = 1.0
+    seed: int | None = None
 
 
 NODE = ("level", "br", "bc")
@@ -72,18 +77,22 @@ def uniform_regions(faces: DataFrame, cell_region: DataFrame) -> DataFrame:
 
 
 def noisy(table: DataFrame, p: PartitionParams, res: int) -> DataFrame:
-    """The nodes with Laplace noise on their costs."""
+    """The nodes with Laplace noise on their costs: noisy_cost as a child, parent_cost as a parent."""
     if not p.noise:
-        return table.withColumn("noisy_cost", F.col("cost"))
-    eps = p.eps1 / (res + 1) if p.scope == "per_level" else p.eps1
-    return table.withColumn("noisy_cost", F.col("cost") + noise.laplace(noise.uniform(p.seed, "cost", *NODE), p.sensitivity / eps))
+        return table.withColumns({"noisy_cost": F.col("cost"), "parent_cost": F.col("cost")})
+    eps, source = p.eps1 / (res + 1) if p.scope == "per_level" else p.eps1, noise.draws(p.seed)
+    scale = p.sensitivity / (eps if p.parent_noise == "reuse" else eps / 2)  # two draws of a cost share its budget
+    out = source.drawn(table, "_u", "cost", *NODE).withColumn("noisy_cost", F.col("cost") + noise.laplace(F.col("_u"), scale)).drop("_u")
+    if p.parent_noise == "reuse":
+        return out.withColumn("parent_cost", F.col("noisy_cost"))
+    return source.drawn(out, "_u", "parent", *NODE).withColumn("parent_cost", F.col("cost") + noise.laplace(F.col("_u"), scale)).drop("_u")
 
 
 def split_flags(table: DataFrame, p: PartitionParams) -> DataFrame:
     """The nodes with ``split``: own noisy cost more than the threshold above the mean of the four children's."""
     children = table.where("level > 0").groupBy((F.col("level") - 1).alias("level"), F.shiftright("br", 1).alias("br"), F.shiftright("bc", 1).alias("bc")).agg(F.avg("noisy_cost").alias("child_cost"))
     both = table.join(children, list(NODE), "left")
-    return both.withColumn("split", F.coalesce(F.col("noisy_cost") - F.col("child_cost") > threshold(p), F.lit(False))).drop("child_cost")
+    return both.withColumn("split", F.coalesce(F.col("parent_cost") - F.col("child_cost") > threshold(p), F.lit(False))).drop("child_cost")
 
 
 def leaves(table: DataFrame, res: int) -> DataFrame:
@@ -119,30 +128,34 @@ def density(regions: DataFrame, n: int, counted: DataFrame) -> DataFrame:
 
 
 def counted(hist: DataFrame, regions: DataFrame, how: str = "range") -> DataFrame:
-    """pid, count. faces: cell counts summed, as for a histogram of shares; range: as a range query over the region."""
-    from .answering import faces_only, from_hist
+    """pid, count. faces: cell counts summed, as for a histogram of shares; range: as a range query over the region.
 
-    queries = regions.select(F.col("pid").alias("qid"), "r1", "r2", "c1", "c2")
-    got = from_hist(hist, queries) if how == "range" else faces_only(hist, queries)
-    return got.select(F.col("qid").alias("pid"), F.col("ans").alias("count"))
+    Cells meet their region by equality, and so do both cells of an edge: work grows with cells, not with cells times regions.
+    """
+    cells = cell_region(regions)
+    rows = hist.where("comp = 'F'") if how == "faces" else hist
+    rows = rows.withColumns({"r2": F.col("row") + (F.col("comp") == "H").cast("int"), "c2": F.col("col") + (F.col("comp") == "V").cast("int")})
+    other = cells.select(F.col("row").alias("r2"), F.col("col").alias("c2"), F.col("pid").alias("other"))
+    met = rows.join(cells, ["row", "col"]).join(other, ["r2", "c2"]).where("pid = other")
+    found = met.groupBy("pid").agg(F.sum(F.when(F.col("comp") == "F", F.col("cnt")).otherwise(-F.col("cnt"))).alias("count"))
+    return regions.select("pid").join(found, "pid", "left").select("pid", F.coalesce("count", F.lit(0.0)).alias("count"))
 
 
-def noisy_density(regions: DataFrame, n: int, p: PartitionParams, sensitivity: float = 1.0) -> DataFrame:
+def noisy_density(regions: DataFrame, n: int, p: PartitionParams) -> DataFrame:
     """The regions with Laplace noise on b, not below 0 if ``clamp``."""
     if not p.noise:
         return regions
-    scale = sensitivity / p.eps2 / (n if p.density_on == "count" else 1)
-    b = F.col("b") + noise.laplace(noise.uniform(p.seed, "density", "pid"), scale)
-    return regions.withColumn("b", F.greatest(b, F.lit(0.0)) if p.clamp else b)
+    scale = p.runs / p.eps2 / (n if p.density_on == "count" else 1)
+    drawn = noise.draws(p.seed).drawn(regions, "_u", "density", "pid")
+    b = F.col("b") + noise.laplace(F.col("_u"), scale)
+    return drawn.withColumn("b", F.greatest(b, F.lit(0.0)) if p.clamp else b).drop("_u")
 
 
 def partition(hist: DataFrame, cost_faces: DataFrame, n: int, res: int, p: PartitionParams, count: str = "range") -> DataFrame:
     """The leaves with noisy densities: pid, level, br, bc, r1, r2, c1, c2, size, total, b."""
-    # read several times below; they have the grid's size at most, whatever the data's
-    table = noisy(nodes(cost_faces, res), p, res).persist()
-    flags = split_flags(table, p).persist()
-    found = leaves(flags, res).persist()
-    return noisy_density(density(found, n, counted(hist, found, count)), n, p)
+    table = kept(noisy(nodes(cost_faces, res), p, res))  # read three times below; four thirds of the grid's size at most
+    found = leaves(split_flags(table, p), res)
+    return kept(noisy_density(density(found, n, counted(hist, found, count)), n, p))
 
 
 def stats(found: DataFrame, res: int) -> DataFrame:

@@ -6,26 +6,38 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..storage import kept
 from .quadtree import NODE
 
 
-def best_pruning(table: DataFrame, res: int, charge: float) -> DataFrame:
-    """level, br, bc, cost of the quadtree pruning with the least cost plus ``charge`` a region, from the leaves up."""
-    best = table.where(F.col("level") == res).select(*NODE, (F.col("cost") + charge).alias("best"), F.lit(False).alias("split"))
-    levels = [best]
-    for level in range(res - 1, -1, -1):
-        below = levels[-1].groupBy((F.col("level") - 1).alias("level"), F.shiftright("br", 1).alias("br"), F.shiftright("bc", 1).alias("bc")).agg(F.sum("best").alias("below"))
-        here = table.where(F.col("level") == level).join(below, list(NODE))
+def pruned_costs(table: DataFrame, res: int, charge: float) -> DataFrame:
+    """level, br, bc, best, split of all nodes, from the leaves up: the least cost plus ``charge`` a region of a pruning below each."""
+    table = kept(table.select(*NODE, F.col("cost")))
+    below, done = None, []
+    for level in range(res, -1, -1):
+        here = table.where(F.col("level") == level)
         own = F.col("cost") + charge
-        levels.append(here.select(*NODE, F.least(own, F.col("below")).alias("best"), (F.col("below") < own - 1e-9).alias("split")))
-    every = levels[0]
-    for x in levels[1:]:
+        if below is None:
+            here = here.select(*NODE, own.alias("best"), F.lit(False).alias("split"))
+        else:
+            here = here.join(below, list(NODE)).select(*NODE, F.least(own, F.col("below")).alias("best"), (F.col("below") < own - 1e-9).alias("split"))
+        done.append(kept(here))  # each level stands alone: the next one's plan begins here
+        below = done[-1].groupBy((F.col("level") - 1).alias("level"), F.shiftright("br", 1).alias("br"), F.shiftright("bc", 1).alias("bc")).agg(F.sum("best").alias("below"))
+    every = done[0]
+    for x in done[1:]:
         every = every.unionByName(x)
-    stop = every.where("not split").select(*[F.col(k).alias(f"a_{k}") for k in NODE])
-    up = every.where("not split").withColumn("a_level", F.explode(F.expr("case when level > 0 then sequence(0, level - 1) end")))
+    return every
+
+
+def best_pruning(table: DataFrame, res: int, charge: float) -> DataFrame:
+    """level, br, bc, size, cost of the quadtree pruning with the least cost plus ``charge`` a region."""
+    table = kept(table)
+    stop = pruned_costs(table, res, charge).where("not split").select(*NODE)
+    ends = stop.select(*[F.col(k).alias(f"a_{k}") for k in NODE])
+    up = stop.withColumn("a_level", F.explode(F.expr("case when level > 0 then sequence(0, level - 1) end")))
     up = up.select(*NODE, "a_level", F.expr("shiftright(br, level - a_level)").alias("a_br"), F.expr("shiftright(bc, level - a_level)").alias("a_bc"))
-    hidden = up.join(stop, ["a_level", "a_br", "a_bc"], "left_semi").select(*NODE).distinct()
-    return every.where("not split").join(hidden, list(NODE), "left_anti").join(table, list(NODE)).select(*NODE, "size", "cost")
+    hidden = up.join(ends, ["a_level", "a_br", "a_bc"], "left_semi").select(*NODE).distinct()
+    return stop.join(hidden, list(NODE), "left_anti").join(table, list(NODE)).select(*NODE, "size", "cost")
 
 
 def exhaustive(cells: np.ndarray, charge: float) -> tuple[float, list[tuple[int, int, int, int]]]:

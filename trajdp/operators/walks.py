@@ -104,17 +104,47 @@ def segment_cells(x: float, y: float, x2: float, y2: float) -> list[tuple[int, i
 
 
 def erase_loops(steps: DataFrame) -> DataFrame:
-    """Walks without loops: from each cell on to what follows its last visit. A fold over each trajectory's steps."""
+    """Walks without loops: from each cell on to what follows its last visit.
+
+    Steps must be numbered from 0 without gaps. Each gets the last visit of its cell; one pass over a
+    trajectory's steps in order then keeps those that the one kept before leads to. A step is looked at once.
+    """
     last = Window.partitionBy("traj_id", "row", "col")
-    visits = steps.withColumn("last", F.max("step").over(last))
-    walk = visits.groupBy("traj_id").agg(F.sort_array(F.collect_list(F.struct("step", "last", "row", "col"))).alias("walk"))
-    empty = F.slice("walk", F.lit(1), F.lit(0))
-    kept = F.aggregate(
-        "walk", F.struct(F.lit(0).cast("long").alias("next"), empty.alias("kept")),
-        lambda a, s: F.when(s["step"] == a["next"], F.struct((s["last"] + 1).alias("next"), F.concat(a["kept"], F.array(s)).alias("kept"))).otherwise(a),
-        lambda a: a["kept"],
-    )
-    return walk.select("traj_id", F.posexplode(kept).alias("step", "s")).select("traj_id", F.col("step").cast("long").alias("step"), "s.row", "s.col")
+    # the window over whole trajectories deals the rows by trajectory, the other needs no more than that
+    numbered = steps.select("traj_id", "step", "row", "col", F.row_number().over(along()).alias("k"))
+    order = numbered.withColumn("last", F.max("step").over(last)).sortWithinPartitions("traj_id", "step")
+
+    def follow(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        now, after, number = None, 0, 0
+        for batch in batches:
+            take, numbers = [], []
+            for i, (t, s, l) in enumerate(zip(batch["traj_id"].tolist(), batch["step"].tolist(), batch["last"].tolist())):
+                if t != now:
+                    now, after, number = t, s, 0
+                if s == after:
+                    take.append(i)
+                    numbers.append(number)
+                    after, number = l + 1, number + 1
+            out = batch.iloc[take]
+            yield pd.DataFrame({"traj_id": out["traj_id"].to_numpy(), "step": np.array(numbers, np.int64), "row": out["row"].to_numpy(), "col": out["col"].to_numpy()})
+
+    return order.mapInPandas(follow, "traj_id long, step long, row int, col int")
+
+
+def bounded_runs(steps: DataFrame, most: int) -> DataFrame:
+    """Each walk up to where it has turned back ``most`` times, along rows or along columns.
+
+    To come back into a rectangle a walk must turn back along an axis, so that what
+    is left meets every rectangle in at most ``most`` runs: its answers' sensitivity.
+    """
+    moves = steps.withColumns({f"_d{k}": F.signum((F.lead(k).over(along()) - F.col(k)).cast("double")) for k in ("row", "col")})
+    before = along().rowsBetween(Window.unboundedPreceding, -1)
+    turned = F.lit(0)
+    for k in ("row", "col"):
+        last = F.last(F.when(F.col(f"_d{k}") != 0, F.col(f"_d{k}")), ignorenulls=True).over(before)
+        turned = turned + F.coalesce((F.col(f"_d{k}") * last < 0).cast("int"), F.lit(0))
+    turns = moves.withColumn("_turn", turned).withColumn("_turns", F.coalesce(F.sum("_turn").over(before), F.lit(0)))
+    return turns.where(F.col("_turns") < most).select("traj_id", "step", "row", "col")
 
 
 def loops(steps: DataFrame, policy: str = "erase") -> DataFrame:

@@ -13,9 +13,11 @@ import heapq
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..storage import kept
 from .dense import DenseHist
 
 
@@ -25,6 +27,8 @@ class Repair:
     moved: float
     matched: float
     edges: int
+    components: int = 0
+    largest: int = 0
 
     @property
     def certified(self) -> bool:
@@ -82,31 +86,89 @@ def incidences(hist: DenseHist):
     return ((hist.v, number[:, :-1], number[:, 1:]), (hist.h, number[:-1], number[1:]))
 
 
+def joined_faces(pairs: np.ndarray, faces: np.ndarray) -> np.ndarray:
+    """A label for each of ``faces``: equal for faces that ``pairs`` (two columns) join, over any number of steps."""
+    parent = {int(f): int(f) for f in faces}
+
+    def find(x: int) -> int:
+        while parent[x] != x:
+            parent[x] = parent[parent[x]]
+            x = parent[x]
+        return x
+
+    for a, b in pairs.tolist():
+        x, y = find(a), find(b)
+        if x != y:
+            parent[max(x, y)] = min(x, y)
+    return np.array([find(int(f)) for f in faces], np.int64)
+
+
+def component_moves(edge: np.ndarray, face: np.ndarray, weight: np.ndarray) -> tuple[dict[int, float], dict[int, float], float]:
+    """How far each edge falls and each face rises in one component of violated incidences (edge, face, weight)."""
+    lefts, rights = {int(e): i for i, e in enumerate(dict.fromkeys(edge.tolist()))}, {int(f): j for j, f in enumerate(dict.fromkeys(face.tolist()))}
+    near: list[list[int]] = [[] for _ in lefts]
+    cost: list[list[float]] = [[] for _ in lefts]
+    for e, f, w in zip(edge.tolist(), face.tolist(), weight.tolist()):
+        near[lefts[e]].append(rights[f])
+        cost[lefts[e]].append(w)
+    u, v, total = matched_potentials(near, cost, len(rights))
+    return {e: u[i] for e, i in lefts.items()}, {f: v[j] for f, j in rights.items()}, total
+
+
 def optimal(hist: DenseHist) -> Repair:
-    """The L1-nearest consistent histogram."""
+    """The L1-nearest consistent histogram, component by component of the violated incidences.
+
+    Where every violated edge of a component has one violated face (a star), the
+    face rises to the second largest of its violated edges and they come down
+    to it: all stars at once. Other components are matched one by one.
+    """
     out, faces = hist.copy(), hist.f.ravel()
-    near, weight, where, index = [], [], [], {}
+    parts = []
     for k, (edges, a, b) in enumerate(incidences(hist)):
-        low = np.minimum(faces[a], faces[b])
-        for r, c in zip(*np.nonzero(edges > low + 1e-12)):
-            js, ws = [], []
-            for face in (a[r, c], b[r, c]):
-                if edges[r, c] > faces[face]:
-                    js.append(index.setdefault(int(face), len(index)))
-                    ws.append(float(edges[r, c] - faces[face]))
-            near.append(js)
-            weight.append(ws)
-            where.append((k, r, c))
-    u, v, total = matched_potentials(near, weight, len(index))
-    for (k, r, c), by in zip(where, u):
-        (out.v, out.h)[k][r, c] -= by
-    flat = out.f.ravel()
-    for face, j in index.items():
-        flat[face] += v[j]
+        for face in (a, b):
+            at = np.flatnonzero((edges > faces[face] + 1e-12).ravel())
+            parts.append(np.c_[np.full(len(at), k), at, face.ravel()[at]])
+    rows = np.concatenate(parts) if parts else np.zeros((0, 3), np.int64)
+    flat = [out.v.ravel(), out.h.ravel()]
+    value = np.where(rows[:, 0] == 0, hist.v.ravel()[np.where(rows[:, 0] == 0, rows[:, 1], 0)], hist.h.ravel()[np.where(rows[:, 0] == 1, rows[:, 1], 0)]) if len(rows) else np.zeros(0)
+    edge = rows[:, 0] * hist.v.size + rows[:, 1]
+    moved_faces, total = out.f.ravel(), 0.0
+    found, where, times = np.unique(edge, return_inverse=True, return_counts=True) if len(rows) else (np.zeros(0), np.zeros(0, int), np.zeros(0))
+    double = times[where] > 1 if len(rows) else np.zeros(0, bool)
+    order = np.argsort(edge[double], kind="stable")
+    pairs = rows[double][order, 2].reshape(-1, 2)
+    label = np.arange(faces.size)
+    if len(pairs):
+        linked = np.unique(pairs)
+        label[linked] = joined_faces(pairs, linked)
+    mine = label[rows[:, 2]]
+    tangled = np.isin(mine, np.unique(label[pairs])) if len(pairs) else np.zeros(len(rows), bool)
+    sizes = np.unique(mine, return_counts=True)[1] if len(rows) else np.zeros(0, int)
+
+    star = ~tangled
+    if star.any():
+        by = np.lexsort((-value[star], rows[star, 2]))
+        f, x = rows[star, 2][by], value[star][by]
+        second = np.r_[False, f[1:] == f[:-1]] & ~np.r_[False, False, f[2:] == f[:-2]][: len(f)]
+        moved_faces[f[second]] = np.maximum(moved_faces[f[second]], x[second])
+        first = np.r_[True, f[1:] != f[:-1]]
+        total += float((x[first] - faces[f[first]]).sum())  # the matching takes each star's largest edge
+        for k in (0, 1):
+            of = star & (rows[:, 0] == k)
+            np.minimum.at(flat[k], rows[of, 1], moved_faces[rows[of, 2]])
+    for c in np.unique(mine[tangled]):
+        of = mine == c
+        down, up, weight = component_moves(edge[of], rows[of, 2], value[of] - faces[rows[of, 2]])
+        for e, by_ in down.items():
+            flat[0 if e < hist.v.size else 1][e if e < hist.v.size else e - hist.v.size] -= by_
+        for f_, by_ in up.items():
+            moved_faces[f_] += by_
+        total += weight
     # sums of floats may leave an edge a last digit above
     np.minimum(out.v, np.minimum(out.f[:, :-1], out.f[:, 1:]), out=out.v, where=out.v - np.minimum(out.f[:, :-1], out.f[:, 1:]) < 1e-9)
     np.minimum(out.h, np.minimum(out.f[:-1], out.f[1:]), out=out.h, where=out.h - np.minimum(out.f[:-1], out.f[1:]) < 1e-9)
-    return Repair(out, float(sum(np.abs(a - b).sum() for a, b in zip(out.parts(), hist.parts()))), total, len(near))
+    moved = float(sum(np.abs(a - b).sum() for a, b in zip(out.parts(), hist.parts())))
+    return Repair(out, moved, total, len(found), len(sizes), int(sizes.max()) if len(sizes) else 0)
 
 
 def greedy(hist: DenseHist, how: str = "lower") -> DenseHist:
@@ -147,3 +209,48 @@ def star_frame(hist: DataFrame) -> DataFrame:
     faces = hist.where("comp = 'F'").join(second, ["comp", "row", "col"], "left").select("comp", "row", "col", F.greatest("cnt", F.coalesce("up", "cnt")).alias("cnt"))
     edges = greedy_frame(faces.unionByName(hist.where("comp <> 'F'").select("comp", "row", "col", "cnt"))).where("comp <> 'F'")
     return faces.unionByName(edges)
+
+
+def merged_labels(links: DataFrame) -> DataFrame:
+    """id, label: the smallest id that links (a, b) lead to. Each round merges every id into its smallest neighbour."""
+    links = kept(links.select("a", "b").where("a <> b").distinct())
+    label = kept(links.select(F.col("a").alias("id")).union(links.select(F.col("b").alias("id"))).distinct().withColumn("label", F.col("id")))
+    while not links.isEmpty():
+        both = links.union(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
+        to = kept(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("to")))
+        label = kept(label.join(to.withColumnRenamed("a", "label"), "label", "left").select("id", F.coalesce("to", "label").alias("label")))
+        ends = links.join(to.select("a", F.col("to").alias("x")), "a").join(to.select(F.col("a").alias("b"), F.col("to").alias("y")), "b")
+        links = kept(ends.where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct())
+    return label
+
+
+def optimal_frame(hist: DataFrame, side: int) -> tuple[DataFrame, DataFrame]:
+    """The L1-nearest consistent histogram, and moves: component, comp, row, col, change, matched.
+
+    Components of violated incidences are found by merging faces that share an
+    edge too large for both, and repaired each in a group of its own: a
+    component, not the grid, must fit a task. matched, the weight of its
+    matching, stands on one row of each component; its sum certifies the cost.
+    """
+    face = F.col("fr").cast("long") * side + F.col("fc")
+    bad = kept(edge_faces(hist).where("cnt > face + 1e-12").withColumn("at", face))
+    both = bad.groupBy("comp", "row", "col").agg(F.min("at").alias("a"), F.max("at").alias("b"))
+    label = merged_labels(both)
+    grouped = bad.join(label, bad["at"] == label["id"], "left").withColumn("component", F.coalesce("label", "at"))
+
+    def match(rows: pd.DataFrame) -> pd.DataFrame:
+        edge = (rows["comp"].eq("H").to_numpy() * side + rows["row"].to_numpy(np.int64)) * side + rows["col"].to_numpy(np.int64)
+        down, up, total = component_moves(edge, rows["at"].to_numpy(np.int64), (rows["cnt"] - rows["face"]).to_numpy(float))
+        out = [("H" if e >= side * side else "V", e // side % side, e % side, -x) for e, x in down.items()] + [("F", f // side, f % side, x) for f, x in up.items()]
+        out = pd.DataFrame(out, columns=["comp", "row", "col", "change"]).assign(component=rows["component"].iloc[0], matched=0.0)
+        out.loc[0, "matched"] = total
+        return out[["component", "comp", "row", "col", "change", "matched"]]
+
+    columns = ["component", "comp", "row", "col", "at", "cnt", "face"]
+    moves = kept(grouped.select(*columns).groupBy("component").applyInPandas(match, "component long, comp string, row int, col int, change double, matched double"))
+    fixed = hist.join(moves.groupBy("comp", "row", "col").agg(F.sum("change").alias("change")), ["comp", "row", "col"], "left")
+    fixed = fixed.select("comp", "row", "col", (F.col("cnt") + F.coalesce("change", F.lit(0.0))).alias("cnt"))
+    # sums of floats may leave an edge a last digit above
+    low = edge_faces(fixed).groupBy("comp", "row", "col").agg(F.min("face").alias("low"))
+    out = fixed.join(low, ["comp", "row", "col"], "left").select("comp", "row", "col", F.when(F.col("cnt") - F.col("low") < 1e-9, F.least("cnt", "low")).otherwise(F.col("cnt")).alias("cnt"))
+    return out, moves
