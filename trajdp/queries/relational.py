@@ -49,7 +49,7 @@ def filters_and_joins() -> None:
         f"SELECT p.event_id AS probe, p.user_id, v.k FROM (SELECT * FROM events WHERE event_type = 'purchase') p ASOF LEFT JOIN (SELECT user_id, ts, {K} AS k FROM events WHERE event_type = 'view') v ON p.user_id = v.user_id AND p.ts >= v.ts")
     spans = lambda s, d: read(s, d, "events").groupBy("user_id", F.to_date("ts").alias("day")).agg(F.min("ts").alias("a"), F.max("ts").alias("b"))
     add("r_join_interval", lambda s, d: relational.overlapping(spans(s, d), "user_id", "a", "b"),
-        "WITH s AS (SELECT user_id, ts::DATE AS day, min(ts) AS a, max(ts) AS b FROM events WHERE user_id <= 40 GROUP BY ALL) SELECT x.user_id AS user_id, y.user_id AS other, count(*) AS n FROM s x JOIN s y ON x.user_id < y.user_id AND x.a <= y.b AND y.a <= x.b GROUP BY ALL")
+        "WITH s AS (SELECT user_id, ts::DATE AS day, min(ts) AS a, max(ts) AS b FROM events GROUP BY ALL) SELECT x.user_id AS user_id, y.user_id AS other, count(*) AS n FROM s x JOIN s y ON x.user_id < y.user_id AND x.a <= y.b AND y.a <= x.b GROUP BY ALL")
     add("r_join_semi", lambda s, d: read(s, d, "orders").join(read(s, d, "customer").where("c_acctbal > 5000"), F.col("o_custkey") == F.col("c_custkey"), "left_semi").select("o_orderkey"), "SELECT o_orderkey FROM orders WHERE o_custkey IN (SELECT c_custkey FROM customer WHERE c_acctbal > 5000)")
     add("r_join_anti", lambda s, d: read(s, d, "customer").join(read(s, d, "orders").where("o_totalprice > 400000"), F.col("o_custkey") == F.col("c_custkey"), "left_anti").select("c_custkey"), "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders WHERE o_totalprice > 400000)")
     big = lambda s, d: read(s, d, "orders").where("o_totalprice > 450000").groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n"))
