@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -79,6 +83,47 @@ class CellsOfSegment:
             yield k, r, c
 
 
+@F.udtf(returnType="level int, br int, bc int")
+class QuadAncestors:
+    """level, br, bc: the blocks of a quadtree of 2^res cells a side that hold a cell, from the whole grid down."""
+
+    def eval(self, row: int, col: int, res: int):
+        for level in range(res + 1):
+            yield level, row >> (res - level), col >> (res - level)
+
+
+@F.pandas_udf("long")
+def hilbert_places(row: pd.Series, col: pd.Series, res: pd.Series) -> pd.Series:
+    """Places along the Hilbert curve, by the bits of all rows at once; for SQL."""
+    x, y, out = col.to_numpy("int64").copy(), row.to_numpy("int64").copy(), np.zeros(len(row), np.int64)
+    top = int(res.max()) if len(res) else 0
+    own = res.to_numpy("int64")
+    for level in range(top - 1, -1, -1):
+        on, s = level < own, np.int64(1 << level)
+        rx, ry = (x >> level) & 1, (y >> level) & 1
+        out = np.where(on, out + s * s * ((3 * rx) ^ ry), out)
+        mx, my = x % s, y % s
+        flip = (ry == 0) & (rx == 1)
+        fx, fy = np.where(flip, s - 1 - mx, mx), np.where(flip, s - 1 - my, my)
+        x, y = np.where(on, np.where(ry == 0, fy, fx), x), np.where(on, np.where(ry == 0, fx, fy), y)
+    return pd.Series(out)
+
+
+def arrow_cells(points: DataFrame, grid) -> DataFrame:
+    """traj_id, row, col of points inside the grid, over Arrow batches: a twin of the column arithmetic for comparison."""
+
+    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at = {}
+            for name, column, lo, hi in (("row", "y", grid.y0, grid.y1), ("col", "x", grid.x0, grid.x1)):
+                v = np.floor((batch.column(column).to_numpy(zero_copy_only=False) - lo) / (hi - lo) * grid.side)
+                at[name] = pa.array(np.clip(v, 0, grid.side - 1).astype(np.int32))
+            yield pa.RecordBatch.from_arrays([batch.column("traj_id"), at["row"], at["col"]], names=["traj_id", "row", "col"])
+
+    rows = points.where("x is not null and y is not null").select("traj_id", "x", "y")
+    return rows.mapInArrow(place, "traj_id long, row int, col int")
+
+
 def segment_table(spark, segments: list[tuple[float, float, float, float]]) -> DataFrame:
     """seg, k, row, col of each segment, through SQL with LATERAL."""
     spark.udtf.register("cells_of_segment", CellsOfSegment)

@@ -5,7 +5,9 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from .. import sql as surface_sql
 from ..operators import histogram, relational
+from ..sources import trajectories
 from . import sqltext as S
 from .histograms import rects, steps_of
 
@@ -135,6 +137,16 @@ def functions() -> None:
     add("r_udf", lambda s, d: relational.hilbert_twin(s.range(256).select((F.col("id") / 16).cast("int").alias("row"), (F.col("id") % 16).cast("int").alias("col")), 4), f"WITH RECURSIVE {_curve(4)} SELECT row, col, pos FROM curve")
     add("r_udaf", lambda s, d: relational.deviation_by(histogram.build(steps_of(s, d, "li")).where("comp = 'F'"), "row", "cnt").withColumn("dev", F.round("dev", 6)), steps_sql() + f", {S.hist()}, f AS (SELECT row, cnt, avg(cnt) OVER (PARTITION BY row) AS m FROM hist WHERE comp = 'F') SELECT row, round(sum(abs(cnt - m)), 6) AS dev FROM f GROUP BY row")
     add("r_udtf", lambda s, d: relational.segment_table(s, [(0.5, 0.5, 3.5, 0.5), (0.5, 0.5, 0.5, 2.5)]), "SELECT * FROM (VALUES (0, 0, 0, 0), (0, 1, 0, 1), (0, 2, 0, 2), (0, 3, 0, 3), (1, 0, 0, 0), (1, 1, 1, 0), (1, 2, 2, 0)) t(seg, k, row, col)")
+    add("r_map_in_arrow", lambda s, d: relational.arrow_cells(trajectories.points(s, d, "li"), trajectories.box(s, d, "li", 4)), f"WITH {S.points('li')}, {S.gridded('li', 4)} SELECT traj_id, row, col FROM cells0")
+    ancestors = "SELECT c.row, c.col, a.level, a.br, a.bc FROM (SELECT CAST(id DIV 8 AS INT) AS row, CAST(id % 8 AS INT) AS col FROM range(64)) c, LATERAL quad_ancestors(c.row, c.col, 3) a"
+    add("r_udtf_ancestors", lambda s, d: (s.udtf.register("quad_ancestors", relational.QuadAncestors), s.sql(ancestors))[1],
+        "SELECT r::INTEGER AS row, c::INTEGER AS col, l::INTEGER AS level, (r >> (3 - l))::INTEGER AS br, (c >> (3 - l))::INTEGER AS bc FROM (SELECT unnest(range(8)) AS r), (SELECT unnest(range(8)) AS c), (SELECT unnest(range(4)) AS l)")
+
+    def surface(s, d):
+        surface_sql.register(s, d, "cv", 4, 50, "keep")
+        return s.sql("SELECT qid, range_count(r1, r2, c1, c2) AS ans, hilbert_index(r1, c1, 4) AS pos FROM queries")
+
+    add("r_sql_surface", surface, S.steps("cv", 4).replace("WITH RECURSIVE ", f"WITH RECURSIVE {_curve(4)}, ") + f", {S.hist()}, {S.rectangles(16, 50)}, {S.answers()} SELECT qid, ans, pos FROM answers JOIN queries USING (qid) JOIN curve ON row = r1 AND col = c1")
     add("r_sample_hash", lambda s, d: steps_of(s, d, "li").where(relational.hash_fraction("traj_id", 11) < 0.1).select("traj_id", "step"), steps_sql() + f" SELECT traj_id, step FROM steps WHERE {S.uniform(11, 'rows', 'traj_id')} < 0.1")
     add("r_sample_by", lambda s, d: ev(s, d).sampleBy("event_type", {"view": 0.5, "click": 0.1}, seed=3).groupBy("event_type").count())
 
