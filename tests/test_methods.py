@@ -5,11 +5,12 @@ import math
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from trajdp.functions import noise
 from trajdp.operators import answering, histogram, mechanisms, quadtree, regions, walks, workload
-from trajdp.plans import baselines, estimator, release, repair
-from trajdp.plans.dense import DenseHist, box_sums, collected, framed
+from trajdp.plans import baselines, estimator, experiments, release, repair
+from trajdp.plans.dense import DenseHist, box_sums, collected, framed, partitioned
 from trajdp.sources import trajectories
 
 
@@ -100,7 +101,7 @@ def test_quadtree_equals_descent_and_covers(spark):
     rng = np.random.default_rng(1)
     cells = rng.integers(0, 30, (8, 8)) * (rng.random((8, 8)) < 0.4)
     faces = spark.createDataFrame([(r, c, float(cells[r, c])) for r in range(8) for c in range(8)], "row int, col int, cnt double")
-    for p in (quadtree.PartitionParams(eps1=1.0, threshold="stddev"), quadtree.PartitionParams(noise=False, threshold=10.0)):
+    for p in (quadtree.PartitionParams(eps1=1.0, threshold="stddev", seed=7), quadtree.PartitionParams(noise=False, threshold=10.0)):
         table = quadtree.noisy(quadtree.nodes(faces, 3), p, 3)
         noisy = {(r["level"], r["br"], r["bc"]): r["noisy_cost"] for r in table.collect()}
         found = quadtree.leaves(quadtree.split_flags(table, p), 3)
@@ -231,16 +232,145 @@ def test_baselines():
     assert np.allclose(baselines.bucket_release(vec, 1e9), vec, atol=1e-3)
 
 
-def test_release_spends_its_budget_and_leaks_nothing(spark, data):
+def released(spark, data, **options):
     grid = trajectories.box(spark, data, "cv", 3)
-    p = release.ReleaseParams(eps=1.0, synth=estimator.SynthParams(rounds=2))
-    got = release.released(trajectories.points(spark, data, "cv"), workload.random_rectangles(spark, 8, 20), grid, p)
+    p = release.ReleaseParams(**({"eps": 1.0, "synth": estimator.SynthParams(rounds=2)} | options))
+    return release.released(trajectories.points(spark, data, "cv"), workload.random_rectangles(spark, 8, 20), grid, p)
+
+
+def test_release_spends_its_budget_and_leaks_nothing(spark, data):
+    got = released(spark, data)
     assert got.ledger.total() == pytest.approx(1.0)
-    assert got.hist.violated() == 0
-    frame = got.frame(spark)
-    assert frame.columns == ["comp", "row", "col", "cnt"] and release.leak_free(frame)
-    again = release.released(trajectories.points(spark, data, "cv"), workload.random_rectangles(spark, 8, 20), grid, p)
-    assert np.array_equal(again.hist.f, got.hist.f)
+    assert {r[3] for r in got.ledger.rows if r[0] != "cost"} == {4.0}  # answers are charged the runs that walks are bounded to
+    frame = got.frame()
+    assert histogram.violations(frame).count() == 0
+    assert sorted(frame.columns) == ["cnt", "col", "comp", "row"] and release.leak_free(frame)
+
+
+def test_releases_differ_unless_seeded(spark, data):
+    split = {"eps": 40.0, "partition": quadtree.PartitionParams(threshold=1.0)}  # a single region would keep its sum, and so never move
+    a, b = (counts(released(spark, data, **split).frame()) for _ in range(2))
+    assert a.keys() == b.keys() and max(abs(a[k] - b[k]) for k in a) > 1e-6
+    a, b = (counts(released(spark, data, seed=3, **split).frame()) for _ in range(2))
+    assert a == b
+
+
+def test_release_over_frames_equals_the_one_over_arrays(spark, data):
+    a, b = (counts(released(spark, data, seed=3, backend=k).frame()) for k in ("dense", "frame"))
+    assert a.keys() == b.keys() and max(abs(a[k] - b[k]) for k in a) < 1e-6
+
+
+def naive_erased(cells):
+    out = []
+    for c in cells:
+        out = out[: out.index(c) + 1] if c in out else [*out, c]
+    return out
+
+
+def wander(rng, n, side):
+    r, c = rng.integers(0, side, 2)
+    out = [(int(r), int(c))]
+    while len(out) < n:
+        dr, dc = [(0, 1), (1, 0), (0, -1), (-1, 0)][rng.integers(4)]
+        if 0 <= r + dr < side and 0 <= c + dc < side:
+            r, c = r + dr, c + dc
+            out.append((int(r), int(c)))
+    return out
+
+
+@pytest.mark.parametrize("most", [1, 2, 5])
+def test_bounded_walks_meet_rectangles_in_few_runs(spark, most):
+    rng = np.random.default_rng(most)
+    s = steps(spark, [wander(rng, 60, 6) for _ in range(12)])
+    boxes = [(r1, r2, c1, c2) for r1 in range(0, 6, 2) for r2 in range(r1, 6, 2) for c1 in range(0, 6, 2) for c2 in range(c1, 6, 2)]
+    top = mechanisms.query_sensitivity(walks.bounded_runs(s, most), rect(spark, *boxes)).toPandas()["most"].max()
+    assert 1 <= top <= most < mechanisms.query_sensitivity(s, rect(spark, *boxes)).toPandas()["most"].max()
+
+
+def test_loop_erasure_equals_its_definition(spark):
+    rng = np.random.default_rng(9)
+    cells = [wander(rng, int(n), 5) for n in rng.integers(1, 80, 30)]
+    got = walks.erase_loops(steps(spark, cells)).toPandas().sort_values(["traj_id", "step"])
+    for t, part in got.groupby("traj_id"):
+        assert part["step"].tolist() == list(range(len(part)))
+        assert list(zip(part["row"], part["col"])) == naive_erased(cells[t])
+
+
+@pytest.mark.parametrize("parent_noise", ["reuse", "fresh"])
+def test_partition_over_arrays_equals_the_one_over_frames(spark, data, parent_noise):
+    s = walks.walk_steps(trajectories.points(spark, data, "em"), trajectories.box(spark, data, "em", 4))
+    hist = histogram.densify(histogram.build(s), 16)
+    shares = histogram.densify(histogram.build(s, weight="inv_len"), 16).where("comp = 'F'")
+    p = quadtree.PartitionParams(eps1=1.0, eps2=1.0, threshold="stddev", parent_noise=parent_noise, seed=5)
+    n = s.select("traj_id").distinct().count()
+    a = quadtree.partition(hist, shares.select("row", "col", "cnt"), n, 4, p).toPandas().sort_values("pid").reset_index(drop=True)
+    b = partitioned(collected(hist, 16), collected(shares, 16).f, n, p).sort_values("pid").reset_index(drop=True)
+    assert len(a) > 4 and a["pid"].tolist() == b["pid"].tolist()
+    for k in ("r1", "r2", "c1", "c2", "size", "b", "total"):
+        assert np.allclose(a[k], b[k]), k
+    assert all(noise.draws(None).uniforms("x", np.arange(3)) != noise.draws(None).uniforms("x", np.arange(3)))
+
+
+def broken_hist(rng, side=4):
+    return DenseHist(rng.integers(0, 4, (side, side)).astype(float), rng.integers(0, 5, (side, side - 1)).astype(float), rng.integers(0, 5, (side - 1, side)).astype(float))
+
+
+def test_components_cost_as_much_as_the_whole(spark):
+    rng = np.random.default_rng(12)
+    for k in range(30):
+        h = broken_hist(rng) if k % 2 else DenseHist(rng.integers(2, 9, (4, 4)).astype(float), rng.integers(0, 5, (4, 3)).astype(float), rng.integers(0, 5, (3, 4)).astype(float))
+        got = repair.optimal(h)
+        edge, face, weight = [], [], []
+        for kind, (edges, a, b) in enumerate(repair.incidences(h)):
+            for r, c in zip(*np.nonzero(edges > -1)):
+                for f in (a[r, c], b[r, c]):
+                    if edges[r, c] > h.f.ravel()[f]:
+                        edge.append(kind * 100 + r * 10 + c), face.append(f), weight.append(edges[r, c] - h.f.ravel()[f])
+        whole = repair.component_moves(np.array(edge), np.array(face), np.array(weight))[2] if edge else 0.0
+        assert got.certified and got.moved == pytest.approx(whole)
+        if k < 2:
+            fixed, moves = repair.optimal_frame(framed(spark, h), 4)
+            out = collected(fixed, 4)
+            assert out.violated() == 0 and sum(np.abs(x - y).sum() for x, y in zip(out.parts(), h.parts())) == pytest.approx(got.moved)
+            assert moves.select("component").distinct().count() == got.components
+
+
+def test_curve_runs_equal_rectangles():
+    rng = np.random.default_rng(6)
+    for res in (0, 1, 4):
+        q = np.sort(rng.integers(0, 1 << res, (200, 2, 2)), axis=2).reshape(200, 4)
+        runs, vec = baselines.Runs(q, res), rng.random(1 << 2 * res)
+        grid = baselines.rolled(vec, res)
+        assert np.allclose(runs.answers(vec), box_sums(grid, *q.T))
+        r, c = baselines.hilbert_order(res)
+        inside = (r >= q[:, :1]) & (r <= q[:, 1:2]) & (c >= q[:, 2:3]) & (c <= q[:, 3:4])
+        assert all((runs.mask(k) == inside[k]).all() for k in range(50)) and np.allclose(runs.coverage(), inside.sum(axis=0))
+
+
+def test_densities_and_answers_agree_on_every_way(spark, data):
+    s = walks.walk_steps(trajectories.points(spark, data, "em"), trajectories.box(spark, data, "em", 4))
+    hist, q = histogram.build(s), workload.random_rectangles(spark, 16, 100)
+    few = {r["qid"]: r["ans"] for r in answering.every_query(q, answering.located(s.select("traj_id", "row", "col").distinct(), q, 1000).groupBy("qid").agg(F.countDistinct("traj_id").alias("ans"))).collect()}
+    assert few == {r["qid"]: r["ans"] for r in answering.exact(s, q).collect()}
+    blocks = regions.uniform(spark, 4, 2)
+    own = answering.from_hist(hist, blocks.withColumnRenamed("pid", "qid"))
+    assert {r["pid"]: r["count"] for r in quadtree.counted(hist, blocks).collect()} == {r["qid"]: r["ans"] for r in own.collect()}
+
+
+def test_experiments_report_means_and_deviations(spark, data):
+    got = experiments.distribution(spark, data, ("em",), (100,), (0.5,), 4, 200, 2, (3, 4)).toPandas()
+    assert set(got["mechanism"]) == set(experiments.MECHANISMS) and set(got["metric"]) == {"avg_l1", "avg_l1_dev", "avg_l1_sequence", "avg_l1_sequence_dev"}
+    assert (got["run"] == 2).all() and (got["value"] >= 0).all() and got.groupby("mechanism").size().eq(4).all()
+    case = experiments.prepared_case(spark, data, "em", 4, 200, 100)
+    a, b = (case.estimate("BL-FLAT", 0.5, noise.Simulated(k), 0)[1] for k in (1, 2))
+    assert not np.allclose(a.f, case.truth.f) and not np.allclose(a.f, b.f)  # the histogram is noisy too
+
+
+def test_a_grid_beyond_the_driver_goes_over_frames(spark, data, monkeypatch):
+    monkeypatch.setattr(release, "MOST", 10)
+    monkeypatch.setattr(release, "collected", None)
+    got = released(spark, data, seed=1)
+    assert histogram.violations(got.frame()).count() == 0 and [t["iter"] for t in got.trace] == [0, 1]
 
 
 def test_scan_reads_only_what_is_needed(spark, data):

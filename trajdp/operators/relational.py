@@ -9,6 +9,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType
 
 from ..functions import noise
 from .walks import segment_cells
@@ -92,7 +93,7 @@ class QuadAncestors:
             yield level, row >> (res - level), col >> (res - level)
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(LongType())
 def hilbert_places(row: pd.Series, col: pd.Series, res: pd.Series) -> pd.Series:
     """Places along the Hilbert curve, by the bits of all rows at once; for SQL."""
     x, y, out = col.to_numpy("int64").copy(), row.to_numpy("int64").copy(), np.zeros(len(row), np.int64)

@@ -16,8 +16,8 @@ def events(s, d):
 def run(s, d, plan, mode: str = "append", behind=None, extra=None):
     """Streams the events as four files in the order of time, one a micro-batch; ``behind``: a condition on rows that come after all others."""
     rows = events(s, d)
-    late = None if behind is None else rows.where(behind)
-    rows = rows if behind is None else rows.where(~behind)
+    late = None if behind is None else rows.where(F.expr(behind))
+    rows = rows if behind is None else rows.where(~F.expr(behind))
     return live.drained(plan(live.source(s, live.feed(rows if extra is None else rows.unionByName(extra(rows)), 4, late))), mode)
 
 
@@ -25,16 +25,16 @@ def counted(e):
     return e.groupBy("comp", "row", "col").agg(F.count(F.lit(1)).alias("cnt"))
 
 
-DELAYED = F.col("event_id") % 50 == 0
+DELAYED = "event_id % 50 = 0"
 
 
 def dropped(s, d):
     """delayed, dropped: rows that came behind all others, and how many of them found their window closed."""
     rows = events(s, d)
     seen = run(s, d, lambda e: live.tumbling(live.cells(e)), "append", DELAYED).agg(F.sum("cnt").alias("seen"))
-    last = rows.where(~DELAYED).agg(F.max("ts").alias("last"))
+    last = rows.where(~F.expr(DELAYED)).agg(F.max("ts").alias("last"))
     ended = F.date_trunc("day", "ts") + F.expr("interval 1 day") <= F.col("last") - F.expr("interval 1 hour")
-    counts = rows.join(F.broadcast(last)).where(ended).agg(F.count(F.lit(1)).alias("every"), F.sum(DELAYED.cast("int")).alias("delayed"))
+    counts = rows.join(F.broadcast(last)).where(ended).agg(F.count(F.lit(1)).alias("every"), F.sum(F.expr(DELAYED).cast("int")).alias("delayed"))
     return counts.join(F.broadcast(seen)).select("delayed", (F.col("every") - F.col("seen")).alias("dropped"))
 
 
