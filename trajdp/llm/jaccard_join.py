@@ -8,7 +8,8 @@ is measured to all pivots: pairs with a pivot that may be within the limit are
 compared, pivots that lie apart become the centres of Voronoi regions, and the
 triangle inequality replicates a point into each region whose centre is nearer than
 its own centre plus twice the limit. Regions that fall apart in this way are joined
-again; others are first cut by the next rare shingle that two linked sets must share.
+again; large ones that don't are first cut by the next rare shingle that two linked
+sets must share, and others get more pivots.
 
 Distances to pivots come from a sketch of each set: its size and the parities of
 its shingles in 1024 classes. With h, the larger of the number of parities that
@@ -44,12 +45,16 @@ LETTER = np.random.default_rng(20).integers(1, 1 << 63, 256, dtype=np.uint64)
 @dataclass(frozen=True)
 class JoinParams:
     """Linked: percent * union <= 100 * intersection. few: points of a region that are all pivots. pivots: about how many
-    a larger region has. extra: how many more shingles than the first cut needs are kept for later cuts."""
+    a larger region has at first, eight times as many in each later round. chunk: points measured in one group, and the
+    most pivots. cut: points of a region from which on it is cut by one more shingle, if Voronoi regions don't share them
+    out. extra: how many more shingles than the first cut needs are kept for that."""
 
     span: int = 5
     percent: int = 80
     few: int = 16
-    pivots: int = 32
+    pivots: int = 64
+    chunk: int = 4096
+    cut: int = 65_536
     extra: int = 4
     sketch_bits: int = 18
     most_blocks: int = 1 << 20
@@ -217,7 +222,7 @@ def chance(x: Column) -> Column:
 
 
 def small_region_pairs(small: DataFrame, about: DataFrame, p: JoinParams) -> DataFrame:
-    """a, b, far: the sketch's distance of the pairs of regions in which every point is a pivot, where it is within the limit."""
+    """a, b, rank, far: the sketch's distance of the pairs of regions in which every point is a pivot, where it is within the limit."""
     mine = small.join(about.select("id", "n"), "id").select("region", "id", "n")
     other = mine.select("region", F.col("id").alias("b"), F.col("n").alias("m"))
     near = F.least("n", "m") * 100 >= F.greatest("n", "m") * p.percent  # else the sizes alone keep them apart
@@ -226,13 +231,14 @@ def small_region_pairs(small: DataFrame, about: DataFrame, p: JoinParams) -> Dat
     pairs = pairs.join(side("a"), "a").join(side("b"), "b")
     pairs = pairs.withColumn("h", differing(F.col("a_odd"), F.col("a_n"), F.col("b_odd"), F.col("b_n")))
     total = F.col("a_n") + F.col("b_n")
-    return pairs.where(within(F.col("h"), total, p)).select("a", "b", distance(F.col("h"), total).alias("far"))
+    return pairs.where(within(F.col("h"), total, p)).select("a", "b", F.lit(0).alias("rank"), distance(F.col("h"), total).alias("far"))
 
 
 def measured_to_pivots(large: DataFrame, about: DataFrame, label: DataFrame | None, pivots: int, p: JoinParams) -> DataFrame:
     """region, id, at, level, is_pivot, over, near, cells, centres of each point of large regions.
 
-    near: (distance, pivot) of the pivots that may be within the limit and have another class so far. cells: the
+    near: (rank, distance, pivot) of the pivots that may be within the limit and have another class so far; centres
+    have rank 0 and are compared first, so that a dense place becomes one star and not one for each pivot. cells: the
     centres whose Voronoi region, widened by twice the limit, holds the point. over: the pivots were all points outside
     one class, so that the region is done. Regions of a single class are left out.
     """
@@ -248,39 +254,75 @@ def measured_to_pivots(large: DataFrame, about: DataFrame, label: DataFrame | No
     marked = marked.join(strangers, "region")
     share = F.floor(F.lit(float(1 << 62)) * pivots / F.col("size")).cast("long")
     own = F.when(F.col("strangers") <= pivots, F.col("class") != F.col("lead")).otherwise(F.col("chance") <= F.greatest("low", share))
-    marked = marked.withColumn("is_pivot", own).withColumn("over", F.col("strangers") <= pivots)
+    marked = marked.withColumn("is_pivot", own).withColumn("over", F.col("strangers") <= pivots).withColumn("chunks", F.ceil(F.col("size") / p.chunk).cast("int"))
     marked = written(marked.drop("strangers", "lead", "low", "size"), "join-marked")
-    chosen = marked.where("is_pivot").groupBy("region").agg(F.sort_array(F.collect_list(F.struct("chance", "id", "class", "n", "odd"))).alias("pivots"))  # about ``pivots``
-    between = lambda x, y: distance(differing(x["odd"], x["n"], y["odd"], y["n"]), x["n"] + y["n"])
-    limit = 1 - p.percent / 100
-    apart = F.filter("pivots", lambda x, i: ~F.exists(F.slice("pivots", F.lit(1), i), lambda y: between(x, y) <= limit))
-    chosen = chosen.withColumn("centres", F.transform(apart, lambda x: x["id"]))
-    told = marked.join(chosen, "region")
-    me = F.struct("odd", "n")
-    far = F.transform("pivots", lambda x: F.struct(between(me, x).alias("far"), x["id"].alias("pivot"), x["class"].alias("class")))
-    told = told.withColumn("far", far).select("region", "id", "at", "level", "is_pivot", "over", "class", "centres", "far")
-    near = F.filter("far", lambda x: (x["far"] <= limit + 1e-12) & (x["class"] != F.col("class")))
-    central = F.filter("far", lambda x: F.array_contains("centres", x["pivot"]))
-    told = told.withColumn("central", central).withColumn("home", F.array_min(F.transform("central", lambda x: x["far"])))
-    cells = F.transform(F.filter("central", lambda x: x["far"] <= F.col("home") + 2 * limit + 1e-9), lambda x: x["pivot"])
-    near = F.sort_array(F.transform(near, lambda x: F.struct(x["far"].alias("far"), x["pivot"].alias("pivot"))))
-    out = written(told.select("region", "id", "at", "level", "is_pivot", "over", near.alias("near"), cells.alias("cells"), F.size("centres").alias("centres")), "join-judged")
+    columns = ["region", "chunk", "id", "at", "level", "is_pivot", "over", "class", "n", "odd", "chance"]
+    dealt = marked.withColumn("chunk", F.pmod(F.xxhash64(F.lit(9), "id"), F.col("chunks")).cast("int")).select(F.lit(0).alias("role"), *columns)
+    every = marked.where("is_pivot").withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1))).select(F.lit(1).alias("role"), *columns)
+    kind = dict(about.dtypes)["id"]
+
+    def measure(rows: pd.DataFrame) -> pd.DataFrame:
+        """A part of a region's points against all of its pivots."""
+        mine, far_ones = rows[rows["role"] == 0], rows[rows["role"] == 1].sort_values(["chance", "id"])
+        ids, other = mine["id"].to_numpy(), far_ones["id"].to_numpy()
+        odd, there = (np.stack(x["odd"].to_numpy()).view(np.uint64) if len(x) else np.zeros((0, 16), np.uint64) for x in (mine, far_ones))
+        n, m = mine["n"].to_numpy(np.int64), far_ones["n"].to_numpy(np.int64)
+
+        def compared(x: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            """Whether the sketch may be within the limit, and its distance, of rows to pivots."""
+            h = np.maximum(np.bitwise_count(x[:, None] ^ there[None]).sum(axis=2, dtype=np.int64), np.abs(sizes[:, None] - m))
+            total = sizes[:, None] + m
+            return h * (100 + p.percent) <= total * (100 - p.percent), 2.0 * h / (total + h)
+
+        central = np.ones(len(other), bool)
+        for i in range(0, len(other), 64):
+            part = np.arange(i, min(i + 64, len(other)))
+            central[part] = ~(compared(there[part], m[part])[0] & (np.arange(len(other)) < part[:, None])).any(axis=1)
+        limit, centre, out = 1 - p.percent / 100, np.flatnonzero(central), {"near": [], "rank": [], "far": [], "cells": []}
+        mark, marks = mine["class"].to_numpy(), far_ones["class"].to_numpy()
+        for i in range(0, len(ids), 64):
+            part = slice(i, i + 64)
+            near, far = compared(odd[part], n[part])
+            near &= mark[part, None] != marks
+            home = far[:, centre].min(axis=1, keepdims=True)
+            inside = far[:, centre] <= home + 2 * limit + 1e-9
+            for row, distances, cells in zip(near, far, inside):
+                at = np.flatnonzero(row)
+                out["near"].append(other[at])
+                out["rank"].append((~central[at]).astype(np.int32))
+                out["far"].append(distances[at])
+                out["cells"].append(other[centre[cells]])
+        apart = sum(map(len, out["cells"])) <= 2 * len(ids)
+        if not apart:  # replicated over and over, the points are better cut another way
+            out["cells"] = [other[:0]] * len(ids)
+        return mine[["region", "id", "at", "level", "is_pivot", "over"]].assign(**out, centres=np.int32(len(centre) if apart else 0))
+
+    schema = f"region long, id {kind}, at int, level int, is_pivot boolean, over boolean, near array<{kind}>, rank array<int>, far array<double>, cells array<{kind}>, centres int"
+    out = written(dealt.unionByName(every).groupBy("region", "chunk").applyInPandas(measure, schema), "join-judged")
     discarded(rows, marked)
     return out
 
 
-def next_regions(judged: DataFrame, about: DataFrame, p: JoinParams) -> DataFrame:
-    """region, id, at, level of the points that are no pivots: in Voronoi regions where these share out the points,
-    else cut by each later shingle of which linked sets share one more."""
-    left = judged.where("not is_pivot and not over")
-    spread = left.groupBy("region").agg((F.sum(F.size("cells")) <= 2 * F.count(F.lit(1))).alias("apart"))
-    left = left.join(spread, "region")
-    apart = F.col("apart") & (F.col("centres") > 1)
+def next_regions(judged: DataFrame, about: DataFrame, label: DataFrame, pivots: int, p: JoinParams) -> DataFrame:
+    """region, id, at, level of the points that are no pivots, of regions that links have not made one class: as they are
+    where few points lie outside a class (the next pivots), in Voronoi regions where these share out the points, else
+    cut by each later shingle of which linked sets share one more."""
+    left = judged.where("not is_pivot and not over").select("region", "id", "at", "level", "cells", "centres")
+    left = left.join(label, "id", "left").withColumn("class", F.coalesce("class", "id"))
+    spread = left.groupBy("region").agg(
+        (F.min("centres") > 1).alias("apart"), F.count(F.lit(1)).alias("left"), F.min("class").alias("one"), F.max("class").alias("two"), F.min_by("class", chance(F.col("id"))).alias("lead")
+    ).where("one <> two")
+    left = written(left.join(spread.drop("one", "two"), "region"), "join-left")
+    strangers = left.groupBy("region").agg(F.sum((F.col("class") != F.col("lead")).cast("int")).alias("strangers"))
+    left = left.join(strangers, "region").withColumn("few", F.col("strangers") <= pivots)
+    apart = F.col("apart") & ~F.col("few")
     voronoi = left.where(apart).select("region", F.explode("cells").alias("cell"), "id", "at", "level")
     voronoi = voronoi.select(F.xxhash64(F.lit(7), "region", "cell").alias("region"), "id", "at", "level")
     rest = left.where(~apart)
-    whole = rest.where(F.col("level") > p.extra).select("region", "id", "at", "level")  # no more shingles: fewer points, more pivots
-    cut = rest.where(F.col("level") <= p.extra).join(about.select("id", "first", "rare"), "id")
+    # few enough points, or no more shingles: fewer points and more pivots
+    stay = F.col("few") | (F.col("level") > p.extra) | (F.col("left") <= p.cut)
+    whole = rest.where(stay).select("region", "id", "at", "level")
+    cut = rest.where(~stay).join(about.select("id", "first", "rare"), "id")
     later = F.slice("rare", F.col("at") + 1, F.greatest(F.col("first") + F.col("level") - F.col("at"), F.lit(0)))
     cut = cut.select("region", "id", "at", "level", F.posexplode(later).alias("more", "shingle"))
     cut = cut.select(F.xxhash64(F.lit(8), "region", "shingle").alias("region"), "id", (F.col("at") + F.col("more") + 1).alias("at"), (F.col("level") + 1).alias("level"))
@@ -306,16 +348,16 @@ def linked_points(about: DataFrame, docs: DataFrame, p: JoinParams, trace: list
         judged = None if large.isEmpty() else measured_to_pivots(large, about, label, pivots, p)
         pairs = direct
         if judged is not None:
-            near = judged.select("id", F.explode("near").alias("x"))
-            pairs = pairs.unionByName(near.select(F.least("id", "x.pivot").alias("a"), F.greatest("id", "x.pivot").alias("b"), "x.far"))
+            near = judged.select("id", F.explode(F.arrays_zip("near", "rank", "far")).alias("x"))
+            pairs = pairs.unionByName(near.select(F.least("id", "x.near").alias("a"), F.greatest("id", "x.near").alias("b"), "x.rank", "x.far"))
         if label is not None:
             named = lambda k: label.select(F.col("id").alias(k), F.col("class").alias(f"{k}_class"))
             pairs = pairs.join(tested, ["a", "b"], "left_anti").join(named("a"), "a", "left").join(named("b"), "b", "left")
-            pairs = pairs.where("coalesce(a_class, a) <> coalesce(b_class, b)").select("a", "b", "far")
+            pairs = pairs.where("coalesce(a_class, a) <> coalesce(b_class, b)").select("a", "b", "rank", "far")
         pairs = written(pairs, "join-pairs-to-compare")
         # each point's nearest first; of the others only pairs that these links leave apart
-        one = pairs.groupBy("a").agg(F.min(F.struct("far", "b")).alias("t")).select("a", "t.b")
-        two = pairs.groupBy("b").agg(F.min(F.struct("far", "a")).alias("t")).select("t.a", "b")
+        one = pairs.groupBy("a").agg(F.min(F.struct("rank", "far", "b")).alias("t")).select("a", "t.b")
+        two = pairs.groupBy("b").agg(F.min(F.struct("rank", "far", "a")).alias("t")).select("t.a", "b")
         first = written(one.union(two).distinct(), "join-first")
         found = measured_pairs(first, docs, p).where(close).select("a", "b")
         before, links = links, written(found if links is None else links.union(found), "join-links")
@@ -334,7 +376,7 @@ def linked_points(about: DataFrame, docs: DataFrame, p: JoinParams, trace: list
             discarded(before)
         if trace is not None:
             few = members.where(F.col("size") <= p.few)
-            row = {"regions": size.count(), "pivots_of_small": few.select("region", "id").count(), "compared": first.count() + rest.count(), "pairs": pairs.count()}
+            row = {"regions": members.select("region").distinct().count(), "pivots_of_small": few.count(), "compared": first.count() + rest.count(), "pairs": pairs.count()}
             if judged is not None:
                 left = judged.where("not is_pivot").agg(F.count(F.lit(1)).alias("points"), F.sum(F.size("cells")).alias("placed")).first()
                 row |= {"large": large.select("region").distinct().count(), "pivots": judged.where("is_pivot").count(), "points": left["points"], "placed": left["placed"] or 0}
@@ -343,9 +385,9 @@ def linked_points(about: DataFrame, docs: DataFrame, p: JoinParams, trace: list
         if judged is None:
             discarded(members, links, tested)
             return label
-        made = next_regions(judged, about, p)
+        made = next_regions(judged, about, label, pivots, p)
         discarded(members, judged)
-        regions, pivots = made, min(2 * pivots, 4096)
+        regions, pivots = made, min(8 * pivots, p.chunk)
 
 
 def classes(links: DataFrame) -> DataFrame:
