@@ -15,6 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _PLACES: WeakKeyDictionary[DataFrame, str] = WeakKeyDictionary()
+_LEFT: dict[str, SparkSession] = {}  # what no one has deleted yet
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -45,7 +46,7 @@ def written(df: DataFrame, label: str, codec: str = "zstd") -> DataFrame:
     out = spark.read.schema(df.schema).parquet(path)
     files, place = _place(spark, path)
     files.deleteOnExit(place)
-    _PLACES[out] = path
+    _PLACES[out], _LEFT[path] = path, spark
     return out
 
 
@@ -54,9 +55,21 @@ def discarded(*tables: DataFrame | None) -> None:
     for table in tables:
         path = _PLACES.pop(table, None) if table is not None else None
         if path:
-            files, place = _place(table.sparkSession, path)
-            files.delete(place, True)
-            files.cancelDeleteOnExit(place)
+            _delete(path)
+
+
+def _delete(path: str) -> None:
+    files, place = _place(_LEFT.pop(path), path)
+    files.delete(place, True)
+    files.cancelDeleteOnExit(place)
+
+
+def only_kept(docs: DataFrame) -> None:
+    """Delete all tables of ``written`` in this session that ``docs`` doesn't read: what was made of them has been written since."""
+    read = docs.inputFiles()
+    for path, spark in list(_LEFT.items()):
+        if spark is docs.sparkSession and not any(path.rsplit("/", 1)[1] in f for f in read):
+            _delete(path)
 
 
 def by_size(rows: DataFrame, groups: DataFrame, on: list[str], size: str) -> DataFrame:
