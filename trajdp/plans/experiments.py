@@ -12,6 +12,7 @@ import time
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass, replace
+from functools import cached_property
 
 import numpy as np
 import pandas as pd
@@ -53,6 +54,11 @@ class Case:
     q: np.ndarray
     build_s: float = 0.0
 
+    @cached_property
+    def runs(self) -> baselines.Runs:
+        """The query set along the curve, made once in each task's process."""
+        return baselines.Runs(self.q, self.res)
+
     def regions(self, eps: float, draws, weights=(0.25,) * 4, threshold: str | float = "stddev") -> pd.DataFrame:
         e1, e2, _, _ = mechanisms.split_budget(eps, weights)
         return partitioned(self.truth, self.shares, self.n, quadtree.PartitionParams(eps1=e1, eps2=e2, threshold=threshold), source=draws)
@@ -70,7 +76,7 @@ class Case:
             parts = [x + noise.laplace_value(draws.uniforms(f"cells{i}", np.arange(x.size)), self.longest / eps).reshape(x.shape) for i, x in enumerate(self.truth.parts())]
             return answers, DenseHist(*parts)
         if mechanism in ONE_DIMENSION:
-            vec, runs = self.truth.f[baselines.hilbert_order(self.res)], baselines.Runs(self.q, self.res)
+            vec, runs = self.truth.f[baselines.hilbert_order(self.res)], self.runs
             if mechanism == "BL-MW1":
                 out = baselines.mw1d(vec, runs, float(self.n), self.mass, eps, rounds, qids=self.qids, source=draws)
             else:
