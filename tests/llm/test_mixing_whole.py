@@ -46,12 +46,14 @@ def test_targets_out_of_reach_end_and_are_reported(spark, caplog):
     assert "largest margin error" in caplog.text
 
 
-def test_first_rounds_are_those_of_the_sql_twin(spark, data):
+@pytest.mark.parametrize("tolerance", [1.0, 1e-7])  # after ten rounds, and at the end
+def test_rounds_are_those_of_the_sql_twin(spark, data, tolerance):
     docs = spark.read.parquet(f"{data}/documents.parquet").select("doc_id", "text", "lang", "source")
     con = duckdb.connect()
     con.sql(f"CREATE VIEW documents AS SELECT * FROM '{data}/documents.parquet'")
-    want = con.sql(mixing.oracle()).df().set_index("doc_id")["probability"]
-    found = mixing.mixed(docs, mixing.MixParams(tolerance=1.0)).toPandas().set_index("doc_id")["mix_probability"]
+    p = mixing.MixParams(tolerance=tolerance)
+    want = con.sql(mixing.oracle(p)).df().set_index("doc_id")["probability"]
+    found = mixing.mixed(docs, p).toPandas().set_index("doc_id")["mix_probability"]
     assert np.abs(found - want.loc[found.index]).max() < 1e-6
 
 

@@ -2,6 +2,7 @@
 
 import corpus_pipeline
 from trajdp.llm import jaccard_join, packing
+from trajdp.llm.storage import written
 
 
 def test_stages(spark, data):
@@ -9,7 +10,7 @@ def test_stages(spark, data):
     columns = docs.columns
     for name, stage in corpus_pipeline.STAGES:
         before = docs
-        docs = corpus_pipeline.written(stage(spark, docs, data), f"test-{name}")
+        docs = written(stage(spark, docs, data), f"test-{name}")
         if name != "packing":
             assert docs.columns == columns and docs.dtypes == before.dtypes
             assert 0 < docs.count() <= before.count()
@@ -23,5 +24,5 @@ def test_stages(spark, data):
 def test_empty_documents(spark, data):
     docs = spark.read.parquet(f"{data}/documents.parquet").where("false")
     for _, stage in corpus_pipeline.STAGES:
-        docs = corpus_pipeline.written(stage(spark, docs, data), "test-empty")
+        docs = written(stage(spark, docs, data), "test-empty")
         assert docs.count() == 0
