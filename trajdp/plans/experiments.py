@@ -182,7 +182,8 @@ def deviation(spark, sf_dir: str, epses=BUDGETS, n: int | None = 1000, res: int
 
 
 def query_set(spark, sf_dir: str, sizes=(1000, 2000, 4000, 8000, 16_000), eps: float = 0.1, res: int = 8, runs: int = 5, n: int | None = 1000, rounds=ROUNDS):
-    cases = [prepared_case(spark, sf_dir, "em", res, m, n) for m in sizes]
+    whole = prepared_case(spark, sf_dir, "em", res, max(sizes), n)
+    cases = [replace(whole, qids=whole.qids[:m], q=whole.q[:m]) for m in sizes]  # smaller sets are the first of the largest
     return reported([simulated(spark, c, settings(epses=(eps,), rounds=rounds, runs=runs), "query_set") for c in cases], "avg_l1")
 
 
