@@ -3,9 +3,11 @@
 import itertools
 from datetime import datetime, timedelta
 
+import numpy as np
 import pandas as pd
 
 from trajdp import queries
+from trajdp.operators import histogram, sums
 
 
 def test_interval_join_covers_all_users(spark, tmp_path):
@@ -24,3 +26,29 @@ def test_interval_join_covers_all_users(spark, tmp_path):
     assert any(u > 40 for u, _ in want)
     found = queries.queries()["r_join_interval"](spark, str(tmp_path)).collect()
     assert {(r["user_id"], r["other"]): r["n"] for r in found} == want
+
+
+def test_distinct_histogram_over_chunks_and_far_cells(spark):
+    """Walks that reach over chunks, go back and forth, jump, and lie at negative cells; no hash of all walks and components in the plan."""
+    rng = np.random.default_rng(3)
+    rows, want = [], {}
+    for t in range(12):
+        r, c = rng.integers(-3, 3, 2).tolist()
+        own = set()
+        for step in range(0 if t == 5 else rng.integers(1, 60)):
+            if step:
+                dr, dc = [(0, 1), (0, -1), (1, 0), (-1, 0), (0, 0), (2, 1)][rng.integers(6)]
+                if abs(dr) + abs(dc) == 1:
+                    own.add(("V" if dc else "H", min(r, r + dr), min(c, c + dc)))
+                r, c = r + dr, c + dc
+            own.add(("F", r, c))
+            rows.append((t * 10**12, step, r, c))
+        for k in own:
+            want[k] = want.get(k, 0) + 1
+    steps = spark.createDataFrame(rows[::-1], "traj_id long, step long, row int, col int")
+    for chunk in (1, 7, 1 << 19):
+        got = sums.distinct_counts(steps, chunk)
+        assert {(r["comp"], r["row"], r["col"]): r["cnt"] for r in got.collect()} == want
+    plan = histogram.build(steps, "distinct")._jdf.queryExecution().executedPlan().toString()
+    assert "keys=[traj_id" not in plan
+    assert histogram.build(steps.limit(0), "distinct").count() == 0
