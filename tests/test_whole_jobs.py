@@ -1,13 +1,19 @@
 """Registered queries over whole tables: rows that a filter on ids would lose."""
 
+import functools
 import itertools
 from datetime import datetime, timedelta
 
 import numpy as np
 import pandas as pd
+import pytest
 
 from trajdp import queries
 from trajdp.operators import histogram, sums
+from trajdp.plans import experiments
+from trajdp.sources import trajectories
+
+WALK_SUMS = sums.walk_sums
 
 
 def test_interval_join_covers_all_users(spark, tmp_path):
@@ -52,3 +58,22 @@ def test_distinct_histogram_over_chunks_and_far_cells(spark):
     plan = histogram.build(steps, "distinct")._jdf.queryExecution().executedPlan().toString()
     assert "keys=[traj_id" not in plan
     assert histogram.build(steps.limit(0), "distinct").count() == 0
+
+
+@pytest.mark.parametrize("source", ["em", "cv", "or"])
+def test_experiment_case_from_one_pass(spark, data, source, monkeypatch):
+    """The sums of an experiment are those of its frames, without a frame of all steps."""
+    points, grid = trajectories.points(spark, data, source), trajectories.box(spark, data, source, 5)
+    points = points.unionByName(spark.createDataFrame([(-5, 0, None, 1.0)], "traj_id long, seq long, x double, y double"))
+    monkeypatch.setattr(experiments, "MOST_STEPS", 0)
+    want = experiments.case_of(points, source, grid, 10)
+    monkeypatch.setattr(experiments, "MOST_STEPS", 1 << 22)
+    monkeypatch.setattr(experiments, "prepared", None)
+    for chunk in (1, None):
+        monkeypatch.setattr(sums, "walk_sums", functools.partial(WALK_SUMS, chunk=chunk))
+        got = experiments.case_of(points, source, grid, 10)
+        assert (got.n, got.longest) == (want.n, want.longest)
+        assert all(np.array_equal(a, b) for a, b in zip(got.truth.parts(), want.truth.parts()))
+        assert np.allclose(got.shares, want.shares, atol=1e-9)
+    empty = experiments.case_of(points.limit(0), source, grid, 10)
+    assert empty.n == 0 and empty.truth.f.sum() == 0
