@@ -4,7 +4,7 @@ import pytest
 
 from trajdp import queries
 
-NAMES = ["b_hilbert_decode", "b_hilbert_encode", "b_morton"]
+NAMES = ["b_hilbert_decode", "b_hilbert_encode", "b_morton", "b_query_runs"]
 
 
 @pytest.mark.parametrize("name", NAMES)
