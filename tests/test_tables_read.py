@@ -4,7 +4,7 @@ import pytest
 
 from trajdp import queries
 
-NAMES = ["b_hilbert_decode", "b_hilbert_encode", "b_morton", "b_query_runs", "m_budget_split", "m_generate", "m_geometric", "m_gumbel", "m_laplace", "m_ledger"]
+NAMES = ["b_hilbert_decode", "b_hilbert_encode", "b_morton", "b_query_runs", "m_budget_split", "m_generate", "m_geometric", "m_gumbel", "m_laplace", "m_ledger", "m_secure_shape"]
 
 
 @pytest.mark.parametrize("name", NAMES)
