@@ -9,7 +9,7 @@ import pandas as pd
 import pytest
 
 from trajdp import queries
-from trajdp.operators import histogram, sums
+from trajdp.operators import histogram, relational, sums
 from trajdp.plans import experiments
 from trajdp.sources import trajectories
 
@@ -77,3 +77,23 @@ def test_experiment_case_from_one_pass(spark, data, source, monkeypatch):
         assert np.allclose(got.shares, want.shares, atol=1e-9)
     empty = experiments.case_of(points.limit(0), source, grid, 10)
     assert empty.n == 0 and empty.truth.f.sum() == 0
+
+
+@pytest.mark.parametrize("block", [2, 5, 4096])
+def test_overlaps_counted_without_a_join(spark, block):
+    """Spans over several days, more than one a day and keys of texts; no join makes a row for each pair and day."""
+    rng = np.random.default_rng(5)
+    start = datetime(2024, 2, 27)
+    spans = []
+    for _ in range(90):
+        a = start + timedelta(hours=int(rng.integers(0, 120)))
+        spans.append((f"k{rng.integers(14)}", a, a + timedelta(minutes=int(rng.choice([0, 50, 600, 4000])))))
+    spans += [(None, start, start), ("k1", None, start), ("k2", start, None)]
+    want = {}
+    for (k, a, b), (m, c, d) in itertools.product(spans[:90], repeat=2):
+        if k < m and a <= d and c <= b:
+            want[k, m] = want.get((k, m), 0) + 1
+    frame = spark.createDataFrame(spans, "key string, a timestamp, b timestamp")
+    got = relational.overlapping(frame, "key", "a", "b", block)
+    assert {(r["key"], r["other"]): r["n"] for r in got.collect()} == want
+    assert "Join" not in got._jdf.queryExecution().executedPlan().toString()
